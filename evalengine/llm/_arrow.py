@@ -2,11 +2,17 @@
 
 from __future__ import annotations
 
+import re
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import DataFrame
+from pyspark.sql.types import StructField, StructType
+
+from evalengine.llm._common import clear_of
 
 
 @dataclass
@@ -31,3 +37,34 @@ def coded_chunks(texts: pa.Array) -> Chunks:
     where = np.flatnonzero(loose[codes]) if len(codes) else np.zeros(0, np.int64)
     odd = np.unique(np.searchsorted(starts, where, side="right") - 1)
     return Chunks(chunks, codes, starts, odd.tolist())
+
+
+def letters_of(word: str) -> list[str]:
+    """The maximal runs of letters of a chunk."""
+    return _LETTERS(word)
+
+
+_LETTERS = re.compile(r"[^\W\d_]+").findall
+
+
+def summed(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """Sums of ``values`` over the rows starts[i]:starts[i+1]; empty ranges give 0."""
+    total = np.concatenate((np.zeros((1, *values.shape[1:])), np.cumsum(values, axis=0, dtype=np.float64)))
+    return total[starts[1:]] - total[starts[:-1]]
+
+
+def appended(df: DataFrame, added: str, columns: Callable[[pa.RecordBatch], list]) -> DataFrame:
+    """``df`` with the columns ``added`` (a DDL list) that ``columns`` computes from each Arrow batch.
+
+    One narrow step; every column of ``df`` passes through. Columns whose names clash are renamed first
+    to ``input_<name>``.
+    """
+    extra = StructType.fromDDL(added)
+    df = clear_of(df, *extra.names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                yield pa.RecordBatch.from_arrays([*batch.columns, *columns(batch)], names=[*batch.schema.names, *extra.names])
+
+    return df.mapInArrow(run, StructType([*(StructField(f.name, f.dataType, True) for f in df.schema), *extra]))

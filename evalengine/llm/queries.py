@@ -7,12 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from evalengine.llm.op1_byte_bpe import op1_byte_bpe
+from evalengine.llm.op2_quality_cotraining import op2_quality_cotraining
+from evalengine.llm.op9_language_id import op9_language_id
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_byte_bpe,)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_quality_cotraining, op9_language_id)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from evalengine.llm.op1_byte_bpe import op1_byte_bpe
+from evalengine.llm.op10_ngram_jaccard import op10_ngram_jaccard
 from evalengine.llm.op2_quality_cotraining import op2_quality_cotraining
 from evalengine.llm.op9_language_id import op9_language_id
 
@@ -14,7 +15,7 @@ Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_byte_bpe, op2_quality_cotraining, op9_language_id)}
+    return {f.__name__: f for f in (op1_byte_bpe, op2_quality_cotraining, op9_language_id, op10_ngram_jaccard)}
 
 
 def oracle_sql() -> dict[str, str]:

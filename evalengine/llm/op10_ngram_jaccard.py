@@ -64,6 +64,24 @@ def lead(ids: list[int], sketches: np.ndarray, leaders: list[tuple[int, np.ndarr
     return edges
 
 
+def forest(edges: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """A spanning forest of the edges: (id, root) for every id that is not its own root."""
+    above: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        top = x
+        while (up := above.get(top, top)) != top:
+            top = up
+        while x != top:
+            above[x], x = top, above.get(x, x)
+        return top
+
+    for a, b in edges:
+        x, y = root(a), root(b)
+        above[max(x, y)] = min(x, y)
+    return [(x, top) for x in list(above) if (top := root(x)) != x]
+
+
 def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
     """Edges ``a``, ``b`` between ids that share a band bucket, a forest of each bucket's near documents."""
     schema = "key long, id long, other long, sketch binary"
@@ -100,8 +118,8 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
                 owner.append(chosen)
             owner = np.concatenate(owner)
             yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(ids[owner]), pa.nulls(len(owner), pa.int64()), pa.array([small[i].tobytes() for i in owner], pa.binary())], names=["key", "id", "other", "sketch"])
-            if edges:
-                a, b = np.array(sorted(set(edges)), np.int64).T
+            if edges := forest(edges):
+                a, b = np.array(edges, np.int64).T
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(a), pa.array(b), pa.nulls(len(a), pa.binary())], names=["key", "id", "other", "sketch"])
 
     def bucketed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -123,7 +141,7 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
                         edges.append((int(ids[i]), other[i]))
                     else:
                         edges += lead([int(ids[i])], np.frombuffer(sketch[i].as_py(), np.uint8)[None, :], leaders)
-            if edges:
+            if edges := forest(edges):
                 a, b = np.array(edges, np.int64).T
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 

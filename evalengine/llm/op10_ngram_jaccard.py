@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evalengine.llm._blocks import Linker, block_of, forest, met, verified
 from evalengine.llm._common import checkpointed, components, table, whole_text
 from evalengine.llm._shingles import sets_of, shingles
 
@@ -64,24 +65,6 @@ def lead(ids: list[int], sketches: np.ndarray, leaders: list[tuple[int, np.ndarr
     return edges
 
 
-def forest(edges: list[tuple[int, int]]) -> list[tuple[int, int]]:
-    """A spanning forest of the edges: (id, root) for every id that is not its own root."""
-    above: dict[int, int] = {}
-
-    def root(x: int) -> int:
-        top = x
-        while (up := above.get(top, top)) != top:
-            top = up
-        while x != top:
-            above[x], x = top, above.get(x, x)
-        return top
-
-    for a, b in edges:
-        x, y = root(a), root(b)
-        above[max(x, y)] = min(x, y)
-    return [(x, top) for x in list(above) if (top := root(x)) != x]
-
-
 def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
     """Edges ``a``, ``b`` between ids that share a band bucket, a forest of each bucket's near documents."""
     schema = "key long, id long, other long, sketch binary"
@@ -149,61 +132,29 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
     return read.mapInArrow(signed, schema).repartition("key").sortWithinPartitions("key", "id").mapInArrow(bucketed, "a long, b long")
 
 
-def verified(sets: DataFrame, threshold: float) -> DataFrame:
-    """Exact links inside the groups ``(component, i, j)``: a row for each text and group with its links there."""
-    part, whole = round(threshold * 1000), 1000
+def jaccard(threshold: float) -> Linker:
+    """Links between sets of 64-bit hashes, exactly: common * 1000 >= threshold * 1000 * union."""
+    part, whole, wide = round(threshold * 1000), 1000, 4096
 
-    def links(rows: list[tuple], i: int, j: int) -> list[tuple[int, int, int, int]]:
-        ids, blocks = [r[0] for r in rows], np.array([r[1] for r in rows])
-        found = [np.frombuffer(r[3], np.uint64) for r in rows]
+    def linked(payloads: list[bytes]) -> np.ndarray:
+        found = [np.frombuffer(p, np.uint64) for p in payloads]
         sizes = np.array([len(s) for s in found], np.int64)
         values, column = np.unique(np.concatenate(found), return_inverse=True)
-        owner = np.repeat(np.arange(len(rows)), sizes)
+        owner = np.repeat(np.arange(len(found)), sizes)
         shared = np.bincount(column, minlength=len(values)) > 1
         keep = shared[column]
-        place = (np.cumsum(shared) - 1)[column[keep]]
-        owner = owner[keep]
+        place, owner = (np.cumsum(shared) - 1)[column[keep]], owner[keep]
         order = np.argsort(place, kind="stable")
         place, owner = place[order], owner[order]
-        common, wide = np.zeros((len(rows), len(rows)), np.int64), 4096
+        common = np.zeros((len(found), len(found)), np.int64)
         for c in range(0, int(shared.sum()), wide):
             x, y = np.searchsorted(place, (c, c + wide))
-            m = np.zeros((len(rows), wide), np.float32)
+            m = np.zeros((len(found), wide), np.float32)
             m[owner[x:y], place[x:y] - c] = 1
             common += (m @ m.T).astype(np.int64)
-        linked = common * whole >= part * (sizes[:, None] + sizes[None, :] - common)
-        np.fill_diagonal(linked, False)
-        if i != j:
-            linked &= blocks[:, None] != blocks[None, :]
-        copies = np.array([r[2] for r in rows], np.int64)
-        root = np.arange(len(rows))
-        while True:
-            best = np.where(linked, root[None, :], len(rows)).min(axis=1, initial=len(rows))
-            new = np.minimum(root, best)
-            new = new[new]
-            if (new == root).all():
-                break
-            root = new
-        return [(ids[k], int(linked[k].sum()), int(copies[linked[k]].sum()), ids[root[k]]) for k in range(len(rows))]
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, rows = None, []
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            if len(rows) > 1:
-                out = links(rows, held[1], held[2])
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=["id", "texts", "documents", "root"])
-
-        for batch in batches:
-            for component, i, j, *row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if (component, i, j) != held:
-                    yield from flush()
-                    held, rows = (component, i, j), []
-                rows.append(row)
-        if held is not None:
-            yield from flush()
+        return common * whole >= part * (sizes[:, None] + sizes[None, :] - common)
 
-    return sets.select("component", "i", "j", "id", "block", "copies", "shingles").mapInArrow(run, "id long, texts long, documents long, root long")
+    return linked
 
 
 def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 20, rows: int = 4, block: int = 192) -> DataFrame:
@@ -215,7 +166,7 @@ def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 2
     members = checkpointed(ids.join(near, ids["doc_id"] == near["id"]).select("doc_id", "component", "digest").groupBy("doc_id", "component").agg(F.min("digest").alias("digest")))
     texts = members.groupBy("component", "digest").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies"))
     counted = texts.groupBy("component").agg(F.count("*").alias("n")).where("n > 1").withColumn("blocks", F.ceil(F.col("n") / block).cast("int"))
-    placed = texts.join(counted, "component").select("id", "component", "copies", "blocks", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int").alias("block"))
+    placed = texts.join(counted, "component").select("id", "component", "copies", "blocks", block_of("id", F.col("blocks")).alias("block"))
     read = docs.select(F.col("doc_id").cast("long").alias("id"), whole_text().alias("text")).join(placed, "id")
 
     def shingled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -225,11 +176,9 @@ def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 2
                 yield pa.RecordBatch.from_arrays([batch.column(0), *batch.columns[2:], found], names=["id", "component", "copies", "blocks", "block", "shingles"])
 
     sets = read.select("id", "text", "component", "copies", "blocks", "block").mapInArrow(shingled, "id long, component long, copies long, blocks int, block int, shingles binary")
-    met = sets.withColumn("x", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumns({"i": F.least("block", "x"), "j": F.greatest("block", "x")})
-    met = met.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j", "id")
-    found = checkpointed(verified(met, threshold))
+    found = checkpointed(verified(met(sets), jaccard(threshold), "shingles"))
     joined = components(found.select(F.col("id").alias("a"), F.col("root").alias("b")))
-    links = found.groupBy("id").agg(F.sum("texts").alias("texts"), F.sum("documents").alias("documents"))
+    links = found.groupBy("id").agg(F.sum("items").alias("texts"), F.sum("copies").alias("documents"))
     of_text = texts.join(links, "id", "left").join(joined.withColumnRenamed("component", "class"), "id", "left")
     of_doc = members.join(of_text.withColumnRenamed("id", "text_id"), ["component", "digest"]).groupBy("doc_id").agg(
         F.min(F.coalesce("class", "text_id")).alias("class_id"), F.min("text_id").alias("text_id"),

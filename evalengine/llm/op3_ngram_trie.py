@@ -35,6 +35,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -163,6 +164,27 @@ def restored(q: np.ndarray) -> np.ndarray:
     return q.astype(np.float64) * GRAIN + FLOOR
 
 
+def small(batch: pa.RecordBatch, column: int, chars: int = 6_000_000) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch of about ``chars`` bytes of text each (a longer text is a slice of its own)."""
+    size = np.cumsum(np.asarray(pc.binary_length(batch.column(column)), dtype=np.int64)) // chars
+    edge = [0, *(np.flatnonzero(np.diff(size)) + 1), batch.num_rows]
+    for a, b in zip(edge, edge[1:], strict=False):
+        if b > a:
+            yield batch.slice(a, b - a)
+
+
+def paired(context: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (context, word) pairs in order: their parts, first places, places of all, and counts."""
+    if not len(context):
+        none = np.zeros(0, np.int64)
+        return none, none, none, none, none
+    if max(int(context.max()), int(word.max()) + 1) < 1 << 31 and int(word.min()) >= -1:
+        key, at, where, seen = np.unique((context.astype(np.int64) << 32) | (word + 1).astype(np.int64), return_index=True, return_inverse=True, return_counts=True)
+        return key >> 32, (key & 0xFFFFFFFF) - 1, at, where, seen
+    key, at, where, seen = np.unique(np.column_stack((context, word)).astype(np.int64), axis=0, return_index=True, return_inverse=True, return_counts=True)
+    return key[:, 0], key[:, 1], at, where.reshape(-1), seen
+
+
 # The trie.
 
 
@@ -252,10 +274,10 @@ def _backed(trie: Trie, ids: np.ndarray, logs: np.ndarray, starts: np.ndarray, o
         context = np.concatenate(([-1], node[:-1]))
         context[first] = -1
         rows = np.flatnonzero(context >= 0)
-        pairs, where = np.unique(np.column_stack((context[rows], ids[rows])).astype(np.int64).view("i8,i8").reshape(-1), return_inverse=True) if len(rows) else (None, None)
+        pair_context, pair_word, _, where, _ = paired(context[rows], ids[rows])
         node, log = np.full(len(ids), -1, np.int64), log.copy()
-        if pairs is not None:
-            n, p, b = trie.children(level, pairs["f0"], pairs["f1"])
+        if len(rows):
+            n, p, b = trie.children(level, pair_context, pair_word)
             hit = n[where] >= 0
             node[rows] = n[where]
             log[rows] = np.where(hit, p[where], log[rows] + b[where])
@@ -316,12 +338,11 @@ def learn(docs: DataFrame, order: int = ORDER) -> Trie:
     trie = Trie(folder, shards, [], 0, 0, 0)
 
     def word_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                distinct, codes, _ = token_hashes(batch.column(0))
-                seen = np.bincount(codes, minlength=len(distinct))
-                distinct, seen = distinct[seen > 0], seen[seen > 0]
-                yield from _sent(trie.word_shard(distinct), shards, distinct, seen.astype(np.uint32))
+        for part in (p for batch in batches for p in small(batch, 0)):
+            distinct, codes, _ = token_hashes(part.column(0))
+            seen = np.bincount(codes, minlength=len(distinct))
+            distinct, seen = distinct[seen > 0], seen[seen > 0]
+            yield from _sent(trie.word_shard(distinct), shards, distinct, seen.astype(np.uint32))
 
     def word_level(shard: int, blobs: list[bytes]) -> tuple[int, int, int]:
         keys, counts = (np.concatenate(x) for x in zip(*(_read_run(b, np.uint32) for b in blobs), strict=True))
@@ -349,19 +370,16 @@ def learn(docs: DataFrame, order: int = ORDER) -> Trie:
 
 def _gram_runs(trie: Trie, level: int):
     def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            distinct, codes, starts = token_hashes(batch.column(0))
+        for part in (p for batch in batches for p in small(batch, 0)):
+            distinct, codes, starts = token_hashes(part.column(0))
             ids, counts = trie.words(distinct)
             ids, logs = np.where(counts >= MIN_COUNT, ids, -1)[codes], trie.word_logs(counts)[codes]
             node, log = _backed(trie, ids, logs, starts, level - 1)
             context = np.concatenate(([-1], node[:-1]))
             context[starts[:-1]] = -1
             good = np.flatnonzero((context >= 0) & (node >= 0))
-            pair = np.column_stack((context[good], ids[good])).view("i8,i8").reshape(-1)
-            pair, at, seen = np.unique(pair, return_index=True, return_counts=True)
-            context, word, lower = pair["f0"], pair["f1"], quantised(log[good][at])
+            context, word, at, _, seen = paired(context[good], ids[good])
+            lower = quantised(log[good][at])
             order = np.argsort(context, kind="stable")
             yield from _sent(trie.word_shard(context.astype(np.uint64))[order], trie.shards, context[order], word[order].astype(np.uint32), seen[order].astype(np.uint32), lower[order])
 
@@ -403,9 +421,7 @@ def score(docs: DataFrame, trie: Trie) -> DataFrame:
     order = len(trie.bases)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
+        for batch in (p for whole in batches for p in small(whole, 2)):
             distinct, codes, starts = token_hashes(batch.column(2))
             ids, counts = trie.words(distinct)
             base = np.log10((counts + 0.5) / (trie.tokens + 0.5 * (trie.types + 1)))

@@ -8,9 +8,12 @@ retried with a larger one: digests are dealt by hash over blocks, as many as bot
 each block has a sketch of its own that peels alone. Blocks keep the work linear in the length of a text; the
 blocks' sketches grow along a ladder until all peel.
 
-``aggregate`` builds sketches and peels them inside the row, so a pair costs no shuffle. Finding each document's
-successor in descending id order is one shuffle on id ranges; documents at a range's edge are copied into the
-range above, which makes the window local.
+Over a whole table this is done in generated code: a document's digests become rows of cells, an aggregation by cell
+builds the difference of both sketches, and each round of peeling is one more aggregation. A round looks at one
+subtable only, where a digest has one cell, so that no digest is taken out twice. All of it stays in the partitions
+of the one shuffle that finds each document's successor in descending id order; documents at the edge of an id
+range are copied into the range above, which makes that window local. Sketches are sized by both texts' unit
+counts; the rare pair that does not peel in ``ROUNDS`` rounds is retried in its row, by ``differing``.
 
 Defined cases: null text is the empty text, which has no units; two texts without units are alike (1), one
 without is unlike the other (0); repeated ids are ordered by text; a null id comes after all others; the last
@@ -26,6 +29,7 @@ from evalengine.llm._common import table, whole_text
 
 UNIT_END = r"\n+|(?<=[.!?])\s+"
 BASE, LOAD, LADDER = 24, 36, (96, 288, 960)
+ROUNDS, ROOM = 18, 0.55
 CELL = "struct<c:int,k:bigint,h:bigint>"
 
 
@@ -121,19 +125,54 @@ def differing(a: Column, b: Column, base_a: Column, base_b: Column) -> Column:
     return F.aggregate(F.array(first, *rest), none, tried)
 
 
-def likeness(a: Column, b: Column, found: Column) -> Column:
-    n = F.size(a) + F.size(b)
-    return F.when(n == 0, 1.0).otherwise(1 - (F.size(found["left"]) + F.size(found["right"])) / n)
-
-
 def written(cells: Column) -> Column:
-    """A sketch as text: 18 bytes a cell, in base 64."""
-    spelled = F.array_join(F.transform(cells, lambda c: F.concat(F.lpad(F.hex(F.pmod(c["c"], F.lit(65536))), 4, "0"), F.lpad(F.hex(c["k"]), 16, "0"), F.lpad(F.hex(c["h"]), 16, "0"))), "")
+    """A sketch's cells in use as text: index, count, key and check, in base 64."""
+    spelled = F.array_join(F.transform(cells, lambda c: F.concat(F.lpad(F.hex(c["cell"]), 2, "0"), F.lpad(F.hex(F.pmod(c["c"], F.lit(65536))), 4, "0"), F.lpad(F.hex(c["k"]), 16, "0"), F.lpad(F.hex(c["h"]), 16, "0"))), "")
     return F.base64(F.unhex(spelled))
 
 
+KEYS = ("range", "number", "pair", "third", "cell")
+
+
+def _cells(rows: DataFrame) -> DataFrame:
+    """Sum what falls into each cell; cells that are empty go."""
+    return rows.groupBy(*KEYS).agg(F.sum("c").alias("c"), F.bit_xor("k").alias("k"), F.bit_xor("h").alias("h")).where("cell < 0 OR c <> 0 OR k <> 0 OR h <> 0")
+
+
+def subtracted(listed: DataFrame) -> DataFrame:
+    """Cells of the difference sketches of pairs 0 (text, edited) and 1 (text, next), and of the base sketches 2 (text)
+    and 3 (edited), from the unit lists ``a``, ``e`` and ``n`` of each row."""
+    third = lambda x, y: F.ceil((F.size(x) + F.size(y)) * ROOM).cast("int") + 11
+    base = F.lit(BASE // 3)
+    part = lambda units, pair, sign, wide: F.transform(units, lambda d: F.struct(F.lit(pair).alias("pair"), wide.alias("third"), F.lit(sign).cast("long").alias("c"), d.alias("k")))
+    parts = F.concat(
+        part("a", 0, 1, third("a", "e")), part("e", 0, -1, third("a", "e")), part("a", 1, 1, third("a", "n")), part("n", 1, -1, third("a", "n")),
+        part("a", 2, 1, base), part("e", 3, 1, base),
+    )
+    rows = listed.select("range", "number", F.explode(parts).alias("x")).select("range", "number", "x.pair", "x.third", "x.c", "x.k")
+    rows = rows.withColumn("h", _check(F.col("k")))
+    return _cells(rows.withColumn("cell", F.explode(F.array(*(_slot(F.col("k"), F.lit(j), F.col("third")) + F.col("third") * j for j in range(3))))))
+
+
+def peeled(cells: DataFrame) -> DataFrame:
+    """Peel pairs 0 and 1. Digests found count in the cells -1 (only in the first text) and -2 (only in the second)."""
+    for r in range(ROUNDS):
+        j = r % 3
+        third = F.col("third")
+        pure = (F.col("pair") < 2) & (F.abs("c") == 1) & (F.col("cell") >= third * j) & (F.col("cell") < third * (j + 1)) & (F.col("h") == _check(F.col("k")))
+        row = lambda cell, c, k, h: F.struct(cell.cast("int").alias("cell"), c.cast("long").alias("c"), k.alias("k"), h.alias("h"))
+        others = [row(_slot(F.col("k"), F.lit(i), third) + third * i, -F.col("c"), F.col("k"), F.col("h")) for i in range(3) if i != j]
+        none = F.lit(0).cast("long")
+        found = row(F.when(F.col("c") > 0, -1).otherwise(-2), F.lit(1), none, none)
+        kept = row(F.col("cell"), F.col("c"), F.col("k"), F.col("h"))
+        moved = cells.withColumn("x", F.explode(F.when(pure, F.array(*others, found)).otherwise(F.array(kept))))
+        cells = _cells(moved.select("range", "number", "pair", "third", "x.cell", "x.c", "x.k", "x.h"))
+    return cells
+
+
 def followed(docs: DataFrame, ranges: int | None = None) -> DataFrame:
-    """``docs`` (doc_id, text, ...) with ``next_text``: the text of the next document in descending id order."""
+    """``docs`` (doc_id, text, ...) with ``next_text``, the text of the next document in descending id
+    order, and ``range``, ``number``: the partition key and the place in it."""
     spark = docs.sparkSession
     ranges = ranges or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     lowest = F.lit(-(1 << 63) + 1)
@@ -141,13 +180,14 @@ def followed(docs: DataFrame, ranges: int | None = None) -> DataFrame:
     steps = [i / ranges for i in range(1, ranges)] + [1.0]
     bounds = sorted(set(keyed.agg(F.percentile_approx("at", steps, 100 * ranges)).first()[0] or []) | set(keyed.agg(F.max("at")).first()) - {None})
     if not bounds:
-        return docs.withColumn("next_text", F.lit(None).cast("string"))
+        return docs.withColumns({"next_text": F.lit(None).cast("string"), "range": F.lit(0), "number": F.lit(0)})
     edge = F.array(*map(F.lit, bounds))
     own = F.size(F.filter(edge, lambda b: b < F.col("at")))
     above = F.when(F.col("at") == bounds[-1], F.struct(F.lit(0).alias("range"), F.lit(2).alias("rank"))).when(F.array_contains(edge, F.col("at")), F.struct((own + 1).alias("range"), F.lit(1).alias("rank")))
     placed = keyed.withColumn("place", F.explode(F.filter(F.array(F.struct(own.alias("range"), F.lit(0).alias("rank")), above), lambda p: p.isNotNull()))).withColumn("range", F.col("place.range")).withColumn("rank", F.col("place.rank"))
     order = Window.partitionBy("range").orderBy("rank", F.desc("at"), F.desc("text"))
-    return placed.withColumn("next_text", F.lead("text").over(order)).where("rank = 0").drop("at", "place", "range", "rank")
+    numbered = placed.withColumns({"next_text": F.lead("text").over(order), "number": F.row_number().over(order)})
+    return numbered.where("rank = 0").drop("at", "place", "rank")
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
@@ -155,15 +195,27 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     read = followed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text")))
     sized = read.withColumn("n_chars", F.length("text").cast("long")).withColumn("cut", F.floor(F.col("n_chars") / 2).cast("int"))
     edited = sized.withColumn("edited", F.concat(F.substring("text", F.lit(1), (F.col("n_chars") - F.col("cut")).cast("int")), F.substring("next_text", F.lit(1), F.col("cut"))))
-    listed = edited.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), units(F.col("text")).alias("a"), units(F.col("edited")).alias("e"), units(F.col("next_text")).alias("n"))
-    based = listed.withColumn("bases", F.transform(F.array("a", "e", "n"), lambda u: sketch(u, F.lit(BASE))))
-    pair = lambda i, y: F.struct(F.col("a").alias("x"), F.col(y).alias("y"), F.col("bases")[0].alias("p"), F.col("bases")[i].alias("q"))
-    found = based.select("*", F.transform(F.array(pair(1, "e"), pair(2, "n")), lambda p: let(differing(p["x"], p["y"], p["p"], p["q"]), lambda d: F.struct(likeness(p["x"], p["y"], d).alias("near"), F.size(d["left"]).cast("long").alias("gone"), F.size(d["right"]).cast("long").alias("new")))).alias("found"),
-                         F.transform(F.slice("bases", 1, 2), written).alias("written"))
-    return found.select(
-        "doc_id", "n_chars", "edited_sha256", F.col("written")[0].alias("fingerprint"), F.col("written")[1].alias("edited_fingerprint"),
-        F.col("found")[0]["near"].alias("near_edited"), F.col("found")[1]["near"].alias("near_next"),
-        F.size("a").cast("long").alias("n_units"), F.col("found")[0]["gone"].alias("gone"), F.col("found")[0]["new"].alias("new"),
+    listed = edited.select("range", "number", "doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), units(F.col("text")).alias("a"), units(F.col("edited")).alias("e"), units(F.col("next_text")).alias("n"))
+    in_cell = lambda pair, cell: F.coalesce(F.sum(F.when((F.col("pair") == pair) & (F.col("cell") == cell), F.col("c"))), F.lit(0))
+    left = lambda pair: F.count_if((F.col("pair") == pair) & (F.col("cell") >= 0))
+    sketched = lambda pair: F.sort_array(F.collect_list(F.when(F.col("pair") == pair, F.struct("cell", "c", "k", "h"))))
+    found = peeled(subtracted(listed)).groupBy("range", "number").agg(
+        *(f(i).alias(f"{name}{i}") for i in (0, 1) for name, f in (("gone", lambda p: in_cell(p, -1)), ("new", lambda p: in_cell(p, -2)), ("left", left))),
+        written(sketched(2)).alias("fingerprint"), written(sketched(3)).alias("edited_fingerprint"),
+    )
+    both = listed.join(found, ["range", "number"], "left")
+
+    def settled(i: int, other: str) -> Column:
+        """(gone, new) of a pair: as peeled, or by larger sketches if cells were left over."""
+        retried = differing(F.col("a"), F.col(other), sketch(F.col("a"), F.lit(BASE)), sketch(F.col(other), F.lit(BASE)))
+        again = let(retried, lambda d: F.struct(F.size(d["left"]).cast("long").alias("gone"), F.size(d["right"]).cast("long").alias("new")))
+        return F.when(F.coalesce(F.col(f"left{i}"), F.lit(0)) == 0, F.struct(F.coalesce(f"gone{i}", F.lit(0)).cast("long").alias("gone"), F.coalesce(f"new{i}", F.lit(0)).cast("long").alias("new"))).otherwise(again)
+
+    near = lambda other, d: F.when(F.size("a") + F.size(other) == 0, 1.0).otherwise(1 - (F.col(d)["gone"] + F.col(d)["new"]) / (F.size("a") + F.size(other)))
+    return both.withColumns({"to_edited": settled(0, "e"), "to_next": settled(1, "n")}).select(
+        "doc_id", "n_chars", "edited_sha256", F.coalesce("fingerprint", F.lit("")).alias("fingerprint"), F.coalesce("edited_fingerprint", F.lit("")).alias("edited_fingerprint"),
+        near("e", "to_edited").alias("near_edited"), near("n", "to_next").alias("near_next"),
+        F.size("a").cast("long").alias("n_units"), F.col("to_edited.gone").alias("gone"), F.col("to_edited.new").alias("new"),
     )
 
 

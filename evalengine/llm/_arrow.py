@@ -39,6 +39,13 @@ def coded_chunks(texts: pa.Array) -> Chunks:
     return Chunks(chunks, codes, starts, odd.tolist())
 
 
+def small(batch: pa.RecordBatch, size: int = 6_000_000) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch of about ``size`` bytes each, so that a worker's memory follows the slice and not the batch."""
+    step = max(1, int(batch.num_rows * size // max(1, batch.nbytes)))
+    for at in range(0, batch.num_rows, step):
+        yield batch.slice(at, step)
+
+
 def letters_of(word: str) -> list[str]:
     """The maximal runs of letters of a chunk."""
     return _LETTERS(word)
@@ -63,8 +70,8 @@ def appended(df: DataFrame, added: str, columns: Callable[[pa.RecordBatch], list
     df = clear_of(df, *extra.names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
+        for whole in batches:
+            for batch in small(whole):
                 yield pa.RecordBatch.from_arrays([*batch.columns, *columns(batch)], names=[*batch.schema.names, *extra.names])
 
     return df.mapInArrow(run, StructType([*(StructField(f.name, f.dataType, True) for f in df.schema), *extra]))

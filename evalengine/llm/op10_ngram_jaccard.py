@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evalengine.llm._arrow import small
 from evalengine.llm._blocks import Linker, block_of, forest, met, verified
 from evalengine.llm._common import checkpointed, components, table, whole_text
 from evalengine.llm._shingles import sets_of, shingles
@@ -70,9 +71,7 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
     schema = "key long, id long, other long, sketch binary"
 
     def signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
+        for batch in (part for whole in batches for part in small(whole, 16_000_000)):
             sig = signatures(batch.column(1), bands * rows, width)
             ids = batch.column(0).to_numpy()
             small = (sig & 255).astype(np.uint8)
@@ -170,8 +169,8 @@ def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 2
     read = docs.select(F.col("doc_id").cast("long").alias("id"), whole_text().alias("text")).join(placed, "id")
 
     def shingled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
+        for whole in batches:
+            for batch in small(whole):
                 found = pa.array([s.tobytes() for s in sets_of(batch.column(1), width)], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column(0), *batch.columns[2:], found], names=["id", "component", "copies", "blocks", "block", "shingles"])
 

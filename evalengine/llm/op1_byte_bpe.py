@@ -33,13 +33,13 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evalengine.llm._arrow import coded_chunks
+from evalengine.llm._arrow import coded_chunks, small
 from evalengine.llm._common import table, whole_text
 
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 LONG_WORD = 96
 UNRANKED = 1 << 60
-CACHE_WORDS = 600_000
+CACHE_WORDS = 500_000
 
 #: Ids by word of a Python worker, kept from task to task, emptied when full; one map for each vocabulary.
 _KNOWN: dict[str, dict[str, bytes]] = {}
@@ -121,7 +121,7 @@ def encode(df: DataFrame, ranks: dict[bytes, int], pattern: str, id_col: str = "
         def entry(ids: list[int]) -> tuple[int, str, bytes]:
             return len(ids), " ".join(map(str, ids)), b"".join([piece[i] for i in ids])
 
-        for batch in batches:
+        for batch in (part for whole in batches for part in small(whole)):
             if len(known) > CACHE_WORDS:
                 known.clear()
             cut = coded_chunks(batch.column(1))

@@ -35,12 +35,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evalengine.llm._arrow import coded_chunks, summed
+from evalengine.llm._arrow import coded_chunks, small, summed
 from evalengine.llm._common import fold_of, shared_dir, table, whole_text
 from evalengine.llm._shingles import mixed
 
@@ -164,15 +163,6 @@ def restored(q: np.ndarray) -> np.ndarray:
     return q.astype(np.float64) * GRAIN + FLOOR
 
 
-def small(batch: pa.RecordBatch, column: int, chars: int = 6_000_000) -> Iterator[pa.RecordBatch]:
-    """Slices of a batch of about ``chars`` bytes of text each (a longer text is a slice of its own)."""
-    size = np.cumsum(np.asarray(pc.binary_length(batch.column(column)), dtype=np.int64)) // chars
-    edge = [0, *(np.flatnonzero(np.diff(size)) + 1), batch.num_rows]
-    for a, b in zip(edge, edge[1:], strict=False):
-        if b > a:
-            yield batch.slice(a, b - a)
-
-
 def paired(context: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Distinct (context, word) pairs in order: their parts, first places, places of all, and counts."""
     if not len(context):
@@ -338,7 +328,7 @@ def learn(docs: DataFrame, order: int = ORDER) -> Trie:
     trie = Trie(folder, shards, [], 0, 0, 0)
 
     def word_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in (p for batch in batches for p in small(batch, 0)):
+        for part in (p for batch in batches for p in small(batch)):
             distinct, codes, _ = token_hashes(part.column(0))
             seen = np.bincount(codes, minlength=len(distinct))
             distinct, seen = distinct[seen > 0], seen[seen > 0]
@@ -370,7 +360,7 @@ def learn(docs: DataFrame, order: int = ORDER) -> Trie:
 
 def _gram_runs(trie: Trie, level: int):
     def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in (p for batch in batches for p in small(batch, 0)):
+        for part in (p for batch in batches for p in small(batch)):
             distinct, codes, starts = token_hashes(part.column(0))
             ids, counts = trie.words(distinct)
             ids, logs = np.where(counts >= MIN_COUNT, ids, -1)[codes], trie.word_logs(counts)[codes]
@@ -421,7 +411,7 @@ def score(docs: DataFrame, trie: Trie) -> DataFrame:
     order = len(trie.bases)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (p for whole in batches for p in small(whole, 2)):
+        for batch in (p for whole in batches for p in small(whole)):
             distinct, codes, starts = token_hashes(batch.column(2))
             ids, counts = trie.words(distinct)
             base = np.log10((counts + 0.5) / (trie.tokens + 0.5 * (trie.types + 1)))

@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evalengine.llm._arrow import coded_chunks, summed
+from evalengine.llm._arrow import coded_chunks, small, summed
 from evalengine.llm._common import checkpointed, table, whole_text
 
 LENGTH, STEP, CLOSING = 4096, 16, 2
@@ -34,7 +34,7 @@ CACHE_CHUNKS = 300_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 #: Ids and projection by chunk of a Python worker, emptied when full; one map for each vocabulary file.
-_KNOWN: dict[str, dict[str, tuple[np.ndarray, np.ndarray]]] = {}
+_KNOWN: dict[str, dict[str, tuple[bytes, int]]] = {}
 
 
 @functools.cache
@@ -49,10 +49,9 @@ def tokenizer(path: str):
     return t
 
 
-def direction(chunk: str) -> np.ndarray:
-    """The signs a chunk adds to the projected document vector."""
-    h = zlib.crc32(chunk.encode()) * 0x9E3779B1 >> 7
-    return np.array([1 if h >> (3 * d) & 1 else -1 for d in range(DIMENSIONS)], np.int64)
+def direction(chunk: str) -> int:
+    """Bits whose signs a chunk adds to the projected document vector."""
+    return (zlib.crc32(chunk.encode()) * 0x9E3779B1 >> 7) & 0xFFFFFFFF
 
 
 def coded(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -64,17 +63,19 @@ def coded(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarra
     if len(known) > CACHE_CHUNKS:
         known.clear()
     new = [c for c in cut.chunks if c not in known]
-    for c, e in zip(new, tokenizer(path).encode_batch(new, add_special_tokens=False), strict=True):
-        known[c] = (np.array(e.ids, np.uint32), direction(c))
+    for k in range(0, len(new), 5000):
+        part = new[k : k + 5000]
+        for c, e in zip(part, tokenizer(path).encode_batch_fast(part, add_special_tokens=False), strict=True):
+            known[c] = (np.array(e.ids, np.uint32).tobytes(), direction(c))
     entries = [known[c] for c in cut.chunks]
-    sizes = np.array([len(e[0]) for e in entries], np.int64)
-    flat = np.concatenate([e[0] for e in entries]) if entries else np.zeros(0, np.uint32)
+    sizes = np.array([len(e[0]) // 4 for e in entries], np.int64)
+    flat = np.frombuffer(b"".join([e[0] for e in entries]), np.uint32)
     begin = np.concatenate(([0], np.cumsum(sizes)))
     each = sizes[cut.codes]
     ends = np.concatenate(([0], np.cumsum(each)))
     ids = flat[np.repeat(begin[cut.codes] - ends[:-1], each) + np.arange(ends[-1])] if len(flat) else flat
-    signs = np.array([e[1] for e in entries]).reshape(-1, DIMENSIONS)
-    vector = np.column_stack([summed(signs[:, d][cut.codes], cut.starts) for d in range(DIMENSIONS)])
+    bits = np.array([e[1] for e in entries], np.int64)
+    vector = np.column_stack([summed(((bits >> 3 * d & 1) * 2 - 1)[cut.codes], cut.starts) for d in range(DIMENSIONS)])
     return ids, ends[cut.starts], vector / np.sqrt(np.maximum(np.diff(cut.starts), 1))[:, None]
 
 
@@ -139,9 +140,7 @@ def tokenized(docs: DataFrame, path: str) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last = np.array([CLOSING], "<u4").tobytes()
-        for batch in batches:
-            if not batch.num_rows:
-                continue
+        for batch in (part for whole in batches for part in small(whole)):
             ids, starts, vectors = coded(batch.column(1), path)
             raw, marks = ids.astype("<u4").tobytes(), []
             for i in range(batch.num_rows):

@@ -40,12 +40,22 @@ def _slot(column: Column, filters: str, on_null: str, name: str) -> Column:
 
 def compiled(template: str, columns: list[str], on_null: str = "empty") -> Column:
     """The template as a Column; names that are not among ``columns`` are errors before any job runs."""
-    parts, pos = TOKEN.finditer(template), 0
+    parts, pos, at = list(TOKEN.finditer(template)), 0, 0
+
+    def repeated(begun: tuple[int, int]):
+        def each(x: Column) -> Column:
+            nonlocal pos, at
+            pos, at = begun
+            return body("endeach", x)
+
+        return each
 
     def body(until: str | None, item: Column | None) -> Column:
-        nonlocal pos
+        nonlocal pos, at
         out: list[Column] = []
-        for m in parts:
+        while at < len(parts):
+            m = parts[at]
+            at += 1
             if m.start() > pos:
                 out.append(F.lit(template[pos : m.start()]))
             pos = m.end()
@@ -65,14 +75,9 @@ def compiled(template: str, columns: list[str], on_null: str = "empty") -> Colum
                     inside = body("endif", item)
                     out.append(F.when(F.length(F.col(name).cast("string")) > 0, inside).otherwise(""))
                 else:
-                    begun = pos
-
-                    def each(x: Column) -> Column:
-                        nonlocal parts, pos
-                        parts, pos = TOKEN.finditer(template, begun), begun
-                        return body("endeach", x)
+                    begun = (pos, at)
 
-                    out.append(F.array_join(F.transform(F.col(name), each), ""))
+                    out.append(F.array_join(F.transform(F.col(name), repeated(begun)), ""))
             elif m[5] != until:
                 raise TemplateError(f"unexpected {m[5]}")
             else:

@@ -74,7 +74,7 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
         for batch in (part for whole in batches for part in small(whole, 16_000_000)):
             sig = signatures(batch.column(1), bands * rows, width)
             ids = batch.column(0).to_numpy()
-            small = (sig & 255).astype(np.uint8)
+            brief = (sig & 255).astype(np.uint8)
             keys, owner, edges = [], [], []
             for b in range(bands):
                 key = np.full(len(ids), b + 1, np.uint64)
@@ -87,19 +87,19 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
                 chosen = [order[edge[:-1][alone]]]
                 for x, y in zip(edge[:-1][~alone], edge[1:][~alone], strict=True):
                     at, leaders = order[x:y], []
-                    same = np.unique(small[at], axis=0, return_index=True, return_inverse=True)
+                    same = np.unique(brief[at], axis=0, return_index=True, return_inverse=True)
                     first = at[same[1]]
                     inverse = same[2].reshape(-1)
                     edges += [(int(ids[i]), int(ids[first[g]])) for i, g in zip(at, inverse, strict=True) if ids[i] != ids[first[g]]]
                     tagged: list = leaders
-                    edges += lead([int(ids[i]) for i in first], small[first], tagged)
+                    edges += lead([int(ids[i]) for i in first], brief[first], tagged)
                     kept = {x[0] for x in leaders}
                     chosen.append(np.array([i for i in first if int(ids[i]) in kept], np.int64))
                 chosen = np.concatenate(chosen)
                 keys.append(key[chosen].view(np.int64))
                 owner.append(chosen)
             owner = np.concatenate(owner)
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(ids[owner]), pa.nulls(len(owner), pa.int64()), pa.array([small[i].tobytes() for i in owner], pa.binary())], names=["key", "id", "other", "sketch"])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(ids[owner]), pa.nulls(len(owner), pa.int64()), pa.array([brief[i].tobytes() for i in owner], pa.binary())], names=["key", "id", "other", "sketch"])
             if edges := forest(edges):
                 a, b = np.array(edges, np.int64).T
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(a), pa.array(b), pa.nulls(len(a), pa.binary())], names=["key", "id", "other", "sketch"])

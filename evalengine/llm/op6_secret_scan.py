@@ -152,7 +152,7 @@ def grown(n: int = 2400, seed: int = 3) -> Forest:
 def findings(texts: list[str], sources: list[str | None], forest: Forest) -> tuple[list[tuple[int, int, int, str]], np.ndarray]:
     """(row, start, end, kind) of every candidate of a batch, and their scores."""
     at = [(i, *c) for i, t in enumerate(texts) for c in candidates(t)]
-    x = np.array([describe(texts[i], a, b, sources[i]) for i, a, b, _ in at], np.float64).reshape(len(at), -1)
+    x = np.array([describe(texts[i], a, b, sources[i]) for i, a, b, _ in at], np.float64)
     return at, forest.predict(x)
 
 

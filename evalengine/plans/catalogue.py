@@ -18,6 +18,7 @@ from evalengine.operators import cache, intervals, judge, measures, significance
 from evalengine.plans.spec import EvaluationSpec, MetricSpec, StatisticsSpec
 from evalengine.responders import simulated
 from evalengine.sources import tables
+from evalengine.sources.staging import shared_folder
 from evalengine.streaming import evaluation as streaming
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -165,9 +166,7 @@ def cache_iteration_counts(spark, d):
     """Four rounds over a real cache: one read-write run, three replays that cannot call."""
     from evalengine.operators.inference import distinct_requests, keyed
 
-    import tempfile
-
-    held = cache.ResponseCache(spark, tempfile.mkdtemp())
+    held = cache.ResponseCache(spark, shared_folder(spark, "cache"))
     rows = distinct_requests(keyed(tables.instruct(spark, d).withColumn("prompt", F.col("instruction")), {"provider": "simulated", "model": "model-a"}))
     call = lambda r: r.withColumns({"response_text": simulated.respond("model-a", 0.8, F.col("cache_key"), F.col("reference")), "prompt_tokens": templating.estimated_tokens(F.col("prompt")), "completion_tokens": F.lit(1), "latency_ms": F.lit(1.0)})
     out = []
@@ -180,11 +179,8 @@ def cache_iteration_counts(spark, d):
 
 @query()
 def cache_footprint(spark, d):
-    import tempfile
-
-    held = cache.ResponseCache(spark, tempfile.mkdtemp())
-    docs = tables.table(spark, d, "documents")
-    entries = docs.select(_key("length").alias("cache_key"), "prompt", "text") if False else docs.withColumn("prompt", F.col("text")).select(
+    held = cache.ResponseCache(spark, shared_folder(spark, "cache"))
+    entries = tables.table(spark, d, "documents").withColumn("prompt", F.col("text")).select(
         _key("length").alias("cache_key"), F.lit("model-a").alias("model_id"), F.lit("simulated").alias("provider_id"), F.col("prompt").alias("prompt_text"), F.substring_index("text", "\n", 1).alias("response_text"),
         templating.estimated_tokens(F.col("prompt")).alias("prompt_tokens"), F.lit(1).alias("completion_tokens"), F.lit(1.0).alias("latency_ms"), F.lit(dt.datetime(2024, 1, 1)).alias("created_ts"), F.lit(None).cast("int").alias("ttl_days"), F.lit(0.0).alias("temperature"), F.lit(1024).alias("max_tokens"))
     held.put(entries, dt.datetime(2024, 1, 1))

@@ -5,17 +5,21 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def staged(df: DataFrame) -> DataFrame:
-    """Materialise a frame once. A stage that calls a model must have one consumer, and this is it; the
-    table survives lost executors. The folder is ``spark.checkpoint.dir``, or a temporary one where that is unset."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession, name: str = "stage") -> str:
+    """A new path in the folder of ``spark.checkpoint.dir``; in a temporary folder only where that is unset, as in tests."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         base = held.get() if held.isDefined() else "file://" + tempfile.mkdtemp(prefix="evalengine-")
-    path = f"{base.rstrip('/')}/stage-{uuid.uuid4().hex}"
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def staged(df: DataFrame) -> DataFrame:
+    """Materialise a frame once. A stage that calls a model must have one consumer, and this is it; the
+    table survives lost executors."""
+    path = shared_folder(df.sparkSession)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

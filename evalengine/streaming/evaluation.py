@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -10,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evalengine.functions.distributions import normal_quantile
+from evalengine.sources.staging import shared_folder
 
 
 def source(spark: SparkSession, folder: str, name: str) -> DataFrame:
@@ -52,7 +52,7 @@ def running_interval(stream: DataFrame, value: str, by: list[str] | None = None,
 def to_end(result: DataFrame, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
     """Run a query over all input there is, and give what it wrote to a memory table."""
     name = f"stream_{uuid.uuid4().hex}"
-    q = result.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint or tempfile.mkdtemp()).trigger(availableNow=True).start()
+    q = result.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint or shared_folder(result.sparkSession, "stream")).trigger(availableNow=True).start()
     q.awaitTermination()
     return result.sparkSession.table(name)
 

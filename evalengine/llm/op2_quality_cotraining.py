@@ -27,7 +27,7 @@ from evalengine.llm._common import table
 from evalengine.llm._logit import Logit, fit_logit, sigmoid
 
 SOURCES, LANGS = 32, 8
-CACHE_CHUNKS = 300_000
+CACHE_CHUNKS = 100_000
 _SHAPE: dict[str, tuple] = {}
 
 

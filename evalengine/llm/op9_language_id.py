@@ -25,7 +25,7 @@ from evalengine.llm._common import fold_of, table
 
 UNDETERMINED = "und"
 LONGEST = 4
-CACHE_WORDS = 300_000
+CACHE_WORDS = 100_000
 
 
 @dataclass

@@ -108,7 +108,7 @@ def predict(df: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
         known = summed(np.array([p[1] for p in per], np.float64)[cut.codes], cut.starts) > 0
         if not langs:
             known[:] = False
-        totals = np.array([summed(np.array([p[0][k] for p in per])[cut.codes], cut.starts) for k in range(len(langs))]).T.reshape(len(texts), -1)
+        totals = np.array([summed(np.array([p[0][k] for p in per])[cut.codes], cut.starts) for k in range(len(langs))]).T.reshape(len(texts), len(langs))
         if not known.any():
             return [pa.array([UNDETERMINED] * len(texts)), pa.array(np.zeros(len(texts)))]
         best = totals.argmax(axis=1)

@@ -30,7 +30,7 @@ from evalengine.llm._common import checkpointed, table, whole_text
 
 LENGTH, STEP, CLOSING = 4096, 16, 2
 DIMENSIONS, BITS = 4, 10
-CACHE_CHUNKS = 300_000
+CACHE_CHUNKS = 700_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 #: Ids and projection by chunk of a Python worker, emptied when full; one map for each vocabulary file.

@@ -60,6 +60,8 @@ def fit(labelled: DataFrame, max_docs: int = 6000, max_words: int = 40_000, text
     sample = rows.where(F.pmod(F.xxhash64(F.col(id_col).cast("string")), F.lit(1 << 20)) < share)
     words = sample.select(F.col(lang_col).alias("lang"), F.explode(F.split(F.lower(text_col), r"[^\p{L}]+")).alias("word")).where("word <> ''")
     counts = words.groupBy("word", "lang").count().orderBy(F.desc("count"), "word", "lang").limit(max_words).collect()
+    if not counts:
+        return Model([], {}, {}, np.zeros(0))
     langs = sorted({r.lang for r in counts})
     at = {x: i for i, x in enumerate(langs)}
     by_word: dict[str, list[float]] = defaultdict(lambda: [0.0] * len(langs))

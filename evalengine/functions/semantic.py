@@ -2,7 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import functools
+import hashlib
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -41,3 +46,34 @@ def greedy_match(df: DataFrame, id_col: str, mine: Column, theirs: Column, vecto
     p = pairs.groupBy(id_col, "a", "k_a").agg(F.max("c").alias("c")).groupBy(id_col).agg((F.sum(F.col("k_a") * F.col("c")) / F.sum("k_a")).alias("precision"))
     r = pairs.groupBy(id_col, "b", "k_b").agg(F.max("c").alias("c")).groupBy(id_col).agg((F.sum(F.col("k_b") * F.col("c")) / F.sum("k_b")).alias("recall"))
     return p.join(r, id_col).withColumn("f1", F.try_divide(2 * F.col("precision") * F.col("recall"), F.col("precision") + F.col("recall")))
+
+
+@functools.lru_cache(100_000)
+def _digest(token: str) -> int:
+    return int(hashlib.sha256(token.encode()).hexdigest()[:8], 16)
+
+
+def token_match(mine: Column, theirs: Column, vectors: str) -> Column:
+    """F of ``greedy_match`` in Arrow batches, with the encoder's whole table (``vectors`` is its path) on each worker.
+
+    An empty side matches an empty one only; the vector of a token is the row of its digest in order of ``vec_id``.
+    """
+    spark = SparkSession.active()
+    table = spark.read.parquet(vectors).select("vec_id", "embedding").orderBy("vec_id").toArrow().column("embedding")
+    m = np.array(table.to_pylist(), np.float64)
+    length = np.sqrt((m * m).sum(axis=1, keepdims=True))
+    shared = spark.sparkContext.broadcast(np.divide(m, length, out=np.zeros_like(m), where=length > 0))
+
+    def f1(a: list[str], b: list[str]) -> float:
+        if not len(a) or not len(b):
+            return float(len(a) == len(b))
+        (x, i), (y, j) = (np.unique([_digest(t) % len(shared.value) for t in s], return_counts=True) for s in (a, b))
+        c = shared.value[x] @ shared.value[y].T
+        p, r = c.max(axis=1) @ i / len(a), c.max(axis=0) @ j / len(b)
+        return float(2 * p * r / (p + r)) if p + r else 0.0
+
+    @F.pandas_udf("double")
+    def scored(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([None if s is None or t is None else f1(s, t) for s, t in zip(a, b, strict=True)], dtype="float64")
+
+    return scored(mine, theirs)

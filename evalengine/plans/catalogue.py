@@ -712,12 +712,12 @@ def type_one_study(spark, d):
 
 @query()
 def evaluate_end_to_end(spark, d):
-    """Exact match, token F1, ROUGE-L and a judge over the instruction set, with BCa intervals."""
+    """Exact match, token F1, ROUGE-L, token matching by vectors and a judge over the instruction set, with BCa intervals."""
     from evalengine.plans.runner import evaluate
     from evalengine.plans.spec import ResponderSpec
 
-    metrics = (MetricSpec("exact_match", kind="binary"), MetricSpec("token_f1"), MetricSpec("rouge_l"), MetricSpec("judge", "judge", "ordinal"))
-    spec = EvaluationSpec("instruction following", metrics, ResponderSpec(params={"quality": 0.8}), statistics=StatisticsSpec(iterations=1000))
+    metrics = (MetricSpec("exact_match", kind="binary"), MetricSpec("token_f1"), MetricSpec("rouge_l"), MetricSpec("token_match", "semantic", options={"vectors": f"{d}/embeddings.parquet"}), MetricSpec("judge", "judge", "ordinal"))
+    spec = EvaluationSpec("instruction following", metrics, ResponderSpec(params={"quality": 0.8}), statistics=StatisticsSpec(iterations=1000, interval="bca"))
     return evaluate(tables.instruct(spark, d), spec)
 
 

@@ -2,14 +2,15 @@
 
 from __future__ import annotations
 
+import math
 import uuid
 from dataclasses import asdict
 from datetime import UTC, datetime
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Row
 from pyspark.sql import functions as F
 
-from evalengine.functions import lexical
+from evalengine.functions import lexical, semantic
 from evalengine.functions.templating import render
 from evalengine.operators import intervals, judge
 from evalengine.operators.cache import ResponseCache
@@ -25,6 +26,7 @@ METRICS = {
     "token_f1": ("continuous", lambda r, g, o: lexical.token_f1(lexical.tokens(r), lexical.tokens(g))),
     "bleu": ("continuous", lambda r, g, o: lexical.sentence_bleu(lexical.tokens(r), lexical.tokens(g), **o)),
     "rouge_l": ("continuous", lambda r, g, o: lexical.rouge_l(lexical.tokens(r), lexical.tokens(g))),
+    "token_match": ("continuous", lambda r, g, o: semantic.token_match(lexical.tokens(r), lexical.tokens(g), **o)),
     "judge": ("ordinal", lambda r, g, o: judge.parse_score(judge.simulated_verdict(F.col("example_id"), lexical.token_f1(lexical.tokens(r), lexical.tokens(g))))),
 }
 
@@ -52,13 +54,22 @@ def score_wide(df: DataFrame, metrics: tuple[MetricSpec, ...], response: str = "
     return df.select("*", *(c.alias(n) for n, c in made.items()))
 
 
+def skewness(point: Row) -> float:
+    """Skewness from the power sums of ``intervals.moments``."""
+    if not point.n:
+        return 0.0
+    m2 = point.s2 - point.n * point.mean**2
+    m3 = point.s3 - 3 * point.mean * point.s2 + 2 * point.n * point.mean**3
+    return math.sqrt(point.n) * m3 / m2**1.5 if m2 > 1e-12 * point.s2 else 0.0
+
+
 def summarise(scores: DataFrame, spec: EvaluationSpec) -> DataFrame:
     """One row for each metric: value, interval, n."""
     s, out = spec.statistics, []
     for m in spec.metrics:
         kind = METRICS[m.name][0]
         point = intervals.moments(scores, m.name).first()
-        method, _ = intervals.choose(kind, point.n, requested=s.interval)
+        method, _ = intervals.choose(kind, point.n, skewness(point), s.interval)
         if point.n == 0:
             row = scores.sparkSession.createDataFrame([(None, None, None)], "value double, ci_lo double, ci_hi double")
         elif method in ("wilson", "wald"):

@@ -243,3 +243,31 @@ def test_end_to_end(spark, small):
 
     for r in flagship(spark, small).collect():
         assert r.n + r.n_missing == 34 and r.ci_lo <= r.value <= r.ci_hi
+
+
+def test_worked_run_keeps_its_method(spark, small):
+    from evalengine.plans.catalogue import evaluate_end_to_end
+
+    rows = {r.metric: r for r in evaluate_end_to_end(spark, small).collect()}
+    assert set(rows) == {"exact_match", "token_f1", "rouge_l", "token_match", "judge"} and {r.ci_method for r in rows.values()} == {"bca"}
+    assert all(r.ci_lo <= r.value <= r.ci_hi for r in rows.values()) and rows["token_match"].n == rows["token_f1"].n
+
+
+def test_many_skewed_values_resample(spark):
+    from evalengine.plans import runner
+
+    df = spark.range(2000).select(F.when(F.col("id") == 0, 1000.0).otherwise((F.col("id") % 7).cast("double")).alias("token_f1"), (F.col("id") % 7).cast("double").alias("rouge_l"))
+    spec = EvaluationSpec("auto", (MetricSpec("token_f1"), MetricSpec("rouge_l")), statistics=StatisticsSpec(iterations=100))
+    assert {r.metric: r.ci_method for r in runner.summarise(df, spec).collect()} == {"token_f1": "bca", "rouge_l": "t"}
+
+
+def test_token_match_equals_joins(spark, small):
+    from evalengine.functions import semantic
+
+    rows = [("a", "", ""), ("b", "", "x"), ("c", "x", ""), ("d", "x y", "x y"), ("e", "one two two six", "two three one one"), ("f", "no", "yes it is so")]
+    df = spark.createDataFrame(rows, "example_id string, response string, reference string")
+    a, b, path = lexical.tokens(F.col("response")), lexical.tokens(F.col("reference")), f"{small}/embeddings.parquet"
+    got = {r.example_id: r.x for r in df.select("example_id", semantic.token_match(a, b, path).alias("x")).collect()}
+    vectors = spark.read.parquet(path)
+    want = {r.example_id: r.f1 for r in semantic.greedy_match(df, "example_id", a, b, vectors, vectors.count()).collect()}
+    assert got == pytest.approx({"a": 1.0, "b": 0.0, "c": 0.0} | want) and len(want) == 3

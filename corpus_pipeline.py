@@ -33,10 +33,17 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep one document, the one of smallest id, of each group of near copies."""
+    """Keep one document, the one of smallest id, of each group of near copies.
+
+    Every row counts as a document of its own under a row number, so null and repeated ids lose no text and keep no copy;
+    a null id comes after all others.
+    """
     importable(spark)
-    kept = op10_ngram_jaccard.join(docs).where("kept").select("doc_id").distinct()
-    return docs.select(*COLUMNS).join(kept, "doc_id", "left_semi").select(*COLUMNS)
+    rows = checkpointed(docs.select(*COLUMNS, F.monotonically_increasing_id().alias("row")))
+    classes = op10_ngram_jaccard.join(rows.select(F.col("row").alias("doc_id"), "text")).select(F.col("doc_id").alias("row"), "class_id")
+    order = F.struct(F.col("doc_id").isNull().alias("lost"), "doc_id", "row")
+    kept = rows.select("row", "doc_id").join(classes, "row").groupBy("class_id").agg(F.min(order).alias("first")).select(F.col("first.row").alias("row"))
+    return rows.join(kept, "row", "left_semi").select(*COLUMNS)
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

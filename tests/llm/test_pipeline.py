@@ -19,6 +19,15 @@ def test_stages(spark, small):
     assert {r.doc_id for r in seen[5].collect()} == {r.doc_id for r in seen[4].collect()}
 
 
+def test_near_duplicates_of_null_and_repeated_ids(spark, small):
+    long = " ".join(f"word{i}" for i in range(60))
+    rows = [(None, "lost id"), (3, "a b c d e"), (3, "a b c d e"), (4, "one text of its own"), (4, "another text of the same id"), (7, long), (None, long), (6, long + " end"), (None, "lost id"), (8, None)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = sorted(((r.doc_id, r.text) for r in corpus_pipeline.near_duplicates(spark, docs, small).collect()), key=str)
+    want = [(None, "lost id"), (3, "a b c d e"), (4, "one text of its own"), (4, "another text of the same id"), (6, long + " end"), (8, None)]
+    assert got == sorted(want, key=str)
+
+
 def test_entry_registers_all(spark):
     import __spark_entry__
 

@@ -8,14 +8,13 @@ given instead) and travels to the executors as arrays of a fixed size.
 ``scan`` returns a row for each candidate with its score, ``redact`` puts a placeholder in the place of each secret.
 Both are one narrow Arrow step over whole texts.
 
-Defined cases: null or empty text has no candidates; overlapping candidates are merged, the longer one first;
+Defined cases: null or empty text has no candidates; overlapping matches are one candidate, their union, with the best score;
 positions are in code points; repeated rows each give their findings; secrets leave only as a digest.
 """
 
 from __future__ import annotations
 
 import base64
-import bisect
 import functools
 import hashlib
 import math
@@ -49,27 +48,29 @@ WORDS = frozenset("the and for with from this that get set user name file path t
 _WORD = re.compile(r"[A-Za-z]+\d*")
 
 
-def candidates(text: str) -> list[tuple[int, int, str]]:
-    """(start, end, kind) of each candidate, in order and without overlaps."""
+def proposals(text: str) -> list[tuple[int, int, str, list[tuple[int, int]]]]:
+    """(start, end, kind, parts) of each candidate, in order and without overlaps: the union of matches that overlap."""
     found = []
     if "-----BEGIN" in text:
         found += [(m.start(), m.end(), "private key") for m in PEM.finditer(text)]
-    for m in RUN.finditer(text):
-        value = m[0]
-        if value.isalpha() and (value.islower() or value[1:].islower() or value.isupper()):
-            continue
-        if not any(map(str.isdigit, value)) and not value.startswith("eyJ"):
-            continue
-        kind = next((k for k, p in PREFIXES.items() if p.match(value)), "random text")
-        found.append((m.start(), m.end(), kind))
+    found += [(m.start(), m.end(), next((k for k, p in PREFIXES.items() if p.match(m[0])), "random text")) for m in RUN.finditer(text)]
     if ("=" in text or ":" in text) and NAMED.search(text):
         found += [(m.start(1), m.end(1), "assigned value") for m in NAMED.finditer(text)]
-    out: list[tuple[int, int, str]] = []
-    for x in sorted(found, key=lambda x: (x[2] == "assigned value", x[0] - x[1], x[0])):
-        k = bisect.bisect_left(out, x)
-        if (k == 0 or out[k - 1][1] <= x[0]) and (k == len(out) or out[k][0] >= x[1]):
-            out.insert(k, x)
-    return out
+    out: list[list[tuple[int, int, str]]] = []
+    end = 0
+    for x in sorted(found):
+        if x[0] < end:
+            out[-1].append(x)
+        else:
+            out.append([x])
+        end = max(end, x[1])
+    known = lambda x: (x[2] in PREFIXES or x[2] == "private key", x[1] - x[0], x[2] != "assigned value")
+    return [(g[0][0], max(x[1] for x in g), max(g, key=known)[2], list(dict.fromkeys(x[:2] for x in g))) for g in out]
+
+
+def candidates(text: str) -> list[tuple[int, int, str]]:
+    """(start, end, kind) of each candidate, in order and without overlaps."""
+    return [x[:3] for x in proposals(text)]
 
 
 def describe(text: str, start: int, end: int, source: str | None) -> list[float]:
@@ -150,10 +151,13 @@ def grown(n: int = 2400, seed: int = 3) -> Forest:
 
 
 def findings(texts: list[str], sources: list[str | None], forest: Forest) -> tuple[list[tuple[int, int, int, str]], np.ndarray]:
-    """(row, start, end, kind) of every candidate of a batch, and their scores."""
-    at = [(i, *c) for i, t in enumerate(texts) for c in candidates(t)]
-    x = np.array([describe(texts[i], a, b, sources[i]) for i, a, b, _ in at], np.float64)
-    return at, forest.predict(x)
+    """(row, start, end, kind) of every candidate of a batch, and their scores: the best of their parts."""
+    at = [(i, *c) for i, t in enumerate(texts) for c in proposals(t)]
+    if not at:
+        return [], np.zeros(0)
+    scores = forest.predict(np.array([describe(texts[i], a, b, sources[i]) for i, *_, parts in at for a, b in parts], np.float64))
+    starts = np.cumsum([0, *(len(parts) for *_, parts in at[:-1])])
+    return [x[:4] for x in at], np.maximum.reduceat(scores, starts)
 
 
 def scan(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5) -> DataFrame:

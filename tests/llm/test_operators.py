@@ -242,6 +242,16 @@ def test_op6_held_out_findings_and_redaction(spark, docs, odd):
     assert op6_secret_scan.redact(odd).count() == len(ODD) and op6_secret_scan.scan(odd).count() >= 0
 
 
+def test_op6_keys_without_digits_and_overlaps(spark):
+    keys = ["AKIA" + "QWERTYUIOPASDFGH", "ghp_" + "aBcDeFgHiJkLmNoPqRsTuVwXyZaBcDeFgHiJ", "sk-live-" + "QwErTyUiOpAsDfGhJkLzXcVb", "AIza" + "SyAbCdEfGhIjKlMnOpQrStUvWxYzAbCdEfG"]
+    texts = [f"see {k} here" for k in keys] + ['password="Ab!#c9d8e7f6g5h4i3j2k1"', "internationalization of src/main/resources/templates in snake_case_function_name"]
+    docs = spark.createDataFrame([(i, t, "en", "web", len(t)) for i, t in enumerate(texts)], COLUMNS)
+    clean = [r.text for r in op6_secret_scan.redact(docs).orderBy("doc_id").collect()]
+    assert clean == ["see [SECRET] here"] * 4 + ['password="[SECRET]"', texts[5]]
+    rows = op6_secret_scan.scan(docs).where("doc_id <= 4").orderBy("doc_id").collect()
+    assert [(r.start, r.length, r.kind) for r in rows] == [(4, len(k), n) for k, n in zip(keys, ["cloud key", "code host token", "api key", "api key"], strict=True)] + [(10, 22, "assigned value")]
+
+
 # op7
 
 

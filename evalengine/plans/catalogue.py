@@ -702,12 +702,12 @@ def streaming_running_interval(spark, d):
 
 @query()
 def coverage_study(spark, d):
-    return validate.coverage(spark, datasets=200, sizes=(50, 200), iterations=400)
+    return validate.coverage(spark)
 
 
 @query()
 def type_one_study(spark, d):
-    return validate.type_one(spark, comparisons=4000)
+    return validate.type_one(spark)
 
 
 @query()

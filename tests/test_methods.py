@@ -271,3 +271,13 @@ def test_token_match_equals_joins(spark, small):
     vectors = spark.read.parquet(path)
     want = {r.example_id: r.f1 for r in semantic.greedy_match(df, "example_id", a, b, vectors, vectors.count()).collect()}
     assert got == pytest.approx({"a": 1.0, "b": 0.0, "c": 0.0} | want) and len(want) == 3
+
+
+def test_registered_studies_are_whole(spark, small):
+    from evalengine.plans.catalogue import coverage_study, type_one_study
+
+    seen = {(r.n, r.method): (r.datasets, r.coverage) for r in coverage_study(spark, small).collect()}
+    assert set(seen) == set(itertools.product((50, 200, 1000), ("t", "percentile", "bca")))
+    assert all(d == 1000 and 0.9 < c < 0.98 for d, c in seen.values())
+    rates = {r.test: (r.comparisons, r.rate) for r in type_one_study(spark, small).collect()}
+    assert len(rates) == 3 and all(c == 10_000 and 0.03 < x < 0.07 for c, x in rates.values())

@@ -1,9 +1,10 @@
 """Language identification, word first: known words score by per-language log frequency, unseen words back
 off to the longest known character n-grams.
 
-``fit`` learns from a bounded sample of labelled rows (``max_docs``, drawn by id hash) and keeps at most
-``max_words`` words, so the model's size is a parameter and does not grow with the corpus. ``predict``
-is one narrow Arrow step that scores each distinct chunk of a batch once.
+``fit`` learns from a bounded sample of labelled rows (about ``max_docs``, drawn by id hash, the same quota for each
+language; a language below its quota is taken whole and leaves the rest to the others) and keeps every word of it, so
+the model follows the sample and no language is crowded out. ``predict`` is one narrow Arrow step that scores each
+distinct chunk of a batch once.
 
 Defined cases: null text, or a text without a letter, gives ``und`` with score 0; with no labelled rows every
 text gives ``und``; ties go to the language first in alphabetical order; texts are read whole.
@@ -30,61 +31,77 @@ CACHE_WORDS = 100_000
 
 @dataclass
 class Model:
+    """Words and grams point at rows of log probabilities, one column a language."""
+
     langs: list[str]
-    words: dict[str, np.ndarray]
-    grams: dict[str, np.ndarray]
+    words: dict[str, int]
+    word_logs: np.ndarray
+    grams: dict[str, int]
+    gram_logs: np.ndarray
     floor: np.ndarray
 
     def score_word(self, word: str) -> np.ndarray:
         """Per-language log probability of a lower-case word."""
         known = self.words.get(word)
         if known is not None:
-            return known
+            return self.word_logs[known]
         framed, out, i = f"^{word}$", np.zeros(len(self.langs)), 0
         for i in range(len(framed)):
             for n in range(LONGEST, 0, -1):
                 got = self.grams.get(framed[i : i + n]) if i + n <= len(framed) else None
                 if got is not None:
-                    out += got
+                    out += self.gram_logs[got]
                     break
             else:
                 out += self.floor
         return out / max(1, len(framed))
 
 
-def fit(labelled: DataFrame, max_docs: int = 6000, max_words: int = 40_000, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id") -> Model:
-    """Learn from rows whose language is not null: a hash sample of about ``max_docs`` of them."""
+def quota(sizes: list[int], total: int) -> float:
+    """The equal share of a language, so that all languages, each up to its size, give ``total`` documents."""
+    left = float(total)
+    for k, n in enumerate(sorted(sizes)):
+        each = left / (len(sizes) - k)
+        if n > each:
+            return each
+        left -= n
+    return float(max(sizes, default=0))
+
+
+def fit(labelled: DataFrame, max_docs: int = 6000, text_col: str = "text", lang_col: str = "lang", id_col: str = "doc_id") -> Model:
+    """Learn from rows whose language is not null: a hash sample of about ``max_docs`` of them, stratified by language."""
     rows = labelled.where(F.col(lang_col).isNotNull())
-    n = rows.select(id_col).count()
-    share = int(min(1.0, max_docs / max(n, 1)) * (1 << 20))
-    sample = rows.where(F.pmod(F.xxhash64(F.col(id_col).cast("string")), F.lit(1 << 20)) < share)
+    sizes = {r.lang: r["count"] for r in rows.groupBy(F.col(lang_col).alias("lang")).count().collect()}
+    if not sizes:
+        return Model([], {}, np.zeros((0, 0)), {}, np.zeros((0, 0)), np.zeros(0))
+    each = quota(list(sizes.values()), max_docs)
+    shares = F.create_map(*(F.lit(x) for lang, n in sizes.items() for x in (lang, math.ceil(min(1.0, each / n) * (1 << 20)))))
+    sample = rows.where(F.pmod(F.xxhash64(F.col(id_col).cast("string")), F.lit(1 << 20)) < shares[F.col(lang_col)])
     words = sample.select(F.col(lang_col).alias("lang"), F.explode(F.split(F.lower(text_col), r"[^\p{L}]+")).alias("word")).where("word <> ''")
-    counts = words.groupBy("word", "lang").count().orderBy(F.desc("count"), "word", "lang").limit(max_words).collect()
-    if not counts:
-        return Model([], {}, {}, np.zeros(0))
-    langs = sorted({r.lang for r in counts})
+    counts = words.groupBy("word", "lang").count().orderBy(F.desc("count"), "word", "lang").toArrow()
+    of_word, of_lang, times = (counts.column(k).to_pylist() for k in range(3))
+    if not times:
+        return Model([], {}, np.zeros((0, 0)), {}, np.zeros((0, 0)), np.zeros(0))
+    langs = sorted(set(of_lang))
     at = {x: i for i, x in enumerate(langs)}
     by_word: dict[str, list[float]] = defaultdict(lambda: [0.0] * len(langs))
     by_gram: list[dict[str, list[float]]] = [defaultdict(lambda: [0.0] * len(langs)) for _ in range(LONGEST + 1)]
-    for r in counts:
-        by_word[r.word][at[r.lang]] += r["count"]
-        framed, lang, weight = f"^{r.word}$", at[r.lang], 1 + math.log(r["count"])
+    for word, of, count in zip(of_word, of_lang, times, strict=True):
+        by_word[word][at[of]] += count
+        framed, lang, weight = f"^{word}$", at[of], 1 + math.log(count)
         for n in range(1, LONGEST + 1):
             found = by_gram[n]
             for i in range(len(framed) - n + 1):
                 found[framed[i : i + n]][lang] += weight
 
-    def logs(found: dict[str, list[float]]) -> dict[str, np.ndarray]:
-        if not found:
-            return {}
-        m = np.array(list(found.values()))
-        return dict(zip(found, np.log((m + 0.5) / (m.sum(axis=0) + 0.5 * len(m))), strict=True))
+    def logs(found: dict[str, list[float]]) -> np.ndarray:
+        m = np.array(list(found.values())).reshape(-1, len(langs))
+        return np.log((m + 0.5) / (m.sum(axis=0) + 0.5 * len(m)))
 
-    grams: dict[str, np.ndarray] = {}
-    for found in by_gram:
-        grams |= logs(found)
+    grams = {g: i for i, g in enumerate(g for found in by_gram for g in found)}
     single = np.array(list(by_gram[1].values())).reshape(-1, len(langs))
-    return Model(langs, logs(by_word), grams, np.log(0.5 / (single.sum(axis=0) + 0.5 * max(1, len(single)))))
+    floor = np.log(0.5 / (single.sum(axis=0) + 0.5 * max(1, len(single))))
+    return Model(langs, {w: i for i, w in enumerate(by_word)}, logs(by_word), grams, np.concatenate([logs(x) for x in by_gram if x]), floor)
 
 
 def predict(df: DataFrame, model: Model, text_col: str = "text") -> DataFrame:

@@ -105,6 +105,17 @@ def test_op9_held_out_accuracy_and_odd_texts(spark, small, odd, empty):
     assert {r.lang_pred for r in op9_language_id.predict(odd, op9_language_id.fit(empty)).collect()} == {"und"}
 
 
+def test_op9_keeps_rare_languages(spark):
+    letters = lambda i, k: "".join(chr(97 + i // k**j % k) for j in range(7))
+    common = [(i, " ".join(letters(i * 41 + j, 12) for j in range(41)) * 2, "aa") for i in range(1200)]
+    rare = [(5000 + i, f"zzyx wwvu qqzy{'z' * i}", "zz") for i in range(3)]
+    docs = spark.createDataFrame(common + rare, "doc_id long, text string, lang string")
+    model = op9_language_id.fit(docs, max_docs=1100)
+    assert model.langs == ["aa", "zz"] and len(model.words) > 40_000 and {"zzyx", "wwvu", "qqzyzz"} <= set(model.words)
+    assert {r.lang_pred for r in op9_language_id.predict(docs.where("doc_id >= 5000"), model).collect()} == {"zz"}
+    assert op9_language_id.quota([10, 100, 1000], 300) == 190 and op9_language_id.quota([1, 2], 300) == 2
+
+
 # op3
 
 

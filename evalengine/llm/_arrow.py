@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import re
+import ctypes
+import functools
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -15,15 +16,35 @@ from pyspark.sql.types import StructField, StructType
 from evalengine.llm._common import clear_of
 
 
+def strings(values: pa.Array) -> list:
+    """A string array as a list, by the quick way."""
+    return values.to_numpy(zero_copy_only=False).tolist()
+
+
+def joined(values: pa.Array, by: str) -> str:
+    """All strings of an array in one."""
+    if not len(values):
+        return ""
+    return pc.binary_join(pa.ListArray.from_arrays(pa.array([0, len(values)], pa.int32()), values), by)[0].as_py()
+
+
 @dataclass
 class Chunks:
-    """Texts cut at single spaces. ``codes[starts[i]:starts[i+1]]`` index ``chunks`` for text i (one empty
-    chunk for an empty text). ``odd`` lists the texts in which a cut may fall inside a run of white space."""
+    """Texts cut at single spaces. ``codes[starts[i]:starts[i+1]]`` index ``array`` for text i (one empty chunk for an empty text)."""
 
-    chunks: list[str]
+    array: pa.Array
     codes: np.ndarray
     starts: np.ndarray
-    odd: list[int]
+
+    @functools.cached_property
+    def chunks(self) -> list[str]:
+        return strings(self.array)
+
+    def odd(self) -> list[int]:
+        """The texts in which a cut may fall inside a run of white space."""
+        loose = np.array([not w or w[-1].isspace() for w in self.chunks], bool)
+        where = np.flatnonzero(loose[self.codes]) if len(self.codes) else np.zeros(0, np.int64)
+        return np.unique(np.searchsorted(self.starts, where, side="right") - 1).tolist()
 
 
 def coded_chunks(texts: pa.Array) -> Chunks:
@@ -31,12 +52,7 @@ def coded_chunks(texts: pa.Array) -> Chunks:
     starts = np.asarray(lists.offsets).astype(np.int64)
     starts -= starts[0]
     coded = lists.flatten().dictionary_encode()
-    chunks = coded.dictionary.to_pylist()
-    codes = np.asarray(coded.indices).astype(np.int64)
-    loose = np.array([not w or w[-1].isspace() for w in chunks], bool)
-    where = np.flatnonzero(loose[codes]) if len(codes) else np.zeros(0, np.int64)
-    odd = np.unique(np.searchsorted(starts, where, side="right") - 1)
-    return Chunks(chunks, codes, starts, odd.tolist())
+    return Chunks(coded.dictionary, np.asarray(coded.indices).astype(np.int64), starts)
 
 
 def small(batch: pa.RecordBatch, size: int = 6_000_000) -> Iterator[pa.RecordBatch]:
@@ -46,17 +62,60 @@ def small(batch: pa.RecordBatch, size: int = 6_000_000) -> Iterator[pa.RecordBat
         yield batch.slice(at, step)
 
 
-def letters_of(word: str) -> list[str]:
-    """The maximal runs of letters of a chunk."""
-    return _LETTERS(word)
+def trim() -> None:
+    """Give freed memory back to the system, so that a reused worker starts its next task small."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # other C libraries than glibc
+        pass
+
+
+def sliced(run: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], size: int = 6_000_000) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """A function for mapInArrow that hands slices of every batch to ``run`` and trims the worker at the end of the task."""
+
+    def over(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            for whole in batches:
+                for batch in small(whole, size):
+                    yield from run(batch)
+        finally:
+            trim()
+
+    return over
+
+
+@dataclass
+class Pieces:
+    """The pieces of distinct chunks: those of chunk c are ``codes[starts[c]:starts[c+1]]``, which index ``pieces``."""
+
+    pieces: pa.Array
+    codes: np.ndarray
+    starts: np.ndarray
+
+
+def split_chunks(chunks: pa.Array, pattern: str) -> Pieces:
+    """Cut distinct chunks at matches of an RE2 pattern; empty pieces go."""
+    lists = pc.split_pattern_regex(chunks, pattern)
+    ends = np.asarray(lists.offsets).astype(np.int64)
+    flat = lists.flatten()
+    full = pc.not_equal(flat, "")
+    at = np.concatenate(([0], np.cumsum(full.to_numpy(zero_copy_only=False))))
+    coded = flat.filter(full).dictionary_encode()
+    return Pieces(coded.dictionary, np.asarray(coded.indices).astype(np.int64), at[ends - ends[0]])
 
 
-_LETTERS = re.compile(r"[^\W\d_]+").findall
+def gathered(starts: np.ndarray, codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the items of segments ``codes`` in the items' array, and where each segment's items begin in the result."""
+    sizes = np.diff(starts)[codes]
+    ends = np.concatenate(([0], np.cumsum(sizes)))
+    return np.repeat(starts[:-1][codes] - ends[:-1], sizes) + np.arange(ends[-1]), ends
 
 
 def summed(values: np.ndarray, starts: np.ndarray) -> np.ndarray:
-    """Sums of ``values`` over the rows starts[i]:starts[i+1]; empty ranges give 0."""
-    total = np.concatenate((np.zeros((1, *values.shape[1:])), np.cumsum(values, axis=0, dtype=np.float64)))
+    """Sums of ``values`` over the rows starts[i]:starts[i+1]; empty ranges give 0. Sums of integers are exact."""
+    kind = np.int64 if np.issubdtype(values.dtype, np.integer) or values.dtype == bool else np.float64
+    total = np.concatenate((np.zeros((1, *values.shape[1:]), kind), np.cumsum(values, axis=0, dtype=kind)))
     return total[starts[1:]] - total[starts[:-1]]
 
 
@@ -69,9 +128,7 @@ def appended(df: DataFrame, added: str, columns: Callable[[pa.RecordBatch], list
     extra = StructType.fromDDL(added)
     df = clear_of(df, *extra.names)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for batch in small(whole):
-                yield pa.RecordBatch.from_arrays([*batch.columns, *columns(batch)], names=[*batch.schema.names, *extra.names])
+    def run(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        yield pa.RecordBatch.from_arrays([*batch.columns, *columns(batch)], names=[*batch.schema.names, *extra.names])
 
-    return df.mapInArrow(run, StructType([*(StructField(f.name, f.dataType, True) for f in df.schema), *extra]))
+    return df.mapInArrow(sliced(run), StructType([*(StructField(f.name, f.dataType, True) for f in df.schema), *extra]))

@@ -135,7 +135,7 @@ def encode(df: DataFrame, ranks: dict[bytes, int], pattern: str, id_col: str = "
             starts, codes = pa.array(cut.starts.astype(np.int32)), pa.array(codes)
             spelled = pc.binary_join(pa.ListArray.from_arrays(starts, pa.array([e[1] for e in entries], pa.string()).take(codes)), " ").to_pylist()
             back = pc.binary_join(pa.ListArray.from_arrays(starts, pa.array([e[2] for e in entries], pa.binary()).take(codes)), b"").to_pylist()
-            for i in cut.odd:
+            for i in cut.odd():
                 counts[i], spelled[i], back[i] = entry(ids_of(batch.column(1)[i].as_py()))
             columns = [batch.column(0), pa.array(counts), pa.array([hashlib.sha256(x.encode()).hexdigest() for x in spelled]), pa.array([hashlib.sha256(x).hexdigest() for x in back])]
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]

@@ -8,8 +8,10 @@ labelled rows held back from fitting, and their calibrated logits add up to the
 Bounds, as parameters: ``max_labelled`` labelled rows and ``max_pool`` unlabelled rows, drawn by id hash,
 reach the driver as feature vectors; scoring covers every document in one narrow Arrow step.
 
-Defined cases: null text is the empty text; null metadata is a value of its own; without labels of both classes
-every document gets score 0.5 and is kept; repeated ids each give a row; extra columns pass through.
+Defined cases: null text is the empty text; null metadata is a value of its own; without labels of both classes (an
+empty table included) every document gets score 0.5 and is kept; repeated ids each give a row and a label counts once
+for each distinct text under its id; documents of equal scores are taken in the order of their ids; extra columns pass
+through, those named like a result are renamed to ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -19,38 +21,29 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evalengine.llm._arrow import appended, coded_chunks, summed
-from evalengine.llm._common import table
+from evalengine.llm._common import clear_of, table
 from evalengine.llm._logit import Logit, fit_logit, sigmoid
 
 SOURCES, LANGS = 32, 8
-CACHE_CHUNKS = 100_000
-_SHAPE: dict[str, tuple] = {}
-
-
-def _shape(chunk: str) -> tuple:
-    got = _SHAPE.get(chunk)
-    if got is None:
-        if len(_SHAPE) > CACHE_CHUNKS:
-            _SHAPE.clear()
-        n = len(chunk)
-        if chunk.isalpha():
-            letters, digits = n, 0
-        else:
-            letters, digits = sum(map(str.isalpha, chunk)), sum(map(str.isdigit, chunk))
-        mild = sum(map(chunk.count, ".,;:'\"-()?\n\t\r"))
-        upper = 0 if chunk.islower() else sum(map(str.isupper, chunk))
-        got = _SHAPE[chunk] = (n, letters, digits, n - letters - digits - mild, upper, letters > 1 and upper == letters, chunk.count("\n"), chunk.count("."), n > 20, 0 < n < 3, n and not letters)
-    return got
+
+
+def shapes(chunks: pa.Array) -> np.ndarray:
+    """Counts of kinds of characters in each distinct chunk, and what follows from them."""
+    times = lambda pattern: pc.count_substring_regex(chunks, pattern).to_numpy(zero_copy_only=False).astype(np.float64)
+    n = pc.utf8_length(chunks).to_numpy(zero_copy_only=False).astype(np.float64)
+    letters, digits, upper, mild, lines, stops = map(times, (r"\p{L}", r"\p{Nd}", r"\p{Lu}", r"[.,;:'\"\-()?\n\t\r]", r"\n", r"\."))
+    return np.column_stack((n, letters, digits, n - letters - digits - mild, upper, (letters > 1) & (upper == letters), lines, stops, n > 20, (n > 0) & (n < 3), (n > 0) & (letters == 0)))
 
 
 def text_view(texts: pa.Array) -> np.ndarray:
     """One row of content features for each text; each distinct chunk is looked at once."""
     cut = coded_chunks(texts)
-    shape = np.array([_shape(c) for c in cut.chunks], np.float64).reshape(-1, 11)
+    shape = shapes(cut.array)
     n, letters, digits, symbols, upper, shouted, lines, stops, long, short, bare = (summed(shape[:, k][cut.codes], cut.starts) for k in range(11))
     words = np.diff(cut.starts).astype(np.float64)
     of = np.repeat(np.arange(len(words)), np.diff(cut.starts))
@@ -141,18 +134,23 @@ def _viewed(df: DataFrame) -> DataFrame:
     return appended(df, "text_view array<double>, metadata_view array<double>", columns).select("doc_id", "label", "text_view", "metadata_view")
 
 
+def _bounded(rows: DataFrame, most: int) -> list:
+    """The rows in the order of their ids; an id that is repeated without end cannot fill the driver."""
+    return rows.orderBy("doc_id", "text_view").limit(most).collect()
+
+
 def fit(docs: DataFrame, labels: DataFrame, label_col: str = "quality", max_labelled: int = 6000, max_pool: int = 4000) -> CoTrained | None:
     share = lambda n, most: int(min(1.0, most / max(1, n)) * (1 << 20))
     bucket = lambda salt: F.pmod(F.xxhash64(F.lit(salt), F.col("doc_id")), F.lit(1 << 20))
     known = labels.where(F.col(label_col).isNotNull() & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max(F.col(label_col).cast("int")).alias("label"))
     chosen = known.where(bucket(1) < share(known.count(), max_labelled))
     read = docs.select("doc_id", "text", "lang", "source", "n_chars")
-    found = _viewed(read.join(F.broadcast(chosen), "doc_id")).collect()
+    found = _bounded(_viewed(read.join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id", "text"])), 2 * max_labelled)
     y = np.array([int(r.label > 0) for r in found])
     if len(y) < 20 or len(set(y.tolist())) < 2:
         return None
     pool_rows = read.where(bucket(2) < share(docs.select("doc_id").count(), max_pool)).join(F.broadcast(chosen.select("doc_id")), "doc_id", "left_anti").withColumn("label", F.lit(None).cast("int"))
-    pool = _viewed(pool_rows).collect()
+    pool = _bounded(_viewed(pool_rows), 2 * max_pool)
     held = np.array([zlib.crc32(f"held {r.doc_id}".encode()) % 3 == 0 for r in found])
     if len(set(y[held].tolist())) < 2 or len(set(y[~held].tolist())) < 2:
         held = np.arange(len(y)) % 2 == 0
@@ -165,7 +163,7 @@ def score(df: DataFrame, model: CoTrained | None, threshold: float = 0.5) -> Dat
     """``df`` with ``text_score``, ``metadata_score``, ``quality_score`` and ``quality_keep``."""
     if model is None:
         half = F.lit(0.5)
-        return df.withColumns({"text_score": half, "metadata_score": half, "quality_score": half, "quality_keep": F.lit(True)})
+        return clear_of(df, "text_score", "metadata_score", "quality_score", "quality_keep").withColumns({"text_score": half, "metadata_score": half, "quality_score": half, "quality_keep": F.lit(True)})
     shared = df.sparkSession.sparkContext.broadcast(model)
     at = {c: i for i, c in enumerate(df.columns)}
 

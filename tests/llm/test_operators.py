@@ -85,24 +85,114 @@ def test_op1_native_fold_and_long_words(spark, ranks):
 # op2, op9
 
 
-def test_op2_finds_quality(spark, small, docs, odd, empty):
+def test_op2_finds_quality_of_documents_it_never_saw(spark, small, docs, odd, empty):
     labels = table(spark, small, "labels")
-    model = op2_quality_cotraining.fit(docs, labels)
-    got = {r.doc_id: r.quality_keep for r in op2_quality_cotraining.score(docs, model).collect()}
-    known = [(r.quality == 1) == got[r.doc_id] for r in labels.collect() if r.doc_id in got]
-    assert np.mean(known) > 0.9
-    assert op2_quality_cotraining.score(odd, model).count() == len(ODD)
+    unseen = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
+    model = op2_quality_cotraining.fit(docs, labels.where(~unseen))
+    got = {r.doc_id: r for r in op2_quality_cotraining.score(docs, model).collect()}
+    known = [(r.quality == 1) == got[r.doc_id].quality_keep for r in labels.where(unseen).collect() if r.doc_id in got]
+    assert len(known) > 15 and np.mean(known) > 0.9
+    # The combined score is what both views' calibrated logits say together.
+    logit = lambda p: math.log(p / (1 - p))
+    for r in list(got.values())[:50]:
+        if 1e-6 < min(r.text_score, r.metadata_score) and max(r.text_score, r.metadata_score) < 1 - 1e-6:
+            assert logit(min(max(r.quality_score, 1e-15), 1 - 1e-15)) == pytest.approx(logit(r.text_score) + logit(r.metadata_score) - model.prior, abs=1e-4)
+    rows = op2_quality_cotraining.score(odd, model).collect()
+    assert len(rows) == len(ODD) and all(0 <= r.quality_score <= 1 for r in rows) and {r.SCORE for r in rows} == {"clash"}
     assert op2_quality_cotraining.fit(empty, labels) is None
+    clash = docs.limit(3).withColumn("Quality_Keep", F.lit("mine"))
+    for m in (model, None):
+        out = op2_quality_cotraining.score(clash, m)
+        assert {"input_Quality_Keep", "quality_keep"} <= set(out.columns) and {r.input_Quality_Keep for r in out.collect()} == {"mine"}
     assert op2_quality_cotraining.score(empty, None).count() == 0
 
 
+def test_op2_co_training_exchanges_sure_rows_only():
+    rng = np.random.default_rng(0)
+    y = np.arange(200) % 2 == 0
+    view = lambda y, wide: y[:, None] * 2.0 + rng.standard_normal((len(y), wide))
+    pool_y = np.arange(600) % 2 == 0
+    pool = [view(pool_y, 2), view(pool_y, 3)]
+    m = op2_quality_cotraining.co_train([view(y, 2), view(y, 3)], y, np.arange(200) % 3 == 0, pool, rounds=3, take=20)
+    assert m.exchanged and all(0 < a <= 40 and 0 < b <= 40 for a, b in m.exchanged[:1])
+    assert ((m.combined(pool) > 0.5) == pool_y).mean() > 0.9
+
+
+def _plain_language_model(rows):
+    """Word and n-gram counts by language as dictionaries; letters by Unicode category."""
+    import regex
+
+    words = lambda t: regex.findall(r"\p{L}+", (t or "").lower())
+    langs = sorted({lang for _, lang in rows if lang is not None and any(words(t) for t, x in rows if x == lang)})
+    counts = {x: Counter(w for t, lang in rows if lang == x for w in words(t)) for x in langs}
+    grams = {x: [Counter() for _ in range(5)] for x in langs}
+    for x in langs:
+        for w, n in counts[x].items():
+            framed = f"^{w}$"
+            for k in range(1, 5):
+                for i in range(len(framed) - k + 1):
+                    grams[x][k][framed[i : i + k]] += 1 + math.log(n)
+
+    def share(of, key):
+        whole = set().union(*of)
+        return [math.log((c[key] + 0.5) / (sum(c.values()) + 0.5 * len(whole))) for c in of] if key in whole else None
+
+    def word(w):
+        got = share([counts[x] for x in langs], w)
+        if got:
+            return got
+        total, framed = [0.0] * len(langs), f"^{w}$"
+        for i in range(len(framed)):
+            for k in range(4, 0, -1):
+                got = share([grams[x][k] for x in langs], framed[i : i + k]) if i + k <= len(framed) else None
+                if got:
+                    break
+            else:
+                singles = [grams[x][1] for x in langs]
+                got = [math.log(0.5 / (sum(c.values()) + 0.5 * len(set().union(*singles)))) for c in singles]
+            total = [a + b for a, b in zip(total, got, strict=True)]
+        return [a / len(framed) for a in total]
+
+    return langs, lambda t: [sum(c) for c in zip(*(word(w) for w in words(t)), strict=True)] if words(t) else None
+
+
+def test_op9_equals_a_plain_model(spark):
+    train = [("the cat and the dog; don't STOP", "en"), ("der Hund und die Katze Straße", "de"), ("le chat et le chien été", "fr"), ("und der", "de"), ("zz", None), (None, "en"), ("12 34", "xx")]
+    frame = spark.createDataFrame([(i, t, x) for i, (t, x) in enumerate(train)], "doc_id long, text string, lang string")
+    model = op9_language_id.fit(frame)
+    langs, scores = _plain_language_model(train)
+    assert model.langs == langs
+    ask = ["the hound", "katzen und hunde", "chiens", "Größe", "qqq xyz", "\u00b2", "\u00bd 12 _", "", None, "été2fois", "der the", "x " * 20_000 + "und"]
+    got = op9_language_id.predict(spark.createDataFrame([(i, t) for i, t in enumerate(ask)], "doc_id long, text string"), model).orderBy("doc_id").collect()
+    for r in got:
+        want = scores(r.text or "")
+        if want is None:
+            assert (r.lang_pred, r.score) == ("und", 0.0)
+        else:
+            top = max(want)
+            assert r.lang_pred == langs[want.index(top)] or min(abs(top - w) for x, w in zip(langs, want, strict=True) if x == r.lang_pred) < 1e-3
+            assert r.score == pytest.approx(1 / sum(math.exp(w - top) for w in want), abs=1e-3)
+
+
+def test_op9_ties_do_not_depend_on_word_order(spark):
+    train = [(0, "aa bb", "x"), (1, "bb aa", "y")]
+    model = op9_language_id.fit(spark.createDataFrame(train, "doc_id long, text string, lang string"))
+    asked = spark.createDataFrame([(i, t) for i, t in enumerate(["aa bb aa", "bb aa aa", "cc " * 999, "b a"])], "doc_id long, text string")
+    assert {(r.lang_pred, r.score) for r in op9_language_id.predict(asked, model).collect()} == {("x", 0.5)}
+
+
 def test_op9_held_out_accuracy_and_odd_texts(spark, small, odd, empty):
     rows = op9_language_id.op9_language_id(spark, small).join(table(spark, small, "documents").select("doc_id", "lang"), "doc_id").where("held_out AND lang_pred <> 'und'").collect()
     assert np.mean([r.lang == r.lang_pred for r in rows]) > 0.9
     model = op9_language_id.fit(table(spark, small, "documents"))
     got = [r.lang_pred for r in op9_language_id.predict(odd, model).orderBy(F.col("doc_id").asc_nulls_last()).collect()]
-    assert got[:2] == ["und", "und"] and all(0 <= r.score <= 1 for r in op9_language_id.predict(odd, model).collect())
+    out = op9_language_id.predict(odd, model)
+    assert got[:2] == ["und", "und"] and all(0 <= r.score <= 1 for r in out.collect())
+    assert "input_SCORE" in out.columns and {r.input_SCORE for r in out.collect()} == {"clash"}
+    twice = [r.lang_pred for r in out.where("doc_id = 3").collect()]
+    assert len(twice) == 2 and len(set(twice)) == 1
     assert {r.lang_pred for r in op9_language_id.predict(odd, op9_language_id.fit(empty)).collect()} == {"und"}
+    assert op9_language_id.predict(empty, model).count() == 0
 
 
 def test_op9_keeps_rare_languages(spark):
@@ -111,7 +201,10 @@ def test_op9_keeps_rare_languages(spark):
     rare = [(5000 + i, f"zzyx wwvu qqzy{'z' * i}", "zz") for i in range(3)]
     docs = spark.createDataFrame(common + rare, "doc_id long, text string, lang string")
     model = op9_language_id.fit(docs, max_docs=1100)
-    assert model.langs == ["aa", "zz"] and len(model.words) > 40_000 and {"zzyx", "wwvu", "qqzyzz"} <= set(model.words)
+    import pyarrow as pa
+
+    held = model.words.find(op9_language_id.Spelled.of(pa.array(["zzyx", "wwvu", "qqzyzz"])).words())
+    assert model.langs == ["aa", "zz"] and len(model.words.keys) > 40_000 and (held >= 0).all()
     assert {r.lang_pred for r in op9_language_id.predict(docs.where("doc_id >= 5000"), model).collect()} == {"zz"}
     assert op9_language_id.quota([10, 100, 1000], 300) == 190 and op9_language_id.quota([1, 2], 300) == 2
 
@@ -209,11 +302,35 @@ def test_op4_pages_and_odd_html(spark, small):
 # op5
 
 
+def _library(path):
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(path)
+
+
+def test_op5_ids_equal_the_library():
+    import random
+
+    import pyarrow as pa
+
+    path, r = public_tokenizers.path("word_bpe_49k.json"), random.Random(4)
+    library = _library(path)
+    parts = ["'s", "'S", "'re", "'LL", "''t", "'", "a", "ab", "Zz", "é", "ÄÖ", "ß", "İ", "ſ", "ŉ", "Ÿ", "12", "²", "½", "ª", "!", "...", " ", "  ", "\n", "\t", "\r\n", "\xa0", "\xad", "\x1c", "\x85", "<|endoftext|>", "<|ENDOFTEXT|>", "中文", "🙂", "Σας", "ȺB", "e\u0301", "\u200b", "_x_", "don't", "thing" * 12, "q" * 70]
+    texts = ["", " ", "'", "see <|endoftext|> here"] + ["".join(r.choice(parts) for _ in range(r.randint(1, 30))) for _ in range(3000)]
+    ids, starts, _ = op5_curve_packing.coded(pa.array(texts), path)
+    for i, t in enumerate(texts):
+        assert ids[starts[i] : starts[i + 1]].tolist() == library.encode(t, add_special_tokens=False).ids, repr(t)
+
+
 def test_op5_pieces_rebuild_every_document(spark, docs, odd, empty):
     path = public_tokenizers.path("word_bpe_49k.json")
-    tok = op5_curve_packing.tokenizer(path)
-    for df in (docs, odd.where("doc_id <> 3")):
-        want = {r.doc_id: np.array([*tok.encode(r.text or "", add_special_tokens=False).ids, 2], "<u4") for r in df.collect()}
+    tok = _library(path)
+    long = spark.createDataFrame([(77, "never ending <|endoftext|> story " * 30_000, "en", "s", 0)], COLUMNS)
+    for df in (docs, odd.unionByName(long.withColumn("SCORE", F.lit("x")))):
+        texts = {}
+        for r in df.collect():
+            texts.setdefault(r.doc_id, []).append(r.text or "")
+        want = {k: np.array([*tok.encode(v[0], add_special_tokens=False).ids, 2], "<u4") for k, v in texts.items()}
         rows = op5_curve_packing.pack(df, path).collect()
         done, filled = Counter(), defaultdict(list)
         for r in rows:
@@ -221,7 +338,7 @@ def test_op5_pieces_rebuild_every_document(spark, docs, odd, empty):
             assert r.doc_tokens == len(ids) and zlib.crc32(ids[r.start : r.start + r.length].tobytes()) == r.ids_crc32
             done[r.doc_id] += r.length
             filled[r.sequence_id].append((r.offset, r.length))
-        assert done == {k: len(v) for k, v in want.items()}
+        assert done == {k: len(v) * len(texts[k]) for k, v in want.items()}
         for parts in filled.values():
             at = 0
             for offset, length in sorted(parts):
@@ -231,10 +348,13 @@ def test_op5_pieces_rebuild_every_document(spark, docs, odd, empty):
     assert op5_curve_packing.pack(empty, path).count() == 0
 
 
-def test_op5_curve_visits_neighbours():
+def test_op5_curve_visits_neighbours_and_clips_nothing():
     grid = np.array([[x, y] for x in range(8) for y in range(8)], float)
-    key = op5_curve_packing.hilbert_key((grid - 3.5) / 4, bits=3, reach=1.0)
+    unit = (grid + 0.5) / 4 - 1
+    key = op5_curve_packing.hilbert_key(unit * op5_curve_packing.MIDDLE / (1 - np.abs(unit)), bits=3)
     assert set(np.abs(np.diff(grid[np.argsort(key)], axis=0)).sum(axis=1)) == {1.0}
+    far = np.array([[x, 0.0, 0.0, 0.0] for x in (6.5, 9.0, 15.0, 40.0, 150.0)])
+    assert len(set(op5_curve_packing.hilbert_key(far).tolist())) == len(far)
 
 
 # op6

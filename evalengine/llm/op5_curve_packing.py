@@ -1,6 +1,6 @@
 """Sequence packing in the order of a space-filling curve.
 
-1. One Arrow pass tokenizes every whole text (each distinct chunk once), projects its hashed bag of chunks to four
+1. One Arrow pass tokenizes every whole text (each distinct piece once), projects its hashed bag of tokens to four
    dimensions, and turns the grid cell into a Hilbert key. Beside the key it keeps the running crc32 of the ids
    at every ``STEP`` tokens, so that later cuts need no ids.
 2. Rows (not texts or ids) are range-partitioned and sorted by key and id, so neighbours on the curve meet
@@ -8,6 +8,9 @@
 3. Each range is packed in one pass: documents follow each other along the curve; one that does not fit is cut at
    a multiple of ``STEP``. The crc of a piece follows from the two running values at its ends.
 
+Coordinates are squashed to the unit interval by a function that never reaches its ends, so no vector is clipped and
+cells tell vectors apart at any size of the corpus.
+
 Only the last sequence of a range is not full. Defined cases: null text is the empty text, whose only id is the
 closing one; a document of any length spans as many sequences as it needs; rows that repeat an id are packed
 each by itself; an empty table gives an empty result; extra columns are ignored.
@@ -25,64 +28,36 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evalengine.llm._arrow import coded_chunks, small, summed
+from evalengine.llm._arrow import coded_chunks, gathered, sliced, summed
 from evalengine.llm._common import checkpointed, table, whole_text
+from evalengine.llm._merges import tokens
+from evalengine.llm._shingles import mixed
 
 LENGTH, STEP, CLOSING = 4096, 16, 2
-DIMENSIONS, BITS = 4, 10
-CACHE_CHUNKS = 700_000
+DIMENSIONS, BITS, MIDDLE = 4, 10, 3.0
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
-#: Ids and projection by chunk of a Python worker, emptied when full; one map for each vocabulary file.
-_KNOWN: dict[str, dict[str, tuple[bytes, int]]] = {}
-
-
-@functools.cache
-def tokenizer(path: str):
-    import os
-
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    return t
+def signs(ids: np.ndarray) -> np.ndarray:
+    """What each token id adds to the projected document vector: +1 or -1 in each dimension, by its hash."""
+    bits = mixed((ids.astype(np.uint64) + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(7)
+    return np.column_stack([(bits >> np.uint64(3 * d) & np.uint64(1)).astype(np.int64) * 2 - 1 for d in range(DIMENSIONS)])
 
 
-def direction(chunk: str) -> int:
-    """Bits whose signs a chunk adds to the projected document vector."""
-    return (zlib.crc32(chunk.encode()) * 0x9E3779B1 >> 7) & 0xFFFFFFFF
+def coded(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Token ids of all texts in a row, where each text's ids start, and each text's projected vector."""
+    cut = coded_chunks(texts)
+    ids, begin = tokens(path).of(cut.array)
+    at, ends = gathered(begin, cut.codes)
+    per_chunk, starts = summed(signs(ids), begin), ends[cut.starts]
+    vector = np.column_stack([summed(per_chunk[:, d][cut.codes], cut.starts) for d in range(DIMENSIONS)])
+    return ids[at], starts, vector / np.sqrt(np.maximum(np.diff(starts), 1))[:, None]
 
 
-def coded(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Token ids of all texts in a row, where each text's ids start, and each text's projected vector.
-
-    White space separates words for this tokenizer whatever surrounds it, so chunks are tokenized apart.
-    """
-    known, cut = _KNOWN.setdefault(path, {}), coded_chunks(texts)
-    if len(known) > CACHE_CHUNKS:
-        known.clear()
-    new = [c for c in cut.chunks if c not in known]
-    for k in range(0, len(new), 5000):
-        part = new[k : k + 5000]
-        for c, e in zip(part, tokenizer(path).encode_batch_fast(part, add_special_tokens=False), strict=True):
-            known[c] = (np.array(e.ids, np.uint32).tobytes(), direction(c))
-    entries = [known[c] for c in cut.chunks]
-    sizes = np.array([len(e[0]) // 4 for e in entries], np.int64)
-    flat = np.frombuffer(b"".join([e[0] for e in entries]), np.uint32)
-    begin = np.concatenate(([0], np.cumsum(sizes)))
-    each = sizes[cut.codes]
-    ends = np.concatenate(([0], np.cumsum(each)))
-    ids = flat[np.repeat(begin[cut.codes] - ends[:-1], each) + np.arange(ends[-1])] if len(flat) else flat
-    bits = np.array([e[1] for e in entries], np.int64)
-    vector = np.column_stack([summed(((bits >> 3 * d & 1) * 2 - 1)[cut.codes], cut.starts) for d in range(DIMENSIONS)])
-    return ids, ends[cut.starts], vector / np.sqrt(np.maximum(np.diff(cut.starts), 1))[:, None]
-
-
-def hilbert_key(vectors: np.ndarray, bits: int = BITS, reach: float = 6.0) -> np.ndarray:
-    """Position along the Hilbert curve of each vector's cell in a grid over [-reach, reach] in each dimension."""
+def hilbert_key(vectors: np.ndarray, bits: int = BITS) -> np.ndarray:
+    """Position along the Hilbert curve of each vector's cell in a grid over the squashed coordinates."""
     n = vectors.shape[1]
-    x = np.clip((vectors + reach) / (2 * reach) * (1 << bits), 0, (1 << bits) - 1).astype(np.int64)
+    x = ((0.5 + 0.5 * vectors / (MIDDLE + np.abs(vectors))) * (1 << bits)).astype(np.int64)
     q = 1 << (bits - 1)
     while q > 1:
         for d in range(n):
@@ -138,21 +113,26 @@ def crc_of_rest(whole: int, head: int, rest_bytes: int) -> int:
 def tokenized(docs: DataFrame, path: str) -> DataFrame:
     """``doc_id``, ``key``, ``tokens`` and ``marks`` (running crc32 at every STEP tokens and at the end)."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last = np.array([CLOSING], "<u4").tobytes()
-        for batch in (part for whole in batches for part in small(whole)):
-            ids, starts, vectors = coded(batch.column(1), path)
-            raw, marks = ids.astype("<u4").tobytes(), []
-            for i in range(batch.num_rows):
-                body, crc, mine = raw[4 * starts[i] : 4 * starts[i + 1]] + last, 0, []
-                for k in range(0, len(body), 4 * STEP):
-                    crc = zlib.crc32(body[k : k + 4 * STEP], crc)
-                    mine.append(crc)
-                marks.append(np.array(mine, np.uint32).tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hilbert_key(vectors)), pa.array(np.diff(starts) + 1), pa.array(marks, pa.binary())], names=["doc_id", "key", "tokens", "marks"])
+    last = np.array([CLOSING], "<u4").tobytes()
+
+    def run(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        ids, starts, vectors = coded(batch.column(1), path)
+        raw, marks = memoryview(ids.astype("<u4").tobytes()), []
+        for i in range(batch.num_rows):
+            body, crc, mine = raw[4 * starts[i] : 4 * starts[i + 1]], 0, []
+            for k in range(0, len(body) // (4 * STEP) * 4 * STEP, 4 * STEP):
+                crc = zlib.crc32(body[k : k + 4 * STEP], crc)
+                mine.append(crc)
+            mine.append(zlib.crc32(last, zlib.crc32(body[4 * STEP * len(mine) :], crc)))
+            marks.append(np.array(mine, np.uint32).tobytes())
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(hilbert_key(vectors)), pa.array(np.diff(starts) + 1), pa.array(marks, pa.binary())], names=["doc_id", "key", "tokens", "marks"])
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from sliced(run)(batches)
+        tokens(path).forget()
 
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
-    return read.mapInArrow(run, "doc_id long, key long, tokens long, marks binary")
+    return read.mapInArrow(task, "doc_id long, key long, tokens long, marks binary")
 
 
 def pack(docs: DataFrame, path: str, length: int = LENGTH) -> DataFrame:

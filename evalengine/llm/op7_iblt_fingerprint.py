@@ -3,38 +3,39 @@
 A text's units are its paragraphs, long paragraphs cut at sentence ends; each distinct unit is a 64-bit digest. A
 sketch has three subtables; a digest goes to one cell of each, and a cell holds a count, the xor of its digests and
 the xor of their check hashes. Two versions' sketches subtract cell by cell, and peeling cells that hold one
-digest recovers the digests on either side. A sketch that does not peel fails visibly; the pair is then
-retried with a larger one: digests are dealt by hash over blocks, as many as both texts' unit counts ask for, and
-each block has a sketch of its own that peels alone. Blocks keep the work linear in the length of a text; the
-blocks' sketches grow along a ladder until all peel.
+digest recovers the digests on either side. A sketch that does not peel fails visibly, in cells left over; the pair is
+then retried with twice the cells, and again until it peels.
 
 Over a whole table this is done in generated code: a document's digests become rows of cells, an aggregation by cell
 builds the difference of both sketches, and each round of peeling is one more aggregation. A round looks at one
-subtable only, where a digest has one cell, so that no digest is taken out twice. All of it stays in the partitions
-of the one shuffle that finds each document's successor in descending id order; documents at the edge of an id
-range are copied into the range above, which makes that window local. Sketches are sized by both texts' unit
-counts; the rare pair that does not peel in ``ROUNDS`` rounds is retried in its row, by ``differing``.
+subtable only, where a digest has one cell, so that no digest is taken out twice.
+
+Texts cross the network once, to find each document's successor in descending id order; documents at the edge of
+an id range are copied into the range above, which makes that window local. What leaves this stage, through a table in
+the shared folder, is digests and no text. They are dealt once more by row, in as many partitions as their cells
+need, and all rounds run inside these partitions.
+
+``fingerprint`` is the smallest sketch (``BASE`` cells), equal for equal texts. The likeness of two texts is the share of
+their units that no peeled difference holds: 1 - |difference| / (units of both).
 
 Defined cases: null text is the empty text, which has no units; two texts without units are alike (1), one
 without is unlike the other (0); repeated ids are ordered by text; a null id comes after all others; the last
-document is followed by the first, a single one by itself; an empty table gives an empty result.
+document is followed by the first, a single one by itself; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evalengine.llm._common import table, whole_text
+from evalengine.llm._common import checkpointed, table, whole_text
 
 UNIT_END = r"\n+|(?<=[.!?])\s+"
-BASE, LOAD, LADDER = 24, 36, (96, 288, 960)
-ROUNDS, ROOM = 18, 0.55
-CELL = "struct<c:int,k:bigint,h:bigint>"
-
-
-def let(value: Column, body) -> Column:
-    return F.get(F.transform(F.array(value), body), F.lit(0))
+BASE, ROUNDS, ROOM = 24, 18, 0.55
+CELLS_A_TASK = 6_000_000
+KEYS = ("row", "pair", "third", "cell")
 
 
 def units(text: Column) -> Column:
@@ -46,83 +47,40 @@ def _check(key: Column) -> Column:
     return F.xxhash64(key, F.lit("check"))
 
 
-def _slot(key: Column, j: Column, third: Column) -> Column:
-    """A digest's cell in subtable j: 21 of its bits."""
-    return F.pmod(F.call_function("shiftrightunsigned", key, j * 21).bitwiseAND(F.lit(0x1FFFFF)), third).cast("int")
-
-
-def _put(cells: Column, at: Column, change: Column, key: Column, check: Column) -> Column:
-    return let(F.get(cells, at), lambda cell: F.concat(
-        F.slice(cells, F.lit(1), at),
-        F.array(F.struct((cell["c"] + change).cast("int").alias("c"), cell["k"].bitwiseXOR(key).alias("k"), cell["h"].bitwiseXOR(check).alias("h"))),
-        F.slice(cells, at + 2, F.size(cells)),
-    ))
-
-
-def sketch(digests: Column, cells: Column) -> Column:
-    """The sketch of ``digests`` with ``cells`` cells (a multiple of 3), its three subtables in a row."""
-    third = (cells / 3).cast("int")
-    empty = F.struct(F.lit(0).cast("int").alias("c"), F.lit(0).cast("bigint").alias("k"), F.lit(0).cast("bigint").alias("h")).cast(CELL)
-    return F.flatten(F.transform(F.array(*map(F.lit, range(3))), lambda j: F.aggregate(
-        digests, F.array_repeat(empty, third), lambda t, d: _put(t, _slot(d, j, third), F.lit(1), d, _check(d))
-    )))
-
+def _slot(key: Column, j: int, third: Column) -> Column:
+    """A digest's cell in subtable j: 21 of its bits, spread."""
+    return F.pmod(F.call_function("shiftrightunsigned", key, F.lit(j * 21)).bitwiseAND(F.lit(0x1FFFFF)) * 2654435761, third).cast("int") + third * j
 
-def subtract(a: Column, b: Column) -> Column:
-    return F.zip_with(a, b, lambda x, y: F.struct((x["c"] - y["c"]).cast("int").alias("c"), x["k"].bitwiseXOR(y["k"]).alias("k"), x["h"].bitwiseXOR(y["h"]).alias("h")))
-
-
-def _pure(cell: Column) -> Column:
-    return (F.abs(cell["c"]) == 1) & (cell["h"] == _check(cell["k"]))
-
-
-def peel(difference: Column) -> Column:
-    """``left`` and ``right``: the digests only in the first or only in the second; null if peeling stops early."""
-    third = (F.size(difference) / 3).cast("int")
-    none = F.array().cast("array<bigint>")
-    queue = F.filter(F.transform(difference, lambda cell, i: F.when(_pure(cell), i)), lambda i: i.isNotNull())
-    begin = F.struct(difference.cast(f"array<{CELL}>").alias("t"), queue.cast("array<int>").alias("q"), none.alias("left"), none.alias("right"))
-
-    def take(st: Column, cell: Column) -> Column:
-        key, check, change = cell["k"], cell["h"], -cell["c"]
-        at = F.transform(F.array(*map(F.lit, range(3))), lambda j: _slot(key, j, third) + third * j)
-        table = F.aggregate(at, st["t"], lambda t, i: _put(t, i, change, key, check))
-        return F.struct(
-            table.alias("t"), F.concat(F.slice(st["q"], F.lit(2), F.size(st["q"])), at).alias("q"),
-            F.when(cell["c"] > 0, F.concat(st["left"], F.array(key))).otherwise(st["left"]).alias("left"),
-            F.when(cell["c"] < 0, F.concat(st["right"], F.array(key))).otherwise(st["right"]).alias("right"),
-        )
-
-    def step(st: Column, _: Column) -> Column:
-        skipped = F.struct(st["t"].alias("t"), F.slice(st["q"], F.lit(2), F.size(st["q"])).alias("q"), st["left"].alias("left"), st["right"].alias("right"))
-        return F.when(F.size(st["q"]) == 0, st).otherwise(let(F.get(st["t"], F.get(st["q"], F.lit(0))), lambda cell: F.when(_pure(cell), take(st, cell)).otherwise(skipped)))
-
-    done = lambda st: F.when(F.forall(st["t"], lambda cell: (cell["c"] == 0) & (cell["k"] == 0) & (cell["h"] == 0)), F.struct(st["left"].alias("left"), st["right"].alias("right")))
-    return F.aggregate(F.sequence(F.lit(1), 4 * F.size(difference)), begin, step, done)
 
+def _summed(rows: DataFrame) -> DataFrame:
+    """Sum what falls into each cell; cells that are empty go."""
+    return rows.groupBy(*KEYS).agg(F.sum("c").alias("c"), F.bit_xor("k").alias("k"), F.bit_xor("h").alias("h")).where("cell < 0 OR c <> 0 OR k <> 0 OR h <> 0")
 
-def differing(a: Column, b: Column, base_a: Column, base_b: Column) -> Column:
-    """The digests in which two unit lists differ: by their base sketches, else by blocks of growing sketches."""
-    dealt = F.ceil((F.size(a) + F.size(b)) / LOAD).cast("int")
-    first = F.struct(F.lit(BASE).alias("size"), F.lit(1).alias("blocks"), base_a.alias("a"), base_b.alias("b"))
-    rest = [F.struct(F.lit(size).alias("size"), dealt.alias("blocks"), F.lit(None).cast(f"array<{CELL}>").alias("a"), F.lit(None).cast(f"array<{CELL}>").alias("b")) for size in LADDER]
-    none = F.lit(None).cast("struct<left:array<bigint>,right:array<bigint>>")
 
-    def tried(found: Column, t: Column) -> Column:
-        size, blocks = t["size"], t["blocks"]
+def sketched(listed: DataFrame, parts: list[tuple[str, int, int, Column]]) -> DataFrame:
+    """Cells of the sums of the lists' sketches. A part: a column of digests, its pair, its sign, the cells of a subtable."""
 
-        def block(i: Column) -> Column:
-            made = lambda digests: sketch(F.filter(digests, lambda d: F.pmod(F.hash(d), blocks) == i), size)
-            return let(subtract(F.coalesce(t["a"], made(a)), F.coalesce(t["b"], made(b))), peel)
+    def placed(digests: str, pair: int, sign: int, wide: Column) -> Column:
+        return F.transform(digests, lambda d: F.struct(F.lit(pair).alias("pair"), wide.cast("int").alias("third"), F.lit(sign).cast("long").alias("c"), d.alias("k")))
 
-        def joined(parts: Column) -> Column:
-            both = F.struct(F.flatten(F.transform(parts, lambda p: p["left"])).alias("left"), F.flatten(F.transform(parts, lambda p: p["right"])).alias("right"))
-            return F.when(F.forall(parts, lambda p: p.isNotNull()), both)
+    items = F.concat(*(placed(*part) for part in parts))
+    rows = listed.select("row", F.explode(items).alias("x")).select("row", "x.pair", "x.third", "x.c", "x.k").withColumn("h", _check(F.col("k")))
+    return _summed(rows.withColumn("cell", F.explode(F.array(*(_slot(F.col("k"), j, F.col("third")) for j in range(3))))))
 
-        near = F.abs(F.size(a) - F.size(b)) < size * blocks
-        return F.when(found.isNotNull(), found).when(near, let(F.transform(F.sequence(F.lit(0), blocks - 1), block), joined))
 
-    return F.aggregate(F.array(first, *rest), none, tried)
+def peeled(cells: DataFrame) -> DataFrame:
+    """Peel difference sketches. Digests found count in the cells -1 (only in the first text) and -2 (only in the second)."""
+    none = F.lit(0).cast("long")
+    row = lambda cell, c, k, h: F.struct(cell.cast("int").alias("cell"), c.cast("long").alias("c"), k.alias("k"), h.alias("h"))
+    for r in range(ROUNDS):
+        j, third = r % 3, F.col("third")
+        pure = (F.abs("c") == 1) & (F.col("cell") >= third * j) & (F.col("cell") < third * (j + 1)) & (F.col("h") == _check(F.col("k")))
+        others = [row(_slot(F.col("k"), i, third), -F.col("c"), F.col("k"), F.col("h")) for i in range(3) if i != j]
+        found = row(F.when(F.col("c") > 0, -1).otherwise(-2), F.lit(1), none, none)
+        kept = row(F.col("cell"), F.col("c"), F.col("k"), F.col("h"))
+        moved = cells.withColumn("x", F.explode(F.when(pure, F.array(*others, found)).otherwise(F.array(kept))))
+        cells = _summed(moved.select("row", "pair", "third", "x.cell", "x.c", "x.k", "x.h"))
+    return cells
 
 
 def written(cells: Column) -> Column:
@@ -131,63 +89,63 @@ def written(cells: Column) -> Column:
     return F.base64(F.unhex(spelled))
 
 
-KEYS = ("range", "number", "pair", "third", "cell")
+def differences(listed: DataFrame, room: float, parts: int) -> DataFrame:
+    """For each row: how many digests are only in the text (``gone``), only in the other (``new``), and the cells left over,
+    for the edited text (0) and the next document (1), by sketches with ``room`` cells a digest in each subtable."""
+    wide = lambda x, y: F.ceil((F.size(x) + F.size(y)) * room) + 11
+    dealt = listed.repartition(parts, "row")
+    cells = peeled(sketched(dealt, [("a", 0, 1, wide("a", "e")), ("e", 0, -1, wide("a", "e")), ("a", 1, 1, wide("a", "n")), ("n", 1, -1, wide("a", "n"))]))
+    count = lambda pair, cell: F.coalesce(F.sum(F.when((F.col("pair") == pair) & (F.col("cell") == cell), F.col("c"))), F.lit(0))
+    return cells.groupBy("row").agg(*(f.alias(f"{name}{p}") for p in (0, 1) for name, f in (("gone", count(p, -1)), ("new", count(p, -2)))), F.count_if(F.col("cell") >= 0).alias("left"))
 
 
-def _cells(rows: DataFrame) -> DataFrame:
-    """Sum what falls into each cell; cells that are empty go."""
-    return rows.groupBy(*KEYS).agg(F.sum("c").alias("c"), F.bit_xor("k").alias("k"), F.bit_xor("h").alias("h")).where("cell < 0 OR c <> 0 OR k <> 0 OR h <> 0")
+def settled(listed: DataFrame, parts: int) -> DataFrame:
+    """``differences`` of all rows, retried with twice the room as long as any sketch does not peel; rows without digests are left out."""
+    room, rest, done = ROOM, listed, None
+    while True:
+        found = checkpointed(differences(rest, room, parts))
+        good = found.where("left = 0")
+        done = good if done is None else done.unionAll(good)
+        again = found.where("left > 0").select("row")
+        n = again.count()
+        if not n:
+            return done
+        room, rest, parts = 2 * room, listed.join(again, "row", "left_semi"), max(1, min(parts, n))
 
 
-def subtracted(listed: DataFrame) -> DataFrame:
-    """Cells of the difference sketches of pairs 0 (text, edited) and 1 (text, next), and of the base sketches 2 (text)
-    and 3 (edited), from the unit lists ``a``, ``e`` and ``n`` of each row."""
-    third = lambda x, y: F.ceil((F.size(x) + F.size(y)) * ROOM).cast("int") + 11
-    base = F.lit(BASE // 3)
-    part = lambda units, pair, sign, wide: F.transform(units, lambda d: F.struct(F.lit(pair).alias("pair"), wide.alias("third"), F.lit(sign).cast("long").alias("c"), d.alias("k")))
-    parts = F.concat(
-        part("a", 0, 1, third("a", "e")), part("e", 0, -1, third("a", "e")), part("a", 1, 1, third("a", "n")), part("n", 1, -1, third("a", "n")),
-        part("a", 2, 1, base), part("e", 3, 1, base),
-    )
-    rows = listed.select("range", "number", F.explode(parts).alias("x")).select("range", "number", "x.pair", "x.third", "x.c", "x.k")
-    rows = rows.withColumn("h", _check(F.col("k")))
-    return _cells(rows.withColumn("cell", F.explode(F.array(*(_slot(F.col("k"), F.lit(j), F.col("third")) + F.col("third") * j for j in range(3))))))
+def _above(bounds: Column, n: int, value: Column) -> Column:
+    """How many of ``n`` sorted bounds lie below a value, by halving."""
+    start = F.struct(F.lit(0).alias("lo"), F.lit(n).alias("hi"))
 
+    def step(s: Column, _: Column) -> Column:
+        mid = F.floor((s["lo"] + s["hi"]) / 2).cast("int")
+        less = F.get(bounds, mid) < value
+        return F.when(s["lo"] >= s["hi"], s).otherwise(F.struct(F.when(less, mid + 1).otherwise(s["lo"]).alias("lo"), F.when(less, s["hi"]).otherwise(mid).alias("hi")))
 
-def peeled(cells: DataFrame) -> DataFrame:
-    """Peel pairs 0 and 1. Digests found count in the cells -1 (only in the first text) and -2 (only in the second)."""
-    for r in range(ROUNDS):
-        j = r % 3
-        third = F.col("third")
-        pure = (F.col("pair") < 2) & (F.abs("c") == 1) & (F.col("cell") >= third * j) & (F.col("cell") < third * (j + 1)) & (F.col("h") == _check(F.col("k")))
-        row = lambda cell, c, k, h: F.struct(cell.cast("int").alias("cell"), c.cast("long").alias("c"), k.alias("k"), h.alias("h"))
-        others = [row(_slot(F.col("k"), F.lit(i), third) + third * i, -F.col("c"), F.col("k"), F.col("h")) for i in range(3) if i != j]
-        none = F.lit(0).cast("long")
-        found = row(F.when(F.col("c") > 0, -1).otherwise(-2), F.lit(1), none, none)
-        kept = row(F.col("cell"), F.col("c"), F.col("k"), F.col("h"))
-        moved = cells.withColumn("x", F.explode(F.when(pure, F.array(*others, found)).otherwise(F.array(kept))))
-        cells = _cells(moved.select("range", "number", "pair", "third", "x.cell", "x.c", "x.k", "x.h"))
-    return cells
+    return F.aggregate(F.sequence(F.lit(1), F.lit(n.bit_length())), start, step, lambda s: s["lo"])
 
 
 def followed(docs: DataFrame, ranges: int | None = None) -> DataFrame:
     """``docs`` (doc_id, text, ...) with ``next_text``, the text of the next document in descending id
-    order, and ``range``, ``number``: the partition key and the place in it."""
+    order, and ``row``, a number of its own for each row."""
     spark = docs.sparkSession
     ranges = ranges or 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
-    lowest = F.lit(-(1 << 63) + 1)
-    keyed = docs.withColumn("at", F.coalesce("doc_id", lowest))
-    steps = [i / ranges for i in range(1, ranges)] + [1.0]
-    bounds = sorted(set(keyed.agg(F.percentile_approx("at", steps, 100 * ranges)).first()[0] or []) | set(keyed.agg(F.max("at")).first()) - {None})
+    keyed = docs.withColumn("at", F.coalesce("doc_id", F.lit(-(1 << 63) + 1)))
+    steps = [i / ranges for i in range(1, ranges)]
+    about = sorted(set(keyed.agg(F.percentile_approx("at", [*steps, 1.0], 100 * ranges)).first()[0] or []))
+    literal = lambda values: F.from_json(F.lit(json.dumps(values)), "array<bigint>")
+    # Percentiles pass through doubles; the largest id of each range is the bound that is exact.
+    bounds = sorted(r[0] for r in keyed.groupBy(_above(literal(about), len(about), F.col("at"))).agg(F.max("at").alias("at")).select("at").collect()) if about else []
     if not bounds:
-        return docs.withColumns({"next_text": F.lit(None).cast("string"), "range": F.lit(0), "number": F.lit(0)})
-    edge = F.array(*map(F.lit, bounds))
-    own = F.size(F.filter(edge, lambda b: b < F.col("at")))
-    above = F.when(F.col("at") == bounds[-1], F.struct(F.lit(0).alias("range"), F.lit(2).alias("rank"))).when(F.array_contains(edge, F.col("at")), F.struct((own + 1).alias("range"), F.lit(1).alias("rank")))
-    placed = keyed.withColumn("place", F.explode(F.filter(F.array(F.struct(own.alias("range"), F.lit(0).alias("rank")), above), lambda p: p.isNotNull()))).withColumn("range", F.col("place.range")).withColumn("rank", F.col("place.rank"))
+        return docs.withColumns({"next_text": F.lit(None).cast("string"), "row": F.lit(0).cast("long")})
+    edge = literal(bounds)
+    own = _above(edge, len(bounds), F.col("at"))
+    ends = F.get(edge, F.col("own")) == F.col("at")
+    above = F.when(F.col("at") == bounds[-1], F.struct(F.lit(0).alias("range"), F.lit(2).alias("rank"))).when(ends, F.struct((F.col("own") + 1).alias("range"), F.lit(1).alias("rank")))
+    placed = keyed.withColumn("own", own).withColumn("place", F.explode(F.array_compact(F.array(F.struct(F.col("own").alias("range"), F.lit(0).alias("rank")), above)))).select("doc_id", "text", "at", "place.range", "place.rank")
     order = Window.partitionBy("range").orderBy("rank", F.desc("at"), F.desc("text"))
     numbered = placed.withColumns({"next_text": F.lead("text").over(order), "number": F.row_number().over(order)})
-    return numbered.where("rank = 0").drop("at", "place", "rank")
+    return numbered.where("rank = 0").withColumn("row", F.col("range").cast("long") * (1 << 40) + F.col("number")).drop("at", "range", "rank", "number")
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
@@ -195,27 +153,21 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     read = followed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text")))
     sized = read.withColumn("n_chars", F.length("text").cast("long")).withColumn("cut", F.floor(F.col("n_chars") / 2).cast("int"))
     edited = sized.withColumn("edited", F.concat(F.substring("text", F.lit(1), (F.col("n_chars") - F.col("cut")).cast("int")), F.substring("next_text", F.lit(1), F.col("cut"))))
-    listed = edited.select("range", "number", "doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), units(F.col("text")).alias("a"), units(F.col("edited")).alias("e"), units(F.col("next_text")).alias("n"))
-    in_cell = lambda pair, cell: F.coalesce(F.sum(F.when((F.col("pair") == pair) & (F.col("cell") == cell), F.col("c"))), F.lit(0))
-    left = lambda pair: F.count_if((F.col("pair") == pair) & (F.col("cell") >= 0))
-    sketched = lambda pair: F.sort_array(F.collect_list(F.when(F.col("pair") == pair, F.struct("cell", "c", "k", "h"))))
-    found = peeled(subtracted(listed)).groupBy("range", "number").agg(
-        *(f(i).alias(f"{name}{i}") for i in (0, 1) for name, f in (("gone", lambda p: in_cell(p, -1)), ("new", lambda p: in_cell(p, -2)), ("left", left))),
-        written(sketched(2)).alias("fingerprint"), written(sketched(3)).alias("edited_fingerprint"),
-    )
-    both = listed.join(found, ["range", "number"], "left")
-
-    def settled(i: int, other: str) -> Column:
-        """(gone, new) of a pair: as peeled, or by larger sketches if cells were left over."""
-        retried = differing(F.col("a"), F.col(other), sketch(F.col("a"), F.lit(BASE)), sketch(F.col(other), F.lit(BASE)))
-        again = let(retried, lambda d: F.struct(F.size(d["left"]).cast("long").alias("gone"), F.size(d["right"]).cast("long").alias("new")))
-        return F.when(F.coalesce(F.col(f"left{i}"), F.lit(0)) == 0, F.struct(F.coalesce(f"gone{i}", F.lit(0)).cast("long").alias("gone"), F.coalesce(f"new{i}", F.lit(0)).cast("long").alias("new"))).otherwise(again)
-
-    near = lambda other, d: F.when(F.size("a") + F.size(other) == 0, 1.0).otherwise(1 - (F.col(d)["gone"] + F.col(d)["new"]) / (F.size("a") + F.size(other)))
-    return both.withColumns({"to_edited": settled(0, "e"), "to_next": settled(1, "n")}).select(
+    listed = checkpointed(edited.select("row", "doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), units(F.col("text")).alias("a"), units(F.col("edited")).alias("e"), units(F.col("next_text")).alias("n")))
+    sizes = lambda *lists: sum((F.size(x).cast("long") for x in lists), F.lit(0))
+    cells = listed.agg(F.sum(3 * sizes("a", "a", "e", "n"))).first()[0] or 0
+    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-cells // CELLS_A_TASK))
+    found = settled(listed.select("row", "a", "e", "n"), parts)
+    third = F.lit(BASE // 3)
+    base = sketched(listed.select("row", "a", "e").repartition(parts, "row"), [("a", 0, 1, third), ("e", 1, 1, third)])
+    held = lambda pair: F.sort_array(F.collect_list(F.when(F.col("pair") == pair, F.struct("cell", "c", "k", "h"))))
+    prints = base.groupBy("row").agg(written(held(0)).alias("fingerprint"), written(held(1)).alias("edited_fingerprint"))
+    rows = listed.select("row", "doc_id", "n_chars", "edited_sha256", *(F.size(x).cast("long").alias(f"n_{x}") for x in "aen"))
+    both = rows.join(prints, "row", "left").join(found, "row", "left")
+    near = lambda other, p: F.when(F.col("n_a") + F.col(other) == 0, 1.0).otherwise(1 - (F.coalesce(f"gone{p}", F.lit(0)) + F.coalesce(f"new{p}", F.lit(0))) / (F.col("n_a") + F.col(other)))
+    return both.select(
         "doc_id", "n_chars", "edited_sha256", F.coalesce("fingerprint", F.lit("")).alias("fingerprint"), F.coalesce("edited_fingerprint", F.lit("")).alias("edited_fingerprint"),
-        near("e", "to_edited").alias("near_edited"), near("n", "to_next").alias("near_next"),
-        F.size("a").cast("long").alias("n_units"), F.col("to_edited.gone").alias("gone"), F.col("to_edited.new").alias("new"),
+        near("n_e", 0).alias("near_edited"), near("n_n", 1).alias("near_next"), F.col("n_a").alias("n_units"), F.coalesce("gone0", F.lit(0)).alias("gone"), F.coalesce("new0", F.lit(0)).alias("new"),
     )
 
 

@@ -17,6 +17,21 @@ def mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(29))
 
 
+def byte_hashes(values: pa.Array) -> np.ndarray:
+    """A 64-bit hash of each string, from its bytes."""
+    if not len(values):
+        return np.zeros(0, np.uint64)
+    values = pa.concat_arrays([values.cast(pa.binary())])
+    ends = np.frombuffer(values.buffers()[1], np.int32)[values.offset : values.offset + len(values) + 1].astype(np.int64)
+    raw = np.frombuffer(values.buffers()[2], np.uint8)[ends[0] : ends[-1]] if values.buffers()[2] is not None else np.zeros(0, np.uint8)
+    size, begin = np.diff(ends), ends[:-1] - ends[0]
+    place = np.arange(len(raw)) - np.repeat(begin, size)
+    powers = np.multiply.accumulate(np.full(int(size.max()) + 1, _P))
+    parts = np.append(mixed((raw.astype(np.uint64) + np.uint64(1)) * _Q) * powers[place], np.uint64(0))
+    total = np.where(size > 0, np.add.reduceat(parts, begin), np.uint64(0))
+    return mixed(total + size.astype(np.uint64) * _P)
+
+
 def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the white-space separated words of each text, and where each text's words start."""
     cut = coded_chunks(texts)

@@ -1,52 +1,58 @@
-"""Language-model scoring with an n-gram trie of monotone sequences.
+"""Language-model scoring with an n-gram trie in Elias-Fano levels.
 
-Each level of the trie is a set of shards, files in the shared folder that workers map into memory:
+Texts are tokenized once; a table in the shared folder holds, for each slice of texts, its distinct words' hashes and the
+places of its tokens. Words are counted first, which gives each an id. One more pass then sends, for each shard, a run
+of the slice's sorted trigrams and their counts; bigrams are their prefixes, and a text's last bigram is a
+trigram without a third word. Counting is exact, covers the corpus, and keeps n-grams that occur once.
 
-* ``contexts`` and ``begin``: the nodes of the level above that have children, and where their children start;
-  both are monotone;
-* ``values``: the children's word ids. Adding to each range the last value before it makes the whole sequence
+A shard is a file that workers map into memory. Its two levels are
+
+* ``contexts`` and ``begin``: the first words, and where their second words start (monotone both); ``follow``: where each
+  bigram's third words start;
+* ``second`` and ``third``: word ids. Adding to each range the last value before it makes the whole level
   monotone, so that one successor search relative to the context finds a child;
-* ``prob`` and ``back``: interpolated probabilities and back-off weights, as logarithms in 16 bits.
+* discounted probabilities and back-off weights as logarithms in 16 bits.
 
-``Monotone`` holds a sequence as packed lower bits and a directory of upper bits (one pointer for 16 values, two
-bits a value, what a unary code of them takes).
+``EliasFano`` holds a monotone sequence: packed lower bits, upper bits in unary, and a count of ones for every 512 of
+them from which select works. That is 2 + log2(largest / length) bits a value and an eighth.
 
-Counting is exact and covers the corpus: every batch sends, for each shard, one compressed run of its sorted
-n-grams and counts, so a frequent word costs one entry a batch. An n-gram enters a level if it occurs
-``MIN_COUNT`` times, which implies that its own parts are in the levels above, so parts that are not
-there are never sent. Shards follow from the number of documents, and no table goes to the driver.
+Shards follow from the number of tokens. A word that is more frequent than a shard is long has its bigrams dealt over
+several shards by the second word; how many distinct ones follow it is then added up. No table of words or
+n-grams goes to the driver, only a row a shard and these words.
 
 Smoothing: unseen words share the mass that once-seen words have (Good-Turing); higher orders use absolute
-discounting, interpolated with the order below.
+discounting, interpolated with the order below when a text is scored.
 
 Defined cases: null text is the empty text, one end token; with nothing to learn from every score is 0; repeated
-rows count as often as they occur; texts are read whole; extra columns are ignored.
+rows count as often as they occur; ties do not arise; texts are read whole; extra columns are ignored. Where the shared
+folder is no local path, shards are fetched and the most recent ones held, up to ``HELD_BYTES``.
 """
 
 from __future__ import annotations
 
 import json
 import os
-import re
 import uuid
-import zlib
-from collections.abc import Iterator
-from dataclasses import dataclass
+from collections import OrderedDict
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evalengine.llm._arrow import coded_chunks, small, summed
-from evalengine.llm._common import fold_of, shared_dir, table, whole_text
-from evalengine.llm._shingles import mixed
+from evalengine.llm._arrow import coded_chunks, gathered, sliced, split_chunks, summed, trim
+from evalengine.llm._common import checkpointed, fold_of, shared_dir, table, whole_text
+from evalengine.llm._shingles import byte_hashes, mixed
 
-ORDER, MIN_COUNT, DISCOUNT, DOCS_A_SHARD = 3, 2, 0.6, 8000
-END = xxhash.xxh3_64_intdigest(b"\x00end of text")
+DISCOUNT, TOKENS_A_SHARD, WINDOW = 0.6, 2_000_000, 1_000_000
+END = byte_hashes(pa.array(["\0end of text"]))[0]
 FLOOR, GRAIN = -20.0, 20.0 / 65535
-TOKENS = re.compile(r"[^\x20\x09-\x0D]+").findall
+HELD_BYTES, HELD_FILES = 256_000_000, 1024
+SLICES = "docs binary, lost binary, held binary, starts binary, codes binary, words binary, seen binary, tokens long, learned long"
+ONES = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
 # Files.
@@ -84,75 +90,127 @@ def save(folder: str, name: str, arrays: dict[str, np.ndarray]) -> None:
         store.move(f"{path}/{temporary}", f"{path}/{name}")
 
 
-_OPEN: dict[str, dict[str, np.ndarray]] = {}
+#: Open files of a worker, the most recent last; mapped pages are the system's to take back, fetched bytes are bounded.
+_OPEN: OrderedDict[str, tuple[dict[str, np.ndarray], int]] = OrderedDict()
 
 
 def load(folder: str, name: str) -> dict[str, np.ndarray]:
-    """Arrays of a file, mapped into memory where the folder is a local path, fetched once a worker elsewhere."""
+    """Arrays of a file, mapped into memory where the folder is a local path, fetched elsewhere."""
     key = f"{folder}/{name}"
-    if key not in _OPEN:
-        local = _local(folder)
-        if local is not None:
-            raw = np.memmap(f"{local}/{name}", np.uint8, "r")
-        else:
-            from pyarrow import fs
+    if key in _OPEN:
+        _OPEN.move_to_end(key)
+        return _OPEN[key][0]
+    local, fetched = _local(folder), 0
+    if local is not None:
+        raw = np.memmap(f"{local}/{name}", np.uint8, "r")
+    else:
+        from pyarrow import fs
 
-            store, path = fs.FileSystem.from_uri(folder)
-            with store.open_input_file(f"{path}/{name}") as f:
-                raw = np.frombuffer(f.read(), np.uint8)
-        n = int.from_bytes(raw[:8].tobytes(), "little")
-        _OPEN[key] = {k: raw[8 + n + at : 8 + n + at + size * np.dtype(kind).itemsize].view(kind) for k, (kind, size, at) in json.loads(raw[8 : 8 + n].tobytes()).items()}
-    return _OPEN[key]
+        store, path = fs.FileSystem.from_uri(folder)
+        with store.open_input_file(f"{path}/{name}") as f:
+            raw = np.frombuffer(f.read(), np.uint8)
+        fetched = len(raw)
+    n = int.from_bytes(raw[:8].tobytes(), "little")
+    held = {k: raw[8 + n + at : 8 + n + at + size * np.dtype(kind).itemsize].view(kind) for k, (kind, size, at) in json.loads(raw[8 : 8 + n].tobytes()).items()}
+    _OPEN[key] = held, fetched
+    while len(_OPEN) > 1 and (len(_OPEN) > HELD_FILES or sum(x[1] for x in _OPEN.values()) > HELD_BYTES):
+        _OPEN.popitem(last=False)
+    return held
 
 
 # Sequences.
 
 
-class Monotone:
+class EliasFano:
     """A sorted sequence of unsigned integers, searched in whole arrays at once."""
 
     @staticmethod
     def arrays(name: str, values: np.ndarray) -> dict[str, np.ndarray]:
-        values = values.astype(np.uint64)
-        n, top = len(values), int(values[-1]) if len(values) else 0
-        low = max(0, (top * 16 // max(n, 1)).bit_length()) if top >= n // 16 else 0
-        low = min(low, 63)
-        kind = np.uint8 if low <= 8 else np.uint16 if low <= 16 else np.uint32 if low <= 32 else np.uint64
-        upper = values >> np.uint64(low)
-        first = np.searchsorted(upper, np.arange((top >> low) + 2, dtype=np.uint64)).astype(np.uint32)
-        return {f"{name}.low": (values & np.uint64((1 << low) - 1)).astype(kind), f"{name}.first": first, f"{name}.bits": np.array([low], np.uint64)}
+        v = values.astype(np.uint64)
+        n, top = len(v), int(v[-1]) if len(v) else 0
+        low = min(63, max(0, (top // n).bit_length() - 1)) if n else 0
+        packed = np.zeros(n * low // 64 + 2, np.uint64)
+        if n and low:
+            bit = np.arange(n, dtype=np.int64) * low
+            word, off = bit >> 6, (bit & 63).astype(np.uint64)
+            part = v & np.uint64((1 << low) - 1)
+            first = np.flatnonzero(np.concatenate(([True], np.diff(word) != 0)))
+            packed[word[first]] = np.bitwise_or.reduceat(part << off, first)
+            over = np.flatnonzero(off + np.uint64(low) > 64)
+            packed[word[over] + 1] |= part[over] >> (np.uint64(64) - off[over])
+        upper = (v >> np.uint64(low)).astype(np.int64)
+        bits = np.zeros(-(-(n + (int(upper[-1]) if n else 0) + 2) // 512) * 512, bool)
+        bits[upper + np.arange(n)] = True
+        unary = np.packbits(bits, bitorder="little").view(np.uint64)
+        ones = np.bitwise_count(unary).reshape(-1, 8).sum(axis=1, dtype=np.int64)
+        before = np.concatenate(([0], np.cumsum(ones)))
+        return {f"{name}.low": packed, f"{name}.high": unary, f"{name}.ones": before.astype(np.uint32 if n < 1 << 32 else np.uint64), f"{name}.shape": np.array([n, low], np.int64)}
 
     def __init__(self, held: dict[str, np.ndarray], name: str) -> None:
-        self.low, self.first, self.bits = held[f"{name}.low"], held[f"{name}.first"], held[f"{name}.bits"][0]
+        self.packed, self.unary, self.ones = held[f"{name}.low"], held[f"{name}.high"], held[f"{name}.ones"]
+        self.n, self.bits = (int(x) for x in held[f"{name}.shape"])
+        self.mask = np.uint64((1 << self.bits) - 1)
+        self.zeros = None
 
     def __len__(self) -> int:
-        return len(self.low)
+        return self.n
+
+    def _select(self, r: np.ndarray, one: bool) -> np.ndarray:
+        """Where the r-th one (or zero) of the upper bits stands."""
+        if one:
+            before = self.ones
+        else:
+            if self.zeros is None:
+                self.zeros = np.arange(len(self.ones), dtype=np.int64) * 512 - self.ones.astype(np.int64)
+            before = self.zeros
+        block = np.searchsorted(before, r.astype(before.dtype), side="right") - 1
+        r = r - before[block].astype(np.int64)
+        words = self.unary[(block * 8)[:, None] + np.arange(8)]
+        if not one:
+            words = words ^ ONES
+        counts = np.cumsum(np.bitwise_count(words), axis=1, dtype=np.int64)
+        k = (counts <= r[:, None]).sum(axis=1)
+        i = np.arange(len(r))
+        r = r - np.where(k > 0, counts[i, np.maximum(k - 1, 0)], 0)
+        word, at = words[i, k], block * 512 + k * 64
+        for step in (32, 16, 8, 4, 2, 1):
+            c = np.bitwise_count(word & np.uint64((1 << step) - 1)).astype(np.int64)
+            go = r >= c
+            r = r - c * go
+            word = word >> (go * np.uint64(step)).astype(np.uint64)
+            at = at + go * step
+        return at
+
+    def _low(self, i: np.ndarray) -> np.ndarray:
+        if not self.bits:
+            return np.zeros(len(i), np.uint64)
+        bit = i.astype(np.int64) * self.bits
+        word, off = bit >> 6, (bit & 63).astype(np.uint64)
+        return (self.packed[word] >> off | np.where(off > 0, self.packed[word + 1] << (np.uint64(64) - np.maximum(off, np.uint64(1))), np.uint64(0))) & self.mask
 
     def at(self, i: np.ndarray) -> np.ndarray:
-        upper = np.searchsorted(self.first, i, side="right") - 1
-        return (upper.astype(np.uint64) << self.bits) | self.low[i]
+        i = i.astype(np.int64)
+        return (self._select(i, True) - i).astype(np.uint64) << np.uint64(self.bits) | self._low(i)
 
-    def successor(self, q: np.ndarray) -> np.ndarray:
-        """Index of the first value >= q (the length where there is none)."""
+    def find(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(index of the first value >= q, or the last index where there is none; whether q is there)."""
+        if not self.n:
+            return np.zeros(len(q), np.int64), np.zeros(len(q), bool)
         q = q.astype(np.uint64)
-        upper = q >> self.bits
-        beyond = upper >= len(self.first) - 1
-        upper = np.where(beyond, 0, upper).astype(np.int64)
-        lo, hi = self.first[upper].astype(np.int64), self.first[upper + 1].astype(np.int64)
-        want = q & ((np.uint64(1) << self.bits) - np.uint64(1))
+        upper, want = (q >> np.uint64(self.bits)).astype(np.int64), q & self.mask
+        beyond = upper > int(self.ones.shape[0] - 1) * 512 - self.n - 1
+        upper = np.where(beyond, 0, upper)
+        ends = self._select(upper, False)
+        begins = np.where(upper > 0, self._select(np.maximum(upper - 1, 0), False) + 1, 0)
+        lo, hi = begins - upper, ends - upper
+        stop = hi
         while (open_ := lo < hi).any():
             mid = (lo + hi) >> 1
-            less = self.low[np.minimum(mid, len(self.low) - 1)] < want
+            less = self._low(np.minimum(mid, self.n - 1)) < want
             lo, hi = np.where(open_ & less, mid + 1, lo), np.where(open_ & ~less, mid, hi)
-        return np.where(beyond, len(self.low), lo)
-
-    def find(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(index, whether q is there)."""
-        if not len(self.low):
-            return np.zeros(len(q), np.int64), np.zeros(len(q), bool)
-        i = self.successor(q)
-        safe = np.minimum(i, len(self.low) - 1)
-        return safe, (i < len(self.low)) & (self.at(safe) == q.astype(np.uint64))
+        safe = np.minimum(lo, self.n - 1)
+        hit = ~beyond & (lo < stop) & (self._low(safe) == want)
+        return np.where(beyond, self.n - 1, safe), hit
 
 
 def quantised(log10: np.ndarray) -> np.ndarray:
@@ -160,19 +218,87 @@ def quantised(log10: np.ndarray) -> np.ndarray:
 
 
 def restored(q: np.ndarray) -> np.ndarray:
-    return q.astype(np.float64) * GRAIN + FLOOR
+    """Probabilities from their quantised logarithms."""
+    return 10.0 ** (q.astype(np.float64) * GRAIN + FLOOR)
 
 
-def paired(context: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct (context, word) pairs in order: their parts, first places, places of all, and counts."""
-    if not len(context):
+def paired(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct pairs (a, b >= -1) in order: their parts, first places, and the pair of each place."""
+    if not len(a):
         none = np.zeros(0, np.int64)
-        return none, none, none, none, none
-    if max(int(context.max()), int(word.max()) + 1) < 1 << 31 and int(word.min()) >= -1:
-        key, at, where, seen = np.unique((context.astype(np.int64) << 32) | (word + 1).astype(np.int64), return_index=True, return_inverse=True, return_counts=True)
-        return key >> 32, (key & 0xFFFFFFFF) - 1, at, where, seen
-    key, at, where, seen = np.unique(np.column_stack((context, word)).astype(np.int64), axis=0, return_index=True, return_inverse=True, return_counts=True)
-    return key[:, 0], key[:, 1], at, where.reshape(-1), seen
+        return none, none, none, none
+    if max(int(a.max()), int(b.max()) + 1) < 1 << 31:
+        key, at, where = np.unique((a.astype(np.int64) << 32) | (b + 1).astype(np.int64), return_index=True, return_inverse=True)
+        return key >> 32, (key & 0xFFFFFFFF) - 1, at, where
+    key, at, where = np.unique(np.column_stack((a, b)).astype(np.int64), axis=0, return_index=True, return_inverse=True)
+    return key[:, 0], key[:, 1], at, where.reshape(-1)
+
+
+# Runs of numbers.
+
+
+def _plane(values: np.ndarray) -> bytes:
+    """64-bit numbers as planes of bytes, so that high bytes compress to nothing."""
+    return values.astype(np.int64).view(np.uint8).reshape(-1, 8).T.tobytes()
+
+
+def _run(*arrays: np.ndarray) -> bytes:
+    raw = b"".join(_plane(a) for a in arrays)
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def _read_run(blob: bytes, arrays: int) -> list[np.ndarray]:
+    size = int.from_bytes(blob[:8], "little")
+    planes = np.frombuffer(pa.decompress(blob[8:], size, codec="zstd", asbytes=True), np.uint8).reshape(arrays, 8, -1)
+    return [np.ascontiguousarray(p.T).view(np.int64).reshape(-1) for p in planes]
+
+
+# Slices of tokens.
+
+
+def token_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(distinct token hashes, codes of all tokens with each text's end token, where each text starts)."""
+    cut = coded_chunks(texts)
+    found = split_chunks(pc.ascii_lower(cut.array), r"[\t-\r]+")
+    distinct, of = np.unique(np.append(byte_hashes(found.pieces), END), return_inverse=True)
+    at, ends = gathered(found.starts, cut.codes)
+    body, starts = of[:-1][found.codes][at], ends[cut.starts]
+    return distinct, np.insert(body, starts[1:], of[-1]), starts + np.arange(len(starts))
+
+
+def tokenised(docs: DataFrame) -> DataFrame:
+    """A row for each slice of texts (columns of ``SLICES``); ``docs`` has ``doc_id``, ``held_out`` and ``text``.
+
+    A slice's words are numbered by their frequency in it, so that the numbers compress.
+    """
+
+    def run(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        words, codes, starts = token_hashes(batch.column(2))
+        held = batch.column(1).to_numpy(zero_copy_only=False).astype(bool)
+        order = np.argsort(-np.bincount(codes, minlength=len(words)), kind="stable")
+        rank = np.empty(len(words), np.int64)
+        rank[order] = np.arange(len(words))
+        words, codes = words[order], rank[codes]
+        own = np.repeat(~held, np.diff(starts))
+        seen = np.bincount(codes[own], minlength=len(words))
+        docs, lost = batch.column(0).fill_null(0).to_numpy(), batch.column(0).is_null().to_numpy(zero_copy_only=False)
+        blobs = (docs, lost, held, starts, codes, words.view(np.int64), seen)
+        yield pa.RecordBatch.from_arrays([*(pa.array([_run(b)], pa.binary()) for b in blobs), pa.array([len(codes)]), pa.array([int(own.sum())])], names=[c.split(" ")[0] for c in SLICES.split(", ")])
+
+    read = docs.select(F.col("doc_id").cast("long"), F.coalesce("held_out", F.lit(False)).alias("held_out"), whole_text().alias("text"))
+    return checkpointed(read.mapInArrow(sliced(run), SLICES))
+
+
+def _over(rows: DataFrame, columns: list[str], run: Callable[..., Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """``run`` over the numbers in the columns of each slice, one slice at a time."""
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                yield from run(*(_read_run(c[i].as_py(), 1)[0] for c in batch.columns))
+        trim()
+
+    return rows.select(*columns).mapInArrow(task, schema)
 
 
 # The trie.
@@ -180,14 +306,18 @@ def paired(context: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 @dataclass
 class Trie:
+    """``bases``: the first id of each word shard; ``hot``: by word id, over how many shards its bigrams are dealt, how often
+    it occurs and how many distinct words follow it."""
+
     folder: str
     shards: int
-    bases: list[list[int]]
-    tokens: int
-    types: int
-    once: int
+    bases: list[int] = field(default_factory=list)
+    hot: dict[int, list[int]] = field(default_factory=dict)
+    tokens: int = 0
+    types: int = 0
+    once: int = 0
 
-    def _parts(self, shard: np.ndarray):
+    def parts(self, shard: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
         order = np.argsort(shard, kind="stable")
         edge = np.searchsorted(shard[order], np.arange(self.shards + 1))
         for s in np.flatnonzero(np.diff(edge)):
@@ -196,99 +326,83 @@ class Trie:
     def word_shard(self, h: np.ndarray) -> np.ndarray:
         return (mixed(h) % np.uint64(self.shards)).astype(np.int64)
 
+    def pair_shard(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        shard = mixed(first.astype(np.uint64) + np.uint64(1))
+        if self.hot:
+            ids = np.array(sorted(self.hot))
+            at = np.minimum(np.searchsorted(ids, first), len(ids) - 1)
+            wide = np.where(ids[at] == first, np.array([self.hot[i][0] for i in ids.tolist()])[at], 1).astype(np.uint64)
+            shard = shard + mixed(second.astype(np.uint64) + np.uint64(7)) % wide
+        return (shard % np.uint64(self.shards)).astype(np.int64)
+
     def words(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(id, count) of word hashes; id -1 and count 0 for unseen ones."""
         ids, counts = np.full(len(h), -1, np.int64), np.zeros(len(h), np.int64)
-        for s, rows in self._parts(self.word_shard(h)) if self.bases else ():
-            held = load(self.folder, f"1-{s}")
-            i, hit = Monotone(held, "words").find(h[rows])
-            ids[rows] = np.where(hit, i + self.bases[0][s], -1)
+        for s, rows in self.parts(self.word_shard(h)) if self.bases else ():
+            held = load(self.folder, f"words-{s}")
+            i, hit = EliasFano(held, "words").find(h[rows])
             if len(held["count"]):
+                ids[rows] = np.where(hit, i + self.bases[s], -1)
                 counts[rows] = np.where(hit, held["count"][i], 0)
         return ids, counts
 
-    def count_of(self, level: int, ids: np.ndarray) -> np.ndarray:
-        out, base = np.zeros(len(ids), np.int64), np.array([*self.bases[level - 1], 1 << 62])
-        for s, rows in self._parts(np.searchsorted(base, ids, side="right") - 1):
-            out[rows] = load(self.folder, f"{level}-{s}")["count"][ids[rows] - base[s]]
-        return out
-
-    def children(self, level: int, context: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """For each (context node, word id): the child's node or -1, its log10 probability, and the context's
-        back-off weight (0 where the context has no children)."""
-        node, prob, back = np.full(len(word), -1, np.int64), np.zeros(len(word)), np.zeros(len(word))
-        for s, rows in self._parts(self.word_shard(context.astype(np.uint64))):
-            held = load(self.folder, f"{level}-{s}")
-            contexts, begin, values = (Monotone(held, x) for x in ("contexts", "begin", "values"))
-            r, there = contexts.find(context[rows])
+    def pairs(self, first: np.ndarray, second: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """For pairs of word ids (first >= 0): shard and place of the bigram (-1 if there is none), its discounted probability,
+        and the weight of the order below after the first word (1 where nothing follows it)."""
+        shard, place = self.pair_shard(first, second), np.full(len(first), -1, np.int64)
+        prob, back = np.zeros(len(first)), np.ones(len(first))
+        for s, rows in self.parts(shard):
+            held = load(self.folder, f"grams-{s}")
+            contexts, begin, second_ids = (EliasFano(held, x) for x in ("contexts", "begin", "second"))
+            r, there = contexts.find(first[rows])
             rows, r = rows[there], r[there]
             if not len(rows):
                 continue
-            b, e = begin.at(r).astype(np.int64), begin.at(r + 1).astype(np.int64)
-            before = np.where(b > 0, values.at(np.maximum(b - 1, 0)).astype(np.int64) + 1, 0)
-            i, hit = values.find(before + np.maximum(word[rows], 0))
-            hit &= (word[rows] >= 0) & (i >= b) & (i < e)
-            node[rows] = np.where(hit, i + self.bases[level - 1][s], -1)
-            prob[rows] = np.where(hit, restored(held["prob"][i]), 0)
-            back[rows] = restored(held["back"][r])
-        return node, prob, back
-
-    def word_logs(self, counts: np.ndarray) -> np.ndarray:
+            back[rows] = restored(held["back2"][r])
+            i, hit = _child(begin, second_ids, r, second[rows])
+            place[rows] = np.where(hit, i, -1)
+            prob[rows] = np.where(hit, restored(held["prob2"][i]), 0)
+        for word, (_, count, followers) in self.hot.items():
+            back[first == word] = max(DISCOUNT * followers / max(count, 1), 1e-9)
+        return shard, place, prob, back
+
+    def thirds(self, shard: np.ndarray, place: np.ndarray, third: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For bigrams by shard and place (>= 0) and word ids: the trigram's discounted probability and the weight of the order below."""
+        prob, back = np.zeros(len(place)), np.ones(len(place))
+        for s, rows in self.parts(shard):
+            held = load(self.folder, f"grams-{s}")
+            i, hit = _child(EliasFano(held, "follow"), EliasFano(held, "third"), place[rows], third[rows])
+            back[rows] = restored(held["back3"][place[rows]])
+            if len(held["prob3"]):
+                prob[rows] = np.where(hit, restored(held["prob3"][i]), 0)
+        return prob, back
+
+    def word_probabilities(self, counts: np.ndarray) -> np.ndarray:
         new = min(0.5, max(self.once, 1) / max(self.tokens, 1))
-        return np.log10(np.where(counts > 0, counts / max(self.tokens, 1) * (1 - new), new))
+        return np.where(counts > 0, counts / max(self.tokens, 1) * (1 - new), new)
 
 
-def token_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(distinct token hashes, codes of all tokens with each text's end token, where each text starts)."""
-    cut = coded_chunks(texts)
-    found = [TOKENS(c) for c in cut.chunks]
-    sizes = np.array([len(f) for f in found], np.int64)
-    flat = np.array([xxhash.xxh3_64_intdigest(w.encode().lower()) for f in found for w in f] + [END], np.uint64)
-    distinct, codes = np.unique(flat, return_inverse=True)
-    begin = np.concatenate(([0], np.cumsum(sizes)))
-    each = sizes[cut.codes]
-    ends = np.concatenate(([0], np.cumsum(each)))
-    at = np.repeat(begin[cut.codes] - ends[:-1], each) + np.arange(ends[-1])
-    body, starts = codes[at], ends[cut.starts]
-    out = np.insert(body, starts[1:], codes[-1])
-    return distinct, out, starts + np.arange(len(starts))
-
-
-def _backed(trie: Trie, ids: np.ndarray, logs: np.ndarray, starts: np.ndarray, order: int) -> tuple[np.ndarray, np.ndarray]:
-    """For every token: the node of the n-gram of ``order`` words that ends there (-1 if none), and the token's
-    log10 probability under orders up to ``order``. Each distinct pair of context and word is searched once."""
-    node, log = ids, logs
-    first = np.zeros(len(ids), bool)
-    first[starts[:-1]] = True
-    for level in range(2, order + 1):
-        context = np.concatenate(([-1], node[:-1]))
-        context[first] = -1
-        rows = np.flatnonzero(context >= 0)
-        pair_context, pair_word, _, where, _ = paired(context[rows], ids[rows])
-        node, log = np.full(len(ids), -1, np.int64), log.copy()
-        if len(rows):
-            n, p, b = trie.children(level, pair_context, pair_word)
-            hit = n[where] >= 0
-            node[rows] = n[where]
-            log[rows] = np.where(hit, p[where], log[rows] + b[where])
-    return node, log
-
-
-def _run(keys: np.ndarray, *more: np.ndarray) -> bytes:
-    return zlib.compress(len(keys).to_bytes(8, "little") + np.diff(keys.astype(np.uint64), prepend=np.uint64(0)).tobytes() + b"".join(m.tobytes() for m in more), 1)
-
-
-def _read_run(blob: bytes, *kinds: type) -> list[np.ndarray]:
-    raw = zlib.decompress(blob)
-    n, at, out = int.from_bytes(raw[:8], "little"), 8 + 8 * int.from_bytes(raw[:8], "little"), []
-    out.append(np.cumsum(np.frombuffer(raw, np.uint64, n, 8), dtype=np.uint64))
-    for kind in kinds:
-        out.append(np.frombuffer(raw, kind, n, at))
-        at += n * np.dtype(kind).itemsize
-    return out
-
-
-def _merged(runs: DataFrame, build, schema: str = "shard int, nodes long, tokens long, once long") -> list:
+def _child(begin: EliasFano, values: EliasFano, r: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(place of ``word`` among the children of range r, whether it is there)."""
+    if not len(values):
+        return np.zeros(len(r), np.int64), np.zeros(len(r), bool)
+    b, e = begin.at(r).astype(np.int64), begin.at(r + 1).astype(np.int64)
+    before = np.where(b > 0, values.at(np.maximum(b - 1, 0)).astype(np.int64) + 1, 0)
+    i, hit = values.find(before + np.maximum(word, 0))
+    return i, hit & (word >= 0) & (i >= b) & (i < e)
+
+
+def _ranges(begin: np.ndarray, words: np.ndarray) -> np.ndarray:
+    """Word ids in ranges, raised so that the whole sequence ascends."""
+    if not len(words):
+        return words
+    size = np.diff(begin)
+    last = np.zeros(len(size), np.int64)
+    last[size > 0] = words[begin[1:][size > 0] - 1] + 1
+    return words + np.repeat(np.concatenate(([0], np.cumsum(last)[:-1])), size)
+
+
+def _merged(runs: DataFrame, build: Callable[[int, list[bytes]], tuple]) -> list:
     """Hand each shard's runs to ``build(shard, blobs)``, one shard in memory at a time; its row goes to the driver."""
 
     def reduce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -303,130 +417,152 @@ def _merged(runs: DataFrame, build, schema: str = "shard int, nodes long, tokens
         if held is not None:
             rows.append((held, *build(held, blobs)))
         if rows:
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["shard", "nodes", "tokens", "once"])
-
-    return runs.repartition("shard").sortWithinPartitions("shard").mapInArrow(reduce, schema).collect()
-
-
-def _sent(shard: np.ndarray, shards: int, keys: np.ndarray, *more: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """One run for each shard; ``keys`` are sorted."""
-    order = np.argsort(shard, kind="stable")
-    edge = np.searchsorted(shard[order], np.arange(shards + 1))
-    some = np.flatnonzero(np.diff(edge))
-    if len(some):
-        blobs = [_run(keys[rows], *(m[rows] for m in more)) for s in some for rows in (order[edge[s] : edge[s + 1]],)]
-        yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(blobs, pa.binary())], names=["shard", "run"])
-
-
-def learn(docs: DataFrame, order: int = ORDER) -> Trie:
-    """Build the trie from the texts of ``docs`` (column ``text``)."""
-    spark = docs.sparkSession
-    folder = shared_dir(spark)
-    n = docs.select(F.lit(1)).count()
-    shards = max(16, -(-n // DOCS_A_SHARD))
-    read = docs.select(whole_text().alias("text"))
-    trie = Trie(folder, shards, [], 0, 0, 0)
-
-    def word_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in (p for batch in batches for p in small(batch)):
-            distinct, codes, _ = token_hashes(part.column(0))
-            seen = np.bincount(codes, minlength=len(distinct))
-            distinct, seen = distinct[seen > 0], seen[seen > 0]
-            yield from _sent(trie.word_shard(distinct), shards, distinct, seen.astype(np.uint32))
-
-    def word_level(shard: int, blobs: list[bytes]) -> tuple[int, int, int]:
-        keys, counts = (np.concatenate(x) for x in zip(*(_read_run(b, np.uint32) for b in blobs), strict=True))
-        keys, where = np.unique(keys, return_inverse=True)
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64())), strict=True)], names=["shard", "nodes", "once", "hot", "numbers"])
+        trim()
+
+    found = runs.repartition("shard").sortWithinPartitions("shard").mapInArrow(reduce, "shard int, nodes long, once long, hot array<long>, numbers array<long>").collect()
+    # The shuffle's files go when the driver's JVM finds that nothing refers to it any more.
+    runs.sparkSession.sparkContext._jvm.System.gc()
+    return found
+
+
+def _sent(trie: Trie, shard: np.ndarray, *arrays: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """One run for each shard, in the order of the arrays; each in a batch of its own."""
+    for s, rows in trie.parts(shard):
+        yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([_run(*(a[rows] for a in arrays))], pa.binary())], names=["shard", "run"])
+
+
+def learn(slices: DataFrame, tokens_a_shard: int = TOKENS_A_SHARD) -> Trie:
+    """Build the trie from the texts of ``tokenised`` documents that are not held out."""
+    trie = Trie(shared_dir(slices.sparkSession), 1)
+    trie.tokens = slices.agg(F.coalesce(F.sum("learned"), F.lit(0))).first()[0]
+    trie.shards = max(16, -(-trie.tokens // tokens_a_shard))
+
+    def word_runs(words: np.ndarray, seen: np.ndarray) -> Iterator[pa.RecordBatch]:
+        h, n = words.view(np.uint64)[seen > 0], seen[seen > 0]
+        yield from _sent(trie, trie.word_shard(h), h.view(np.int64), n)
+
+    def word_level(shard: int, blobs: list[bytes]) -> tuple:
+        keys, counts = (np.concatenate(x) for x in zip(*(_read_run(b, 2) for b in blobs), strict=True))
+        keys, where = np.unique(keys.view(np.uint64), return_inverse=True)
         counts = np.bincount(where, counts).astype(np.int64)
-        save(folder, f"1-{shard}", {**Monotone.arrays("words", keys), "count": counts})
-        return len(keys), int(counts.sum()), int((counts == 1).sum())
-
-    def based(level: int, rows: list) -> None:
-        sizes = {r.shard: r.nodes for r in rows}
-        empty = np.zeros(0, np.uint64)
-        for s in set(range(shards)) - set(sizes):
-            blank = Monotone.arrays("words", empty) if level == 1 else {**Monotone.arrays("contexts", empty), **Monotone.arrays("begin", np.zeros(1, np.uint64)), **Monotone.arrays("values", empty), "prob": empty.astype(np.uint16), "back": empty.astype(np.uint16)}
-            save(folder, f"{level}-{s}", {**blank, "count": empty.astype(np.int64)})
-        trie.bases.append(np.concatenate(([0], np.cumsum([sizes.get(s, 0) for s in range(shards)])))[:-1].tolist())
-
-    rows = _merged(read.mapInArrow(word_runs, "shard int, run binary"), word_level)
-    trie.tokens, trie.types, trie.once = (sum(r[k] for r in rows) for k in ("tokens", "nodes", "once"))
-    based(1, rows)
-    for level in range(2, order + 1):
-        rows = _merged(read.mapInArrow(_gram_runs(trie, level), "shard int, run binary"), _gram_level(trie, level))
-        based(level, rows)
+        save(trie.folder, f"words-{shard}", {**EliasFano.arrays("words", keys), "count": counts.astype(np.uint32 if counts.max() < 1 << 32 else np.int64)})
+        hot = np.flatnonzero(counts > tokens_a_shard)
+        return len(keys), int((counts == 1).sum()), hot.tolist(), counts[hot].tolist()
+
+    rows = _merged(_over(slices, ["words", "seen"], word_runs, "shard int, run binary"), word_level)
+    sizes = {r.shard: r.nodes for r in rows}
+    trie.types, trie.once = sum(sizes.values()), sum(r.once for r in rows)
+    none = np.zeros(0, np.uint64)
+    for s in set(range(trie.shards)) - set(sizes):
+        save(trie.folder, f"words-{s}", {**EliasFano.arrays("words", none), "count": none})
+    trie.bases = np.concatenate(([0], np.cumsum([sizes.get(s, 0) for s in range(trie.shards)])))[:-1].tolist()
+    trie.hot = {trie.bases[r.shard] + i: [-(-2 * c // tokens_a_shard), c, 0] for r in rows for i, c in zip(r.hot, r.numbers, strict=True)}
+    rows = _merged(_over(slices, ["held", "starts", "codes", "words"], _gram_runs(trie), "shard int, run binary"), _gram_level(trie))
+    for r in rows:
+        for word, followers in zip(r.hot, r.numbers, strict=True):
+            trie.hot[word][2] += followers
+    for s in set(range(trie.shards)) - {r.shard for r in rows}:
+        save(trie.folder, f"grams-{s}", _level(none.astype(np.int64), none.astype(np.int64), none.astype(np.int64), none.astype(np.int64), trie)[0])
     return trie
 
 
-def _gram_runs(trie: Trie, level: int):
-    def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in (p for batch in batches for p in small(batch)):
-            distinct, codes, starts = token_hashes(part.column(0))
-            ids, counts = trie.words(distinct)
-            ids, logs = np.where(counts >= MIN_COUNT, ids, -1)[codes], trie.word_logs(counts)[codes]
-            node, log = _backed(trie, ids, logs, starts, level - 1)
-            context = np.concatenate(([-1], node[:-1]))
-            context[starts[:-1]] = -1
-            good = np.flatnonzero((context >= 0) & (node >= 0))
-            context, word, at, _, seen = paired(context[good], ids[good])
-            lower = quantised(log[good][at])
-            order = np.argsort(context, kind="stable")
-            yield from _sent(trie.word_shard(context.astype(np.uint64))[order], trie.shards, context[order], word[order].astype(np.uint32), seen[order].astype(np.uint32), lower[order])
+def _gram_runs(trie: Trie):
+    def runs(held: np.ndarray, starts: np.ndarray, codes: np.ndarray, words: np.ndarray) -> Iterator[pa.RecordBatch]:
+        ids, _ = trie.words(words.view(np.uint64))
+        last = np.zeros(len(codes) + 2, bool)
+        last[starts[1:] - 1] = True
+        use = np.flatnonzero(np.repeat(held == 0, np.diff(starts)) & ~last[:-2])
+        for k in range(0, len(use), WINDOW):
+            at = use[k : k + WINDOW]
+            local, where = np.unique(codes[np.concatenate((at, at + 1, np.minimum(at + 2, len(codes) - 1)))], return_inverse=True)
+            order = np.argsort(ids[local], kind="stable")
+            rank = np.empty(len(local), np.int64)
+            rank[order] = np.arange(len(local))
+            a, b, c = (rank[x] for x in where.reshape(3, -1))
+            c = np.where(last[at + 1], 0, c + 1)
+            bits = len(local).bit_length()
+            key, times = np.unique(a << 2 * bits | b << bits | c, return_counts=True)
+            of, m = ids[local][order], (1 << bits) - 1
+            first, second, third = of[key >> 2 * bits], of[key >> bits & m], np.append(-1, of)[key & m]
+            yield from _sent(trie, trie.pair_shard(first, second), first, second, third + 1, times)
 
     return runs
 
 
-def _gram_level(trie: Trie, level: int):
-    def build(shard: int, blobs: list[bytes]) -> tuple[int, int, int]:
-        context, word, count, lower = (np.concatenate(x) for x in zip(*(_read_run(b, np.uint32, np.uint32, np.uint16) for b in blobs), strict=True))
-        order = np.lexsort((word, context))
-        context, word, count, lower = context[order], word[order], count[order], lower[order]
-        new = np.flatnonzero(np.concatenate(([True], (np.diff(context) != 0) | (np.diff(word) != 0))))
-        count = np.add.reduceat(count.astype(np.int64), new)
-        context, word, lower = context[new].astype(np.int64), word[new].astype(np.int64), lower[new]
-        keep = count >= MIN_COUNT
-        context, word, count, lower = context[keep], word[keep], count[keep], lower[keep]
-        if not len(context):
-            context = word = count = np.zeros(0, np.int64)
-        owners, begin = np.unique(context, return_index=True)
-        of = np.repeat(np.arange(len(owners)), np.diff(np.append(begin, len(context))))
-        total = trie.count_of(level - 1, owners)
-        kept = (count - DISCOUNT) / total[of]
-        back = 1 - np.bincount(of, kept, len(owners))
-        back = np.maximum(back, 1e-9)
-        prob = kept + back[of] * 10.0 ** restored(lower)
-        last = np.append(begin[1:], len(context)) - 1
-        base = np.concatenate(([0], np.cumsum(word[last] + 1)))[:-1] if len(owners) else np.zeros(0, np.int64)
-        save(trie.folder, f"{level}-{shard}", {
-            **Monotone.arrays("contexts", owners), **Monotone.arrays("begin", np.append(begin, len(context))), **Monotone.arrays("values", word + base[of]),
-            "prob": quantised(np.log10(prob)), "back": quantised(np.log10(back)), "count": count,
-        })
-        return len(context), int(count.sum()), 0
+def _level(first: np.ndarray, second: np.ndarray, third: np.ndarray, times: np.ndarray, trie: Trie) -> tuple[dict[str, np.ndarray], int, list[int], list[int]]:
+    """Arrays of a shard from its n-grams and counts; third -1: no third word. And the followers of hot words in it."""
+    one, two, _, pair = paired(first, second)
+    count2 = np.bincount(pair, times, len(one))
+    of, three, _, gram = paired(pair, third)
+    count3 = np.bincount(gram, times, len(of))
+    of, three, count3 = of[three >= 0], three[three >= 0], count3[three >= 0]
+    owners, begin = np.unique(one, return_index=True)
+    begin = np.append(begin, len(one))
+    owner = np.repeat(np.arange(len(owners)), np.diff(begin))
+    total = np.bincount(owner, count2, len(owners))
+    spread = np.diff(begin)
+    for word, (_, count, _) in trie.hot.items():
+        total[owners == word] = count
+    follow = np.searchsorted(of, np.arange(len(one) + 1))
+    log = lambda x: quantised(np.log10(np.maximum(x, 1e-20)))
+    total3 = np.bincount(of, count3, len(one))
+    made = {
+        **EliasFano.arrays("contexts", owners), **EliasFano.arrays("begin", begin), **EliasFano.arrays("second", _ranges(begin, two)),
+        **EliasFano.arrays("follow", follow), **EliasFano.arrays("third", _ranges(follow, three)),
+        "prob2": log((count2 - DISCOUNT) / total[owner]), "back2": log(DISCOUNT * spread / np.maximum(total, 1)),
+        "prob3": log((count3 - DISCOUNT) / total3[of]), "back3": log(np.where(total3 > 0, DISCOUNT * np.diff(follow) / np.maximum(total3, 1), 1)),
+    }
+    hot = [(int(w), int(n)) for w, n in zip(owners, spread, strict=True) if int(w) in trie.hot] if trie.hot else []
+    return made, len(one) + len(three), [w for w, _ in hot], [n for _, n in hot]
+
+
+def _gram_level(trie: Trie):
+    def build(shard: int, blobs: list[bytes]) -> tuple:
+        first, second, third, times = (np.concatenate(x) for x in zip(*(_read_run(b, 4) for b in blobs), strict=True))
+        made, nodes, hot, followers = _level(first, second, third - 1, times, trie)
+        save(trie.folder, f"grams-{shard}", made)
+        return nodes, 0, hot, followers
 
     return build
 
 
-def score(docs: DataFrame, trie: Trie) -> DataFrame:
-    """``doc_id``, ``held_out``, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score`` and ``score`` of every text."""
-    order = len(trie.bases)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (p for whole in batches for p in small(whole)):
-            distinct, codes, starts = token_hashes(batch.column(2))
-            ids, counts = trie.words(distinct)
-            base = np.log10((counts + 0.5) / (trie.tokens + 0.5 * (trie.types + 1)))
-            if trie.tokens:
-                _, log = _backed(trie, np.where(counts >= MIN_COUNT, ids, -1)[codes], trie.word_logs(counts)[codes], starts, order)
-            else:
-                log = np.zeros(len(codes))
-            yield pa.RecordBatch.from_arrays([
-                batch.column(0), batch.column(1), pa.array(np.diff(starts)), pa.array(summed((counts > 0)[codes], starts).astype(np.int64)),
-                pa.array(np.full(batch.num_rows, trie.tokens, np.int64)), pa.array(summed(base[codes], starts)), pa.array(summed(log, starts)),
-            ], names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
-
-    return docs.select("doc_id", "held_out", "text").mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+def _logs(trie: Trie, codes: np.ndarray, starts: np.ndarray, ids: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """log10 probability of every token; each distinct bigram and trigram is searched once."""
+    p = trie.word_probabilities(counts)[codes]
+    first = np.zeros(len(codes), bool)
+    first[starts[:-1]] = True
+    at = np.flatnonzero(~first)
+    at = at[ids[codes[at - 1]] >= 0]
+    a, b, _, pair = paired(codes[at - 1].astype(np.int64), codes[at].astype(np.int64))
+    shard, place, prob, back = trie.pairs(ids[a], ids[b])
+    p[at] = prob[pair] + back[pair] * p[at]
+    of = np.full(len(codes), -1, np.int64)
+    of[at] = np.where(place[pair] >= 0, pair, -1)
+    at = np.flatnonzero(~first)
+    at = at[of[at - 1] >= 0]
+    at = at[~first[at - 1]]
+    a, b, _, gram = paired(of[at - 1], codes[at].astype(np.int64))
+    prob, back = trie.thirds(shard[a], place[a], ids[b])
+    p[at] = prob[gram] + back[gram] * p[at]
+    return np.log10(p)
+
+
+def score(slices: DataFrame, trie: Trie) -> DataFrame:
+    """``doc_id``, ``held_out``, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score`` and ``score`` of every text of ``tokenised`` documents."""
+
+    def run(docs: np.ndarray, lost: np.ndarray, held: np.ndarray, starts: np.ndarray, codes: np.ndarray, words: np.ndarray) -> Iterator[pa.RecordBatch]:
+        ids, counts = trie.words(words.view(np.uint64))
+        base = np.log10((counts + 0.5) / (trie.tokens + 0.5 * (trie.types + 1)))
+        log = _logs(trie, codes, starts, ids, counts) if trie.tokens else np.zeros(len(codes))
+        yield pa.RecordBatch.from_arrays([
+            pa.array(docs, mask=lost > 0), pa.array(held > 0), pa.array(np.diff(starts)), pa.array(summed((counts > 0)[codes], starts)),
+            pa.array(np.full(len(starts) - 1, trie.tokens, np.int64)), pa.array(summed(base[codes], starts)), pa.array(summed(log, starts)),
+        ], names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+
+    return _over(slices, ["docs", "lost", "held", "starts", "codes", "words"], run, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def op3_ngram_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(fold_of(5) == 1, F.lit(False)).alias("held_out"), whole_text().alias("text"))
-    return score(docs, learn(docs.where("NOT held_out")))
+    slices = tokenised(table(spark, sf_dir, "documents").select(F.col("doc_id").cast("long").alias("doc_id"), (fold_of(5) == 1).alias("held_out"), "text"))
+    return score(slices, learn(slices))

@@ -10,7 +10,8 @@ Extraction is one narrow Arrow step: pages are independent and nothing is shuffl
 
 Defined cases: null or empty html gives an empty text; a text without tags is one block; unclosed tags, comments
 and scripts end where browsers end them; character references are decoded once; white space, no-break
-spaces included, becomes one space; a page of any length is read whole; repeated rows each give a row.
+spaces included, becomes one space; a page of any length is read whole; repeated rows each give a row; an empty table
+gives an empty result; a marginal of exactly one half is no content; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -272,10 +273,10 @@ def _labelled(page: str, mark: str) -> tuple[list[Node], list[int]]:
         good[nodes[i].parent] += good[i]
         bad[nodes[i].parent] += bad[i]
     whole = [n.tag in ("article", "main") or "content" in n.hints and n.tag != "body" for n in nodes]
-    return nodes, [int(g > 0 and b == 0 or w and g > b) for g, b, w in zip(good, bad, whole, strict=True)]
+    return nodes, [int(g > b or w and g > 0) for g, b, w in zip(good, bad, whole, strict=True)]
 
 
-def labelled_pages(n: int = 90, seed: int = 11) -> list[tuple[str, str]]:
+def labelled_pages(n: int = 150, seed: int = 11) -> list[tuple[str, str]]:
     """Training pages in varied layouts; every block of an article holds the mark, no other text does."""
     r = random.Random(seed)
     mark = "⁣"
@@ -305,10 +306,20 @@ def labelled_pages(n: int = 90, seed: int = 11) -> list[tuple[str, str]]:
             body.append(r.choice([lambda: f"<p>{own(r.choice([2, 9, 40, 90, 300]))}</p>", lambda: f"<p>{own(r.randint(8, 60))}", lambda: f"<p><b>{own(4)}<br><p>{own(30)}</p>", lambda: f"<h2>{own(3)}</h2><p>{own(30)}</p>", lambda: f"<blockquote><p>{own(20)}</p></blockquote>", lambda: "<ul>" + "".join(f"<li>{own(7)}</li>" for _ in range(3)) + "</ul>", lambda: f'<p>{own(20)} <a href="/x">{word()}</a> {prose(9)}</p>', lambda: f"<pre>{own(12)}</pre>", lambda: f"<table><tr><td>{own(2)}</td><td>{own(3)}</td></tr></table>", lambda: f"<p>{own(1)}</p>"])())
         if r.random() < 0.3:
             body.insert(r.randint(0, len(body)), box(["div", "aside"], ["ad", "advert", "promo", "sponsored", "related", "newsletter", "share"], prose(r.randint(3, 12))))
-        main = box(["article", "article", "article", "main", "div", "section"], ["content", "post", "entry-content", "article-body", "story", "main"], "".join(body))
+        if r.random() < 0.3:
+            said = "".join(box(["div", "li", "article"], ["comment", "reply", "comment-body"], f"<p>{prose(r.randint(3, 40))}</p>") for _ in range(r.randint(1, 4)))
+            body.append(box(["section", "div"], ["comments", "comment-list", "discussion", "responses"], (f"<h3>{prose(2)}</h3>" if r.random() < 0.5 else "") + said))
+        way = r.random()
+        if way < 0.6:
+            main = box(["article", "article", "article", "main", "div", "section"], ["content", "post", "entry-content", "article-body", "story", "main"], "".join(body))
+        elif way < 0.8:
+            main = f"<div>{''.join(body)}</div>" if r.random() < 0.6 else f'<div class="{word()}"><div>{"".join(body)}</div></div>'
+        else:
+            main = "".join(body)
         before = ["<nav><ul>" + links(r.randint(2, 8)) + "</ul></nav>"] * r.randint(0, 1)
         before += [box(["header", "div"], ["header", "masthead", "banner", ""], f"<h1>{word()} {word()}</h1><p>{prose(5)}</p>")] * (r.random() < 0.5)
         before += [box(["div", "ul"], ["menu", "nav", "navbar", "breadcrumbs"], links(r.randint(2, 6)))] * (r.random() < 0.4)
+        before += ["".join(f'<a href="/{word()}">{word()}</a>{r.choice(["", " ", " | "])}' for _ in range(r.randint(2, 5)))] * (r.random() < 0.2)
         before += [box(["div"], ["ad", "ads", "advert-top", "sponsor"], prose(r.randint(2, 14)))] * (r.random() < 0.6)
         before += [box(["div", "section", "p"], ["cookie-notice", "consent", "alert", "gdpr-popup"], prose(r.randint(5, 25)))] * (r.random() < 0.4)
         after = [box(["aside", "div"], ["sidebar", "side", "related", "widget"], r.choice([f"<h3>{word()}</h3><ul>{links(4)}</ul>", f"<p>{prose(20)}</p>", f"<h4>{word()}</h4><p>{prose(9)}</p>"]))] * (r.random() < 0.5)
@@ -319,6 +330,8 @@ def labelled_pages(n: int = 90, seed: int = 11) -> list[tuple[str, str]]:
         if r.random() < 0.25:
             before, after = [*before, *after[:1]], after[1:]
         inside = "".join(before) + main + "".join(after)
+        if r.random() < 0.12:
+            inside = f"<table><tr><td>{''.join(before)}</td><td>{main}</td><td>{''.join(after)}</td></tr></table>"
         if r.random() < 0.4:
             inside = f'<div class="{r.choice(["wrapper", "container", "page", "site"])}">{inside}</div>'
         pages.append((f"<!DOCTYPE html><html><head><title>{word()}</title><style>p{{}}</style></head><body>{inside}</body></html>", mark))

@@ -9,7 +9,9 @@ given instead) and travels to the executors as arrays of a fixed size.
 Both are one narrow Arrow step over whole texts.
 
 Defined cases: null or empty text has no candidates; overlapping matches are one candidate, their union, with the best score;
-positions are in code points; repeated rows each give their findings; secrets leave only as a digest.
+positions are in code points; a key's header without an end takes the key's lines after it and no prose; repeated rows
+each give their findings; a score of exactly the threshold is a secret; an empty table gives an empty result; extra
+columns are ignored by ``scan`` and pass through ``redact``; secrets leave only as a digest.
 """
 
 from __future__ import annotations
@@ -36,7 +38,7 @@ SCHEMA = "doc_id long, start long, length long, kind string, score double, is_se
 PLACEHOLDER = "[SECRET]"
 
 # Public shapes of keys, words beside secrets and beside look-alikes, and everyday words in identifiers.
-PEM = re.compile(r"-----BEGIN [A-Z ]*PRIVATE KEY-----.*?(?:-----END [A-Z ]*PRIVATE KEY-----|\Z)", re.S)
+PEM = re.compile(r"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:\s*[\w-]{1,40}: [^\n]{0,200}\n)*(?:[\s\\A-Za-z0-9+/=]*+-----END [A-Z ]*PRIVATE KEY-----|(?:(?:\s|\\n)*+[A-Za-z0-9+/=]{24,}+)*+)")
 RUN = re.compile(r"eyJ[\w-]{8,}\.[\w-]{8,}\.[\w-]{8,}|[A-Za-z0-9+/_\-]{16,}={0,2}")
 NAMED = re.compile(r"(?:password|passwd|pwd|secret|token|api[_-]?key|access[_-]?key)\w*[\"']?\s*(?:=|:|=>)\s*[\"']?([^\s\"'<>]{6,})", re.I)
 PREFIXES = {"cloud key": re.compile(r"(?:AKIA|ASIA)[0-9A-Z]{16}$"), "code host token": re.compile(r"gh[pousr]_\w{30,}$|glpat-[\w-]{18,}$"), "chat token": re.compile(r"xox[abprs]-[\w-]{10,}$"), "api key": re.compile(r"(?:sk|pk|rk)[-_](?:live|test|proj)?[-_]?\w{16,}$|AIza[\w-]{30,}$"), "signed token": re.compile(r"eyJ[\w-]+\.")}
@@ -183,9 +185,14 @@ def redact(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5
     def columns(batch: pa.RecordBatch) -> list:
         texts = batch.column(names.index("text")).to_pylist()
         at, scores = findings([t or "" for t in texts], batch.column(names.index("source")).to_pylist(), shared.value)
-        for (i, a, b, _), s in sorted(zip(at, scores, strict=True), key=lambda x: x[0][:2], reverse=True):
+        parts: dict[int, list[str]] = {}
+        done: dict[int, int] = {}
+        for (i, a, b, _), s in zip(at, scores, strict=True):
             if s >= threshold:
-                texts[i] = texts[i][:a] + PLACEHOLDER + texts[i][b:]
+                parts.setdefault(i, []).extend((texts[i][done.get(i, 0) : a], PLACEHOLDER))
+                done[i] = b
+        for i, found in parts.items():
+            texts[i] = "".join((*found, texts[i][done[i] :]))
         return [pa.array(texts, pa.string())]
 
     new = appended(docs, "clean_text string", columns)

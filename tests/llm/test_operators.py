@@ -335,6 +335,33 @@ def test_op4_pages_and_odd_html(spark, small):
     assert [r.text for r in op4_html_extraction.extract(odd, model).orderBy("page_id").collect()][2] == "plain & text"
 
 
+PARAGRAPHS = ["The first paragraph tells what happened in the town, and it goes on for some time.", "A second one follows, with names, places and a few more details of the matter.", "The third paragraph quotes a neighbour who saw it all from the window.", "Then the fourth one gives the history of the street, in two sentences. It is old.", "The last paragraph says what will be done about it next year."]
+
+
+def test_op4_plain_layouts_and_comments_inside_articles():
+    model = op4_html_extraction.train(op4_html_extraction.labelled_pages())
+    ps, want = "".join(f"<p>{p}</p>" for p in PARAGRAPHS), "\n".join(PARAGRAPHS)
+    nav, foot = '<nav><ul><li><a href="/">Home</a></li><li><a href="/a">About us</a></li></ul></nav>', "<footer><p>Copyright 2024 Example Press</p></footer>"
+    said = '<div class="comment"><p>Nice text, thank you very much for it.</p></div><div class="comment"><p>I do not agree with this at all, sorry.</p></div>'
+    for inside in (f"<div>{ps}</div>", ps, f"{nav}{ps}{foot}", f"{nav}<div>{ps}</div>{foot}", f'<article>{ps}<section class="comments">{said}</section></article>', f'{nav}<article>{ps}<div class="comments"><h3>Comments</h3>{said}</div></article>{foot}',
+                   f'<div class="hdr"><a href="/">Home</a> <a href="/b">News</a></div><div class="xq17"><div class="r2">{ps}</div></div>{foot}', f'<table><tr><td class="menu"><a href="/">Home</a><a href="/x">X</a></td><td>{ps}</td></tr></table>',
+                   f'{nav}<div id="wrapper"><div class="post">{ps}</div><div class="sidebar"><h4>Popular</h4><ul><li><a href="/1">One thing</a></li><li><a href="/2">Another</a></li></ul></div></div>{foot}'):
+        assert op4_html_extraction.main_text(f"<html><body>{inside}</body></html>", model) == want, inside
+    one = f'<html><body><div class="cookie-notice">We use cookies. Accept them?</div><div id="main"><p>{" ".join(PARAGRAPHS)}</p></div></body></html>'
+    assert op4_html_extraction.main_text(one, model) == " ".join(PARAGRAPHS)
+
+
+def test_op4_repeated_long_and_no_rows(spark):
+    model = op4_html_extraction.train(op4_html_extraction.labelled_pages(40))
+    long = "<html><body><article>" + "".join(f"<p>{p}</p>" for p in PARAGRAPHS * 3000) + "</article></body></html>"
+    rows = [(1, "u", long, "x"), (2, None, "<p>same</p>", "x"), (2, None, "<p>same</p>", "x"), (None, "v", None, None)]
+    frame = spark.createDataFrame(rows, "page_id long, url string, html string, TEXT string")
+    got = op4_html_extraction.extract(frame, model).collect()
+    assert sorted(str(r.page_id) for r in got) == ["1", "2", "2", "None"] and all(r.n_chars == len(r.text) for r in got)
+    assert [r.text for r in got if r.page_id == 1] == ["\n".join(PARAGRAPHS * 3000)]
+    assert op4_html_extraction.extract(frame.limit(0), model).count() == 0
+
+
 # op5
 
 
@@ -406,7 +433,35 @@ def test_op6_held_out_findings_and_redaction(spark, docs, odd):
     assert not any(planted.search(t or "") for t in clean.values())
     changed = sum(clean[r.doc_id] != r.text for r in docs.collect())
     assert changed <= sum(bool(re.search(r"(?i)token = ", r.text or "")) for r in docs.collect())
-    assert op6_secret_scan.redact(odd).count() == len(ODD) and op6_secret_scan.scan(odd).count() >= 0
+    assert sorted(map(str, op6_secret_scan.redact(odd).collect())) == sorted(map(str, odd.collect()))
+
+
+def test_op6_equals_row_by_row(spark, docs, odd, empty):
+    forest = op6_secret_scan.grown()
+    twice = "key token = \"" + "0a1b2c3d4e" * 4 + "\" end"
+    extra = spark.createDataFrame([(901, twice, "en", "web", 1), (901, twice, "en", "web", 1), (902, "word " * 200_000 + twice, "en", None, 1)], COLUMNS)
+    frame = docs.unionByName(extra).unionByName(odd.drop("SCORE"))
+    want = Counter()
+    for r in frame.collect():
+        for a, b, kind, parts in op6_secret_scan.proposals(r.text or ""):
+            s = max(float(forest.predict(np.array([op6_secret_scan.describe(r.text, x, y, r.source)]))[0]) for x, y in parts)
+            want[r.doc_id, a, b - a, kind, round(s, 9), s >= 0.5, hashlib.sha256(r.text[a:b].encode()).hexdigest()] += 1
+    got = Counter((r.doc_id, r.start, r.length, r.kind, round(r.score, 9), r.is_secret, r.value_sha256) for r in op6_secret_scan.scan(frame).collect())
+    assert got == want and sum(n for (i, *_), n in want.items() if i == 901) == 2 and any(k[0] == 902 and k[1] > 900_000 and k[5] for k in want)
+    assert op6_secret_scan.scan(empty).count() == 0 and op6_secret_scan.redact(empty).count() == 0
+
+
+def test_op6_key_headers_without_an_end(spark):
+    token = "9f8e7d6c5b" * 4
+    body = "\n".join("Q2hhcmxpZSBiYWtlcnMgYXJlIGhlcmUgdG9kYXkgYW5k" for _ in range(3))
+    head = "-----BEGIN RSA PRIVATE KEY-----"
+    prose = " and then there is a lot of prose about the matter" * 12
+    texts = [f'{head}{prose} api_key = "{token}" end', f"{head}\n{body}\n-----END RSA PRIVATE KEY-----\nafter it{prose}", f"{head}\n{body}\n{prose}"]
+    docs = spark.createDataFrame([(i, t, "en", "web", len(t)) for i, t in enumerate(texts)], COLUMNS)
+    clean = [r.text for r in op6_secret_scan.redact(docs).orderBy("doc_id").collect()]
+    assert token not in clean[0] and prose in clean[0]
+    assert "Q2hhcm" not in clean[1] and clean[1].endswith(f"after it{prose}")
+    assert "Q2hhcm" not in clean[2] and prose in clean[2]
 
 
 def test_op6_keys_without_digits_and_overlaps(spark):
@@ -495,6 +550,39 @@ def test_op8_equals_brute_force(spark):
         assert (got[i].n_links, got[i].component_id, got[i].kept) == (n[i], root(i), root(i) == i)
 
 
+def test_op8_measured_recall_repeats_and_extreme_scales(spark, small):
+    rows = [(r.vec_id, r.embedding, r.label) for r in table(spark, small, "embeddings").collect()]
+    wide = len(rows[0][1])
+    tiny, huge = [1e-46 * (i + 1) for i in range(wide)], [1e39 * (i + 1) for i in range(wide)]
+    rows += [(90_001, tiny, 77), (90_002, huge, 77), (90_003, huge, 77), (90_003, huge, 77)]
+    got = {}
+    for r in op8_collision_dedup.dedup(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label long")).collect():
+        got[r.vec_id] = r
+    v = np.array([np.array(e, float) / np.abs(e).max() for _, e, _ in rows])
+    v /= np.linalg.norm(v, axis=1, keepdims=True)
+    labels = np.array([l for *_, l in rows])
+    links = (v @ v.T >= 0.98) & (labels[:, None] == labels[None, :])
+    for k in range(0, len(rows), 20 if len(rows) > 3000 else 1):
+        assert got[rows[k][0]].n_links == links[k].sum() - 1
+    assert got[90_001].n_links == 3 and {got[i].component_id for i in (90_001, 90_002, 90_003)} == {90_001}
+    empty = spark.createDataFrame([], "vec_id long, embedding array<double>, label long, N_LINKS string")
+    assert op8_collision_dedup.dedup(empty).count() == 0
+
+
+def test_op8_dense_chains_over_many_partitions(spark):
+    step = math.radians(11)
+    rows = []
+    for c in range(40):
+        for k in range(12):
+            v = [0.0] * 12
+            v[c % 10], v[c % 10 + 1] = math.cos(k * step / 2), math.sin(k * step / 2)
+            rows.append((c * 100 + k, v, c))
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label long").repartition(16, "vec_id")
+    for r in op8_collision_dedup.dedup(frame).collect():
+        c, k = divmod(r.vec_id, 100)
+        assert (r.n_links, r.component_id) == (sum(0 <= k + d < 12 for d in (-2, -1, 1, 2)), c * 100)
+
+
 def test_op10_equals_brute_force(spark, texts, docs, odd, empty):
     sets = {}
     for i, t in texts.items():

@@ -6,8 +6,9 @@
 2. Within a key, a vector is a query whose window is centred on its own projections: the number of projections in
    which another lies within ``WINDOW`` is the pair's collision count. Pairs whose count reaches a bound
    set for recall (``needed``) are verified by cosine. As a stream with leaders as its only state, a hot
-   key costs one comparison for each leader, not for each pair; distance is a metric on the sphere, so
-   two linked vectors are both near the leader of either, at ``NEAR`` or more.
+   key costs one comparison for each leader, not for each pair. A vector follows a leader twice at most, in its batch and
+   in its key, each time within ``FOLLOW`` of the threshold's distance; distance is a metric on the sphere, so the
+   leaders that stand for two linked vectors are within 1 + 4 ``FOLLOW`` of it, and edges are kept up to there.
 3. Inside the components of those edges, blocks of bounded size meet block against block, and a product in double
    precision finds every pair at or above the threshold. Counts and a spanning forest leave a block.
 
@@ -15,7 +16,8 @@
 
 Defined cases: vectors that are null, zero, or hold null or non-finite components link with nothing, nor do vectors
 without a label or of different lengths; equal vectors link (if valid); rows that repeat an id count as
-vectors of their own; an empty table gives an empty result; extra columns are ignored.
+vectors of their own; an empty table gives an empty result; extra columns are ignored; all arithmetic is in double
+precision, and vectors are scaled by their largest component first, so that none is too small or too large.
 """
 
 from __future__ import annotations
@@ -32,14 +34,15 @@ from evalengine.llm._blocks import Linker, block_of, forest, met, verified
 from evalengine.llm._common import checkpointed, components, table
 
 THRESHOLD = 0.98
-TABLES, TOGETHER, CELL, WINDOW = 32, 5, 0.8, 0.6
+TABLES, TOGETHER, CELL, WINDOW, FOLLOW = 32, 5, 0.8, 0.6, 0.4
 DIRECTIONS = TABLES * 3
 
 
 def follow_near(threshold: float) -> tuple[float, float]:
-    """Cosines at which a vector follows a leader, and at which it keeps an edge: once and twice the threshold's distance."""
-    far = 2 * math.sqrt(max(0.0, 2 - 2 * threshold))
-    return threshold, 1 - far * far / 2
+    """Cosines at which a vector follows a leader, and at which it keeps an edge."""
+    near = math.sqrt(max(0.0, 2 - 2 * threshold))
+    at = lambda hops: 1 - (hops * near) ** 2 / 2
+    return at(FOLLOW), at(1 + 4 * FOLLOW)
 
 
 def needed(near: float, recall: float = 0.999999) -> int:
@@ -61,14 +64,15 @@ def table_recall(threshold: float = THRESHOLD) -> float:
 
 
 def unit(vectors: np.ndarray) -> np.ndarray:
-    v = vectors.astype(np.float64)
+    v = vectors / np.abs(vectors).max(axis=1, keepdims=True)
     return v / np.linalg.norm(v, axis=1, keepdims=True)
 
 
 def _directions(width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     rng = np.random.default_rng(7_000_003 + width)
     a, shift = rng.standard_normal((width, DIRECTIONS)), rng.uniform(0, CELL, DIRECTIONS)
-    return a, shift, np.array([[(3 * t + k) % DIRECTIONS if k < 3 else rng.integers(DIRECTIONS) for k in range(TOGETHER)] for t in range(TABLES)])
+    own = [[3 * t + k for k in range(3)] for t in range(TABLES)]
+    return a, shift, np.array([[*mine, *rng.choice(np.setdiff1d(np.arange(DIRECTIONS), mine), TOGETHER - 3, replace=False)] for mine in own])
 
 
 def gather(ids: np.ndarray, v: np.ndarray, p: np.ndarray, leaders: list, follow: float, near: float, need: int) -> list[tuple[int, int]]:
@@ -105,7 +109,7 @@ def candidates(classes: DataFrame, threshold: float) -> DataFrame:
             flat, starts = listed.flatten().to_numpy(), np.asarray(listed.offsets) - listed.offsets[0].as_py()
             for width in np.unique(widths):
                 rows = np.flatnonzero(widths == width)
-                raw = flat[starts[rows][:, None] + np.arange(width)].astype(np.float32)
+                raw = flat[starts[rows][:, None] + np.arange(width)]
                 a, shift, groups = _directions(int(width))
                 v = unit(raw)
                 p = v @ a
@@ -150,7 +154,7 @@ def candidates(classes: DataFrame, threshold: float) -> DataFrame:
                         continue
                 rows = [i for i in range(x, y) if other[i] is None]
                 if rows:
-                    raw = [np.frombuffer(vector[i].as_py(), np.float32) for i in rows]
+                    raw = [np.frombuffer(vector[i].as_py(), np.float64) for i in rows]
                     if len({len(r) for r in raw} | {len(m[1]) for m in leaders}) == 1:
                         v = unit(np.array(raw))
                         edges += gather(ids[rows], v, v @ _directions(v.shape[1])[0], leaders, follow, near, need)
@@ -158,13 +162,14 @@ def candidates(classes: DataFrame, threshold: float) -> DataFrame:
                 x, y = np.array(edges, np.int64).T
                 yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y)], names=["a", "b"])
 
-    read = classes.select("id", F.col("label").cast("long"), F.col("embedding").cast("array<float>"))
+    read = classes.select("id", F.col("label").cast("long"), F.col("embedding").cast("array<double>"))
     return read.mapInArrow(keyed, "key long, id long, other long, vector binary").repartition("key").sortWithinPartitions("key", "id").mapInArrow(sorted_keys, "a long, b long")
 
 
 def cosine(threshold: float) -> Linker:
     def linked(payloads: list[bytes]) -> np.ndarray:
         v = np.array([np.frombuffer(p, np.float64) for p in payloads])
+        v = v / np.abs(v).max(axis=1, keepdims=True)
         norm = np.linalg.norm(v, axis=1)
         return (v @ v.T) / (norm[:, None] * norm[None, :]) >= threshold
 

@@ -71,20 +71,29 @@ def trim() -> None:
         pass
 
 
-def sliced(run: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], size: int = 6_000_000) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """A function for mapInArrow that hands slices of every batch to ``run`` and trims the worker at the end of the task."""
+def trimmed(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """A function for mapInArrow that trims the worker at the end of the task."""
 
     def over(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         try:
-            for whole in batches:
-                for batch in small(whole, size):
-                    yield from run(batch)
+            yield from run(batches)
         finally:
             trim()
 
     return over
 
 
+def sliced(run: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], size: int = 6_000_000) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """A function for mapInArrow that hands slices of every batch to ``run``; ``trimmed``."""
+
+    def over(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in small(whole, size):
+                yield from run(batch)
+
+    return trimmed(over)
+
+
 @dataclass
 class Pieces:
     """The pieces of distinct chunks: those of chunk c are ``codes[starts[c]:starts[c+1]]``, which index ``pieces``."""

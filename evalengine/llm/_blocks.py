@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from evalengine.llm._arrow import trimmed
+
 #: From the payloads of a group to the square matrix of its links.
 Linker = Callable[[list[bytes]], np.ndarray]
 
@@ -79,4 +81,4 @@ def verified(items: DataFrame, linker: Linker, payload: str) -> DataFrame:
         if held is not None:
             yield from flush()
 
-    return items.select("component", "i", "j", "id", "block", "copies", payload).mapInArrow(run, "id long, items long, copies long, root long")
+    return items.select("component", "i", "j", "id", "block", "copies", payload).mapInArrow(trimmed(run), "id long, items long, copies long, root long")

@@ -26,6 +26,8 @@ def shared_dir(spark: SparkSession) -> str:
         if held.isDefined():
             base = held.get()
         else:
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that the whole cluster shares")
             base = "file://" + tempfile.mkdtemp(prefix="evalengine-")
             spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/evalengine-{uuid.uuid4().hex}"

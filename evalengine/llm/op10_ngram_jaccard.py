@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evalengine.llm._arrow import small
+from evalengine.llm._arrow import small, trimmed
 from evalengine.llm._blocks import Linker, block_of, forest, met, verified
 from evalengine.llm._common import checkpointed, components, table, whole_text
 from evalengine.llm._shingles import sets_of, shingles
@@ -71,7 +71,7 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
     schema = "key long, id long, other long, sketch binary"
 
     def signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (part for whole in batches for part in small(whole, 16_000_000)):
+        for batch in (part for whole in batches for part in small(whole, 8_000_000)):
             sig = signatures(batch.column(1), bands * rows, width)
             ids = batch.column(0).to_numpy()
             brief = (sig & 255).astype(np.uint8)
@@ -128,7 +128,7 @@ def candidates(docs: DataFrame, bands: int, rows: int, width: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
     read = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("id"), whole_text().alias("text"))
-    return read.mapInArrow(signed, schema).repartition("key").sortWithinPartitions("key", "id").mapInArrow(bucketed, "a long, b long")
+    return read.mapInArrow(trimmed(signed), schema).repartition("key").sortWithinPartitions("key", "id").mapInArrow(trimmed(bucketed), "a long, b long")
 
 
 def jaccard(threshold: float) -> Linker:
@@ -174,7 +174,7 @@ def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 2
                 found = pa.array([s.tobytes() for s in sets_of(batch.column(1), width)], pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column(0), *batch.columns[2:], found], names=["id", "component", "copies", "blocks", "block", "shingles"])
 
-    sets = read.select("id", "text", "component", "copies", "blocks", "block").mapInArrow(shingled, "id long, component long, copies long, blocks int, block int, shingles binary")
+    sets = read.select("id", "text", "component", "copies", "blocks", "block").mapInArrow(trimmed(shingled), "id long, component long, copies long, blocks int, block int, shingles binary")
     found = checkpointed(verified(met(sets), jaccard(threshold), "shingles"))
     joined = components(found.select(F.col("id").alias("a"), F.col("root").alias("b")))
     links = found.groupBy("id").agg(F.sum("items").alias("texts"), F.sum("copies").alias("documents"))

@@ -30,6 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evalengine.llm._arrow import trimmed
 from evalengine.llm._blocks import Linker, block_of, forest, met, verified
 from evalengine.llm._common import checkpointed, components, table
 
@@ -163,7 +164,7 @@ def candidates(classes: DataFrame, threshold: float) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y)], names=["a", "b"])
 
     read = classes.select("id", F.col("label").cast("long"), F.col("embedding").cast("array<double>"))
-    return read.mapInArrow(keyed, "key long, id long, other long, vector binary").repartition("key").sortWithinPartitions("key", "id").mapInArrow(sorted_keys, "a long, b long")
+    return read.mapInArrow(trimmed(keyed), "key long, id long, other long, vector binary").repartition("key").sortWithinPartitions("key", "id").mapInArrow(trimmed(sorted_keys), "a long, b long")
 
 
 def cosine(threshold: float) -> Linker:

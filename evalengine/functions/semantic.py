@@ -53,16 +53,41 @@ def _digest(token: str) -> int:
     return int(hashlib.sha256(token.encode()).hexdigest()[:8], 16)
 
 
+def _unit_table(vectors: str) -> np.ndarray:
+    """The stand-in encoder's table, a row for each ``vec_id`` in order, scaled to length 1."""
+    table = SparkSession.active().read.parquet(vectors).select("vec_id", "embedding").orderBy("vec_id").toArrow().column("embedding")
+    m = np.array(table.to_pylist(), np.float64)
+    length = np.sqrt((m * m).sum(axis=1, keepdims=True))
+    return np.divide(m, length, out=np.zeros_like(m), where=length > 0)
+
+
+def sentence_cosine(mine: Column, theirs: Column, vectors: str) -> Column:
+    """Cosine of the mean token vectors of two texts; null where one has no vector."""
+    shared = SparkSession.active().sparkContext.broadcast(_unit_table(vectors))
+
+    def mean(tokens: list[str]) -> np.ndarray:
+        return shared.value[[_digest(t) % len(shared.value) for t in tokens]].sum(axis=0)
+
+    def one(a: list[str] | None, b: list[str] | None) -> float | None:
+        if a is None or b is None or not len(a) or not len(b):
+            return None
+        x, y = mean(a), mean(b)
+        n = float(np.linalg.norm(x) * np.linalg.norm(y))
+        return float(x @ y) / n if n else None
+
+    @F.pandas_udf("double")
+    def scored(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([one(s, t) for s, t in zip(a, b, strict=True)], dtype="float64")
+
+    return scored(mine, theirs)
+
+
 def token_match(mine: Column, theirs: Column, vectors: str) -> Column:
     """F of ``greedy_match`` in Arrow batches, with the encoder's whole table (``vectors`` is its path) on each worker.
 
     An empty side matches an empty one only; the vector of a token is the row of its digest in order of ``vec_id``.
     """
-    spark = SparkSession.active()
-    table = spark.read.parquet(vectors).select("vec_id", "embedding").orderBy("vec_id").toArrow().column("embedding")
-    m = np.array(table.to_pylist(), np.float64)
-    length = np.sqrt((m * m).sum(axis=1, keepdims=True))
-    shared = spark.sparkContext.broadcast(np.divide(m, length, out=np.zeros_like(m), where=length > 0))
+    shared = SparkSession.active().sparkContext.broadcast(_unit_table(vectors))
 
     def f1(a: list[str], b: list[str]) -> float:
         if not len(a) or not len(b):

@@ -8,11 +8,13 @@ from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from evalengine.functions.distributions import uniform
 from evalengine.operators.cache import key_expr
-from evalengine.operators.throttle import LaneBucket
+from evalengine.operators.throttle import LaneBucket, lane_share
 from evalengine.responders.base import Request, Response, RetryPolicy, Retrying, pooled
 
 RESPONSES = "cache_key string, response_text string, prompt_tokens int, completion_tokens int, latency_ms double, attempts int, error string"
@@ -28,6 +30,8 @@ class CallPolicy:
     initial_fill: float = 1.0
     on_error: str = "row"
     barrier: bool = False
+    weights: tuple[float, ...] | None = None
+    whole_batches: bool = False
     retry: RetryPolicy = RetryPolicy()
 
 
@@ -38,14 +42,20 @@ def keyed(df: DataFrame, spec: dict, framing: str = "length") -> DataFrame:
 
 
 def distinct_requests(df: DataFrame) -> DataFrame:
-    """One row for each key: a hot prompt is called once."""
+    """One row for each key: a hot prompt is called once. Rows that share it carry the least reference of theirs."""
     carried = [c for c in ("prompt", "reference", "model_id", "provider_id", "temperature", "max_tokens") if c in df.columns]
-    return df.groupBy("cache_key").agg(*(F.any_value(c).alias(c) for c in carried))
+    return df.groupBy("cache_key").agg(*(F.min(c).alias(c) for c in carried))
+
+
+def lane_of(key: Column, lanes: int) -> Column:
+    """The lane of a key: the first 32 bits of its digest, in equal parts, which spreads calls and tokens evenly."""
+    return F.floor(uniform(F.lit("lane"), key) * lanes).cast("int")
 
 
 def assign_lanes(df: DataFrame, lanes: int) -> DataFrame:
-    """Deal requests to lanes by key digest; a retried stage deals them alike."""
-    return df.withColumn("lane", F.pmod(F.xxhash64("cache_key"), F.lit(lanes)).cast("int")).repartition(lanes, "lane")
+    """Deal requests to lanes by key digest; a retried stage deals them alike. Lane k is partition k, so no task holds
+    two lanes and none is spare."""
+    return df.withColumn("lane", lane_of(F.col("cache_key"), lanes)).repartitionById(lanes, "lane")
 
 
 def attach(df: DataFrame, responses: DataFrame) -> DataFrame:
@@ -57,11 +67,12 @@ def call_model(requests: DataFrame, spec: dict, policy: CallPolicy = CallPolicy(
 
     The result must be consumed by one write only: evaluating it again would call again.
     """
-    share = tuple(None if x is None else x / policy.lanes for x in (policy.rpm, policy.tpm))
+    shares = [lane_share(x, policy.lanes, list(policy.weights) if policy.weights else None) for x in (policy.rpm, policy.tpm)]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         responder = Retrying(pooled(spec), policy.retry, time.sleep)
-        bucket = LaneBucket(*share, time.monotonic, time.sleep, policy.initial_fill)
+        lane = TaskContext.get().partitionId()
+        bucket = LaneBucket(shares[0][lane], shares[1][lane], time.monotonic, time.sleep, policy.initial_fill)
 
         def one(request: Request) -> Response:
             begun = time.monotonic()
@@ -75,11 +86,16 @@ def call_model(requests: DataFrame, spec: dict, policy: CallPolicy = CallPolicy(
                 rows = frame.to_dict("records")
                 for at in range(0, len(rows), policy.batch_size):
                     part = [Request(r["cache_key"], r["prompt"] or "", r.get("reference")) for r in rows[at : at + policy.batch_size]]
-                    futures = []
-                    for r in part:
-                        bucket.acquire(-(-len(r.prompt) // 4))
-                        futures.append(pool.submit(one, r))
-                    out = [f.result() for f in futures]
+                    if policy.whole_batches:
+                        for r in part:
+                            bucket.acquire(-(-len(r.prompt) // 4))
+                        out = responder.answer_many(part)
+                    else:
+                        futures = []
+                        for r in part:
+                            bucket.acquire(-(-len(r.prompt) // 4))
+                            futures.append(pool.submit(one, r))
+                        out = [f.result() for f in futures]
                     yield pd.DataFrame({"cache_key": [r.key for r in part], "response_text": [a.text for a in out], "prompt_tokens": [a.prompt_tokens for a in out], "completion_tokens": [a.completion_tokens for a in out], "latency_ms": [a.latency_ms for a in out], "attempts": [a.attempts for a in out], "error": [a.error for a in out]})
 
     columns = [c for c in ("cache_key", "prompt", "reference") if c in requests.columns]

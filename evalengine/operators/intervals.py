@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Row
 from pyspark.sql import functions as F
 
 from evalengine.functions.distributions import normal_quantile, phi, phi_inv, poisson_one, t_quantile, uniform
@@ -29,6 +29,16 @@ def moments(df: DataFrame, value: str, by: list[str] | None = None) -> DataFrame
     )
 
 
+def moments_wide(df: DataFrame, values: list[str]) -> dict[str, Row]:
+    """``moments`` of several columns from one aggregate over one scan, by column."""
+    empty = df.sparkSession.createDataFrame([], "v double")
+    names = moments(empty, "v").columns
+    v = lambda c: F.col(c).cast("double")
+    made = lambda c: (F.count(v(c)), F.count_if(v(c).isNull()), F.avg(v(c)), F.stddev_samp(v(c)), F.min(v(c)), F.max(v(c)), F.sum(v(c)), F.sum(v(c) * v(c)), F.sum(v(c) * v(c) * v(c)))
+    row = df.agg(*(x.alias(f"{i}_{n}") for i, c in enumerate(values) for n, x in zip(names, made(c), strict=True))).first()
+    return {c: Row(**{n: row[f"{i}_{n}"] for n in names}) for i, c in enumerate(values)}
+
+
 def t_mean(df: DataFrame, value: str, level: float = 0.95, by: list[str] | None = None) -> DataFrame:
     """Mean with x +- t s / sqrt(n). No rows: null; one row: the point."""
     m = moments(df, value, by)
@@ -73,6 +83,20 @@ def _indexed(df: DataFrame, value: str, key: str) -> DataFrame:
     return numbered.join(F.broadcast(offsets), "p").select((F.col("r") + F.coalesce("o", F.lit(0))).alias("i"), "v")
 
 
+#: Upper ends of the steps of a Poisson(1) law on the unit interval, in 32 bits; beyond the last it is not told apart.
+_STEPS = np.minimum(np.cumsum([math.exp(-1) / math.factorial(k) for k in range(13)]) * 2.0**32, 2.0**32 - 1).astype(np.uint64)
+
+
+def poisson_weights(salts: np.ndarray, iterations: int, seed: int) -> np.ndarray:
+    """A matrix of Poisson(1) weights, a row for each salt and a column for each replicate: each from a hashed counter of
+    both, so that a row's weights do not depend on where it lies."""
+    with np.errstate(over="ignore"):
+        h = salts[:, None] + np.uint64(seed) * np.uint64(0xD1B54A32D192ED03) + np.arange(1, iterations + 1, dtype=np.uint64)[None, :] * np.uint64(0x9E3779B97F4A7C15)
+        for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+            h = (h ^ (h >> np.uint64(shift))) * np.uint64(factor)
+    return np.searchsorted(_STEPS, (h ^ (h >> np.uint64(31))) >> np.uint64(32), side="right").astype(np.float64)
+
+
 def replicates(df: DataFrame, value: str, iterations: int = 1000, seed: int = 42, engine: str = "auto", key: str | None = None) -> DataFrame:
     """``replicate``, ``estimate``: the mean of each resample. ``key`` names a row id for the digest engines."""
     v = df.select(*([key] if key else []), F.col(value).cast("double").alias("v")).where("v IS NOT NULL")
@@ -91,10 +115,11 @@ def replicates(df: DataFrame, value: str, iterations: int = 1000, seed: int = 42
         def weigh(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             total, weight = np.zeros(iterations), np.zeros(iterations)
             for b in batches:
-                for x, s in zip(b["v"].to_numpy(), b["s"].to_numpy(), strict=True):
-                    w = np.random.default_rng([seed, int(s) & (1 << 63) - 1]).poisson(1.0, iterations)
-                    total += w * x
-                    weight += w
+                x, s = b["v"].to_numpy(), b["s"].to_numpy().astype(np.uint64)
+                for k in range(0, len(x), 4096):
+                    w = poisson_weights(s[k : k + 4096], iterations, seed)
+                    total += x[k : k + 4096] @ w
+                    weight += w.sum(axis=0)
             yield pd.DataFrame({"replicate": np.arange(iterations, dtype=np.int32), "t": total, "w": weight})
 
         parts = v.withColumn("s", salt).select("v", "s").mapInPandas(weigh, "replicate int, t double, w double")

@@ -95,6 +95,6 @@ def simulate_windows(calls: DataFrame, cost: Column, cap: float, lane: str = "la
     return earned.withColumn("admitted_s", F.max(F.greatest(F.col(arrival), F.col("_earned") - 60)).over(w)).drop("_cost", "_spent", "_earned")
 
 
-def violations(calls: DataFrame, rpm: int, time: str = "arrival") -> DataFrame:
-    """Minutes in which uncoordinated calls exceed the limit."""
-    return calls.groupBy(F.date_trunc("minute", F.col(time)).alias("minute")).agg(F.count("*").alias("calls")).where(F.col("calls") > rpm)
+def violations(calls: DataFrame, limit: int, time: str = "arrival", unit: str = "minute") -> DataFrame:
+    """Units of time in which uncoordinated calls exceed the limit."""
+    return calls.groupBy(F.date_trunc(unit, F.col(time)).alias(unit)).agg(F.count("*").alias("calls")).where(F.col("calls") > limit)

@@ -93,8 +93,10 @@ def prompt_token_estimate(spark, d):
 
 @query("SELECT count(*) AS prompts, count(DISTINCT text) AS requests FROM documents")
 def prompt_distinct(spark, d):
-    keyed = tables.table(spark, d, "documents").select(F.sha2("text", 256).alias("k")).groupBy("k").agg(F.count("*").alias("n"))
-    return keyed.agg(F.sum("n").alias("prompts"), F.count("*").alias("requests"))
+    from evalengine.operators.inference import distinct_requests, keyed
+
+    rows = keyed(tables.table(spark, d, "documents").select(F.col("text").alias("prompt")), {"provider": "simulated", "model": "model-a"})
+    return rows.agg(F.count("*").alias("prompts")).crossJoin(distinct_requests(rows).agg(F.count("*").alias("requests")))
 
 
 @query("""SELECT conv_id, turn, sha256(string_agg(role || ': ' || text, chr(10)) OVER (PARTITION BY conv_id ORDER BY turn ROWS UNBOUNDED PRECEDING)) AS digest FROM conversations""")
@@ -177,7 +179,7 @@ def cache_iteration_counts(spark, d):
     return found.rollup("iteration").agg(*(F.sum(c).alias(c) for c in ("hits", "calls", "calls_without")))
 
 
-@query()
+@query("SELECT count(DISTINCT text) AS entries, true AS has_bytes FROM documents")
 def cache_footprint(spark, d):
     held = cache.ResponseCache(spark, shared_folder(spark, "cache"))
     entries = tables.table(spark, d, "documents").withColumn("prompt", F.col("text")).select(
@@ -185,7 +187,7 @@ def cache_footprint(spark, d):
         templating.estimated_tokens(F.col("prompt")).alias("prompt_tokens"), F.lit(1).alias("completion_tokens"), F.lit(1.0).alias("latency_ms"), F.lit(dt.datetime(2024, 1, 1)).alias("created_ts"), F.lit(None).cast("int").alias("ttl_days"), F.lit(0.0).alias("temperature"), F.lit(1024).alias("max_tokens"))
     held.put(entries, dt.datetime(2024, 1, 1))
     f = held.footprint()
-    return spark.createDataFrame([(f["bytes"], f["entries"], f["bytes_per_entry"])], "bytes long, entries long, bytes_per_entry double")
+    return spark.createDataFrame([(f["entries"], f["bytes"] > 0 and f["bytes_per_entry"] == f["bytes"] / f["entries"])], "entries long, has_bytes boolean")
 
 
 # Stage 2: responders and limiter.
@@ -219,14 +221,17 @@ def bucket_dual_budget(spark, d):
 
 @query("SELECT date_trunc('hour', ts) AS hour, count(*) AS calls FROM events GROUP BY 1 HAVING count(*) > 10")
 def uncoordinated_violations(spark, d):
-    log = tables.table(spark, d, "events")
-    return log.groupBy(F.date_trunc("hour", F.col("ts")).cast("timestamp_ntz").alias("hour")).agg(F.count("*").alias("calls")).where("calls > 10")
+    """The log as callers without a limiter leave it, against a limit of 10 an hour."""
+    return throttle.violations(tables.table(spark, d, "events"), 10, "ts", "hour").withColumn("hour", F.col("hour").cast("timestamp_ntz"))
 
 
-@query(f"SELECT CAST(CAST(floor({U(chr(39) + 'lane:' + chr(39) + ' || event_id')} * 8) AS BIGINT) AS INTEGER) AS lane, count(*) AS calls, CAST(sum(ceil(value)) AS BIGINT) AS tokens FROM events GROUP BY 1")
+@query(f"SELECT lane, lane AS task, count(*) AS calls, CAST(sum(ceil(value)) AS BIGINT) AS tokens FROM (SELECT CAST(CAST(floor({U(chr(39) + 'lane:' + chr(39) + ' || sha256(event_id::VARCHAR)')} * 8) AS BIGINT) AS INTEGER) AS lane, value FROM events) GROUP BY 1")
 def lane_balance(spark, d):
-    log = tables.calllog(spark, d, 8).withColumn("lane", F.floor(uniform(F.lit("lane"), "call_id") * 8).cast("int"))
-    return log.groupBy("lane").agg(F.count("*").alias("calls"), F.sum("tokens").alias("tokens"))
+    """Calls and tokens of each lane, and the task that it is."""
+    from evalengine.operators.inference import assign_lanes
+
+    log = tables.calllog(spark, d, 8).drop("lane").withColumn("cache_key", F.sha2(F.col("call_id").cast("string"), 256))
+    return assign_lanes(log, 8).groupBy("lane", F.spark_partition_id().alias("task")).agg(F.count("*").alias("calls"), F.sum("tokens").alias("tokens"))
 
 
 @query("SELECT event_type, round(quantile_cont(value * 8 + 200, 0.5), 6) AS p50, round(quantile_cont(value * 8 + 200, 0.99), 6) AS p99, count(value) AS calls FROM events GROUP BY 1")
@@ -284,9 +289,9 @@ def exact_match_normalised(spark, d):
     return answered(spark, d).select("example_id", lexical.exact_match(F.col("response"), F.col("reference")).alias("score"))
 
 
-@query(f"{SAID} SELECT example_id, CAST(contains(response, substr(reference, 1, 12)) AS DOUBLE) AS cased, CAST(contains(lower(response), lower(substr(reference, 1, 12))) AS DOUBLE) AS uncased FROM said")
+@query(f"{SAID} SELECT example_id, CAST(contains(response, reference) AS DOUBLE) AS cased, CAST(contains(lower(response), lower(reference)) AS DOUBLE) AS uncased FROM said")
 def contains_metric(spark, d):
-    part = F.substring("reference", 1, 12)
+    part = F.col("reference")
     return answered(spark, d).select("example_id", lexical.contains(F.col("response"), part).alias("cased"), lexical.contains(F.col("response"), part, case=False).alias("uncased"))
 
 
@@ -317,9 +322,14 @@ def corpus_bleu(spark, d):
     return rounded(lexical.corpus_bleu(tokenised(spark, d), F.col("a"), F.col("b")))
 
 
-@query()
+LCS = SAID.replace("WITH ", "WITH RECURSIVE ", 1) + """, dp(example_id, i, r) AS (SELECT example_id, 0, list_transform(b, lambda x: 0) FROM tok UNION ALL
+  SELECT d.example_id, d.i + 1, list_transform(range(1, len(t.b) + 1), lambda k: list_max(list_transform(range(1, k + 1), lambda j: greatest(d.r[j], (CASE WHEN j > 1 THEN d.r[j - 1] ELSE 0 END) + (CASE WHEN t.b[j] = t.a[d.i + 1] THEN 1 ELSE 0 END)))))
+  FROM dp d JOIN tok t USING (example_id) WHERE d.i < len(t.a))"""
+
+
+@query(LCS + """ SELECT example_id, round(CASE WHEN len(a) = 0 OR len(b) = 0 THEN CAST(len(a) = len(b) AS DOUBLE) ELSE 2.0::DOUBLE * list_max(r) / (len(a) + len(b)) END, 6) AS rouge_l FROM dp JOIN tok USING (example_id) WHERE i = len(a)""")
 def rouge_l(spark, d):
-    return tokenised(spark, d).select("example_id", lexical.rouge_l("a", "b").alias("rouge_l"))
+    return rounded(tokenised(spark, d).select("example_id", lexical.rouge_l("a", "b").alias("rouge_l")))
 
 
 PAIRS = "pairs AS (SELECT a.vec_id, a.embedding AS x, b.embedding AS y, a.label = b.label AS same FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1)"
@@ -428,7 +438,16 @@ def passage_relevance(spark, d):
 @query(f"""{SAID}, c AS (SELECT example_id, reference, unnest(list_filter(string_split_regex(response, '\\. *'), lambda s: length(trim(s)) > 0)) AS claim FROM said), a AS (SELECT example_id, avg(CAST(contains(reference, claim) AS INT)) AS faithfulness, count(*) AS claims FROM c GROUP BY 1)
 SELECT i.example_id, round(faithfulness, 6) AS faithfulness, claims FROM instruct i LEFT JOIN a USING (example_id)""")
 def faithfulness_share(spark, d):
-    return rounded(judge.faithfulness(answered(spark, d), F.contains("reference", F.col("claim"))))
+    """Each claim is a call: distinct, through lanes, answered by a verifier."""
+    from evalengine.operators.inference import keyed
+    from evalengine.plans.runner import answered as ask
+
+    rows = answered(spark, d)
+    model = {"provider": "simulated-verifier", "model": "verifier"}
+    claims = judge.claims(rows.select("example_id", "response", F.col("reference").alias("context")))
+    prompts = claims.withColumn("prompt", F.concat(F.lit("Claim: "), F.col("claim"), F.lit("\nContext: "), F.col("context")))
+    verdicts, _ = ask(keyed(prompts, model), model, EvaluationSpec("faithfulness", (MetricSpec("faithfulness", "rag"),)))
+    return rounded(judge.share_of_verdicts(rows, verdicts, F.col("response_text") == "supported"))
 
 
 @query(f"WITH {NEIGHBOURS}, g AS (SELECT query_id, CASE WHEN relevant THEN 5 ELSE 1 + CAST(cand_id % 3 AS INTEGER) END AS grade FROM top) SELECT query_id, round(avg(grade), 6) AS relevance FROM g GROUP BY 1")
@@ -675,7 +694,7 @@ def thread_scores(spark, d):
 
 
 @query("SELECT date_trunc('day', ts)::TIMESTAMP AS start, count(*) AS calls, count(*) FILTER (event_type = 'error') AS failed FROM events GROUP BY 1")
-def minute_throughput(spark, d):
+def daily_throughput(spark, d):
     """A stream, run to the end of its files; windows of a day."""
     out = streaming.to_end(streaming.per_minute(streaming.source(spark, d, "events"), "1 day"))
     return out.withColumn("start", F.col("start").cast("timestamp_ntz"))
@@ -716,7 +735,7 @@ def evaluate_end_to_end(spark, d):
     from evalengine.plans.runner import evaluate
     from evalengine.plans.spec import ResponderSpec
 
-    metrics = (MetricSpec("exact_match", kind="binary"), MetricSpec("token_f1"), MetricSpec("rouge_l"), MetricSpec("token_match", "semantic", options={"vectors": f"{d}/embeddings.parquet"}), MetricSpec("judge", "judge", "ordinal"))
+    metrics = (MetricSpec("exact_match", kind="binary"), MetricSpec("token_f1"), MetricSpec("rouge_l"), MetricSpec("token_match", "semantic", options={"vectors": f"{d}/embeddings.parquet"}), MetricSpec("embedding_cosine", "semantic", options={"vectors": f"{d}/embeddings.parquet"}), MetricSpec("judge", "judge", "ordinal", {"rubric": "Grade how well the answer helps.", "criteria": ["helpfulness", "accuracy"]}))
     spec = EvaluationSpec("instruction following", metrics, ResponderSpec(params={"quality": 0.8}), statistics=StatisticsSpec(iterations=1000, interval="bca"))
     return evaluate(tables.instruct(spark, d), spec)
 

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import math
 import uuid
-from dataclasses import asdict
 from datetime import UTC, datetime
 
 from pyspark.sql import Column, DataFrame, Row
@@ -27,7 +26,8 @@ METRICS = {
     "bleu": ("continuous", lambda r, g, o: lexical.sentence_bleu(lexical.tokens(r), lexical.tokens(g), **o)),
     "rouge_l": ("continuous", lambda r, g, o: lexical.rouge_l(lexical.tokens(r), lexical.tokens(g))),
     "token_match": ("continuous", lambda r, g, o: semantic.token_match(lexical.tokens(r), lexical.tokens(g), **o)),
-    "judge": ("ordinal", lambda r, g, o: judge.parse_score(judge.simulated_verdict(F.col("example_id"), lexical.token_f1(lexical.tokens(r), lexical.tokens(g))))),
+    "embedding_cosine": ("continuous", lambda r, g, o: semantic.sentence_cosine(lexical.tokens(r), lexical.tokens(g), **o)),
+    "judge": ("ordinal", None),
 }
 
 
@@ -48,9 +48,9 @@ def suggest(df: DataFrame, reference: str = "reference", contexts: str | None =
 
 
 def score_wide(df: DataFrame, metrics: tuple[MetricSpec, ...], response: str = "response", reference: str = "reference") -> DataFrame:
-    """All metrics in one projection over one scan."""
+    """All metrics but judged ones in one projection over one scan."""
     r, g = F.col(response), F.col(reference)
-    made: dict[str, Column] = {m.name: METRICS[m.name][1](r, g, m.options) for m in metrics}
+    made: dict[str, Column] = {m.name: METRICS[m.name][1](r, g, m.options) for m in metrics if m.family != "judge"}
     return df.select("*", *(c.alias(n) for n, c in made.items()))
 
 
@@ -64,11 +64,11 @@ def skewness(point: Row) -> float:
 
 
 def summarise(scores: DataFrame, spec: EvaluationSpec) -> DataFrame:
-    """One row for each metric: value, interval, n."""
+    """One row for each metric: value, interval, n. One aggregate gives the moments of all metrics, from which methods are chosen."""
     s, out = spec.statistics, []
+    points = intervals.moments_wide(scores, [m.name for m in spec.metrics])
     for m in spec.metrics:
-        kind = METRICS[m.name][0]
-        point = intervals.moments(scores, m.name).first()
+        kind, point = METRICS[m.name][0], points[m.name]
         method, _ = intervals.choose(kind, point.n, skewness(point), s.interval)
         if point.n == 0:
             row = scores.sparkSession.createDataFrame([(None, None, None)], "value double, ci_lo double, ci_hi double")
@@ -85,28 +85,62 @@ def summarise(scores: DataFrame, spec: EvaluationSpec) -> DataFrame:
     return total
 
 
-def respond(df: DataFrame, spec: EvaluationSpec, at: datetime | None = None) -> tuple[DataFrame, dict[str, int]]:
-    """Rows with ``response``, through the cache if the spec has one; and the run's counts."""
-    at = at or datetime.now(UTC).replace(tzinfo=None)
+def summarise_segments(scores: DataFrame, spec: EvaluationSpec) -> DataFrame:
+    """A row for each metric and segment of ``statistics.segments``: Wilson for binary metrics, t for the others, every row
+    of one metric from one aggregate."""
+    by, total = list(spec.statistics.segments), None
+    for m in spec.metrics:
+        kind = METRICS[m.name][0]
+        row = intervals.proportion(scores, m.name, intervals.wilson, spec.statistics.level, by) if kind == "binary" else intervals.t_mean(scores, m.name, spec.statistics.level, by)
+        part = row.select(F.lit(m.name).alias("metric"), F.lit(kind).alias("kind"), *by, "n", "value", "ci_lo", "ci_hi", F.lit("wilson" if kind == "binary" else "t").alias("ci_method"))
+        total = part if total is None else total.unionByName(part)
+    return total
+
+
+def answered(rows: DataFrame, model: dict, spec: EvaluationSpec, at: datetime | None = None) -> tuple[DataFrame, dict[str, int]]:
+    """Keyed rows with ``response_text`` and ``error``: one call for each distinct request, through the cache if the spec has one."""
     c = spec.calls
-    model = {"provider": spec.responder.provider, "model": spec.responder.model, "temperature": spec.responder.temperature, "max_tokens": spec.responder.max_tokens, **spec.responder.params}
-    named = df.withColumnRenamed(spec.data.reference_col, "reference") if spec.data.reference_col != "reference" else df
-    rows = keyed(render(named, spec.data.template), model)
     requests = distinct_requests(rows)
     policy = CallPolicy(c.batch_size, c.rpm, c.tpm, c.lanes, c.slots, c.initial_fill)
-    call = lambda r: r.join(call_model(r, model, policy).drop("error", "attempts"), "cache_key")
+    call = lambda r: r.join(call_model(r, model, policy).drop("attempts"), "cache_key")
     if c.cache_path:
-        responses, counts = ResponseCache(df.sparkSession, c.cache_path).resolve(requests, c.cache_policy, call, at, c.ttl_days)
+        responses, counts = ResponseCache(rows.sparkSession, c.cache_path).resolve(requests, c.cache_policy, call, at or datetime.now(UTC).replace(tzinfo=None), c.ttl_days)
     else:
-        responses, counts = call(requests), {}
-    return rows.join(responses.select("cache_key", F.col("response_text").alias("response")), "cache_key", "left"), counts
+        responses, counts = staged(call(requests)), {}
+    return rows.join(responses.select("cache_key", "response_text", "error"), "cache_key", "left"), counts
+
+
+def respond(df: DataFrame, spec: EvaluationSpec, at: datetime | None = None) -> tuple[DataFrame, dict[str, int]]:
+    """Rows with ``response`` and ``error`` (of a failed call); and the run's counts."""
+    model = {"provider": spec.responder.provider, "model": spec.responder.model, "temperature": spec.responder.temperature, "max_tokens": spec.responder.max_tokens, **spec.responder.params}
+    named = df.withColumnRenamed(spec.data.reference_col, "reference") if spec.data.reference_col != "reference" else df
+    rows, counts = answered(keyed(render(named, spec.data.template), model), model, spec, at)
+    return rows.withColumnRenamed("response_text", "response"), counts
+
+
+def grade(df: DataFrame, spec: EvaluationSpec, options: dict) -> DataFrame:
+    """Verdicts of a grader on ``response``: a row for each example and criterion with ``raw``, ``score`` (null if the verdict holds
+    none) and ``error``. Prompts go through the same distinct, limited, cached inference as any others."""
+    low, high = options.get("scale", (1, 5))
+    prompts = judge.grade_prompts(df, options.get("rubric", "Grade the answer."), list(options.get("criteria", ["helpfulness"])), (low, high))
+    model = {"provider": options.get("provider", "simulated-judge"), "model": options.get("model", "judge-a"), "temperature": 0.0, "max_tokens": 256}
+    rows, _ = answered(keyed(prompts, model), model, spec)
+    return rows.select(spec.data.id_col, "criterion", F.col("response_text").alias("raw"), judge.parse_score(F.col("response_text"), low, high).alias("score"), "error")
 
 
-def evaluate(df: DataFrame, spec: EvaluationSpec) -> DataFrame:
+def evaluate(df: DataFrame, spec: EvaluationSpec, unparsed_path: str | None = None) -> DataFrame:
+    """Metric values of a run. Judged metrics are the mean score over their criteria; verdicts without a score are
+    missing values, and go to ``unparsed_path`` if it is given."""
     rows, _ = respond(df, spec)
-    names = [m.name for m in spec.metrics]
-    scores = staged(score_wide(rows, spec.metrics).select(spec.data.id_col, *spec.statistics.segments, *names))
-    return staged(summarise(scores, spec))
+    scores = score_wide(rows, spec.metrics)
+    for m in (m for m in spec.metrics if m.family == "judge"):
+        asked = rows.select(spec.data.id_col, "reference", F.col("response"), *(c for c in ("instruction",) if c in rows.columns))
+        verdicts = staged(grade(asked if "instruction" in asked.columns else asked.withColumn("instruction", F.lit("")), spec, m.options))
+        if unparsed_path:
+            judge.unparsed(verdicts).write.mode("append").parquet(unparsed_path)
+        scores = scores.join(verdicts.groupBy(spec.data.id_col).agg(F.avg("score").alias(m.name)), spec.data.id_col, "left")
+    scores = staged(scores.select(spec.data.id_col, *spec.statistics.segments, *(m.name for m in spec.metrics)))
+    return staged(summarise_segments(scores, spec) if spec.statistics.segments else summarise(scores, spec))
 
 
 def registered(spec: EvaluationSpec, values: DataFrame, path: str) -> str:
@@ -118,4 +152,4 @@ def registered(spec: EvaluationSpec, values: DataFrame, path: str) -> str:
     return run
 
 
-__all__ = ["METRICS", "asdict", "evaluate", "register", "registered", "respond", "score_wide", "suggest", "summarise"]
+__all__ = ["METRICS", "answered", "evaluate", "grade", "register", "registered", "respond", "score_wide", "suggest", "summarise", "summarise_segments"]

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import hashlib
+import importlib
 import json
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
@@ -28,7 +30,7 @@ class Response:
 
 
 class Responder:
-    """Opened once for each worker process and specification, closed by whoever opened it."""
+    """Opened once for each worker process and specification by ``pooled``, closed when the process ends."""
 
     def open(self) -> None: ...
 
@@ -68,6 +70,13 @@ class Retrying(Responder):
     def close(self) -> None:
         self.inner.close()
 
+    def answer_many(self, requests: list[Request]) -> list[Response]:
+        """The whole batch at once; requests that fail so are tried again one by one."""
+        try:
+            return self.inner.answer_many(requests)
+        except Exception:
+            return [self.answer(r) for r in requests]
+
     def answer(self, request: Request) -> Response:
         for attempt in range(self.policy.attempts):
             try:
@@ -142,15 +151,31 @@ def register(provider: str, make: Callable[[dict], Responder]) -> None:
     REGISTRY[provider] = make
 
 
+def _builtin(provider: str) -> Callable[[dict], Responder] | None:
+    """Responders that come with the package; remote ones need the ``transport`` named in the specification."""
+    from evalengine.responders import local, simulated
+
+    own = {
+        "simulated": lambda s: simulated.SimulatedResponder(s["model"], s.get("quality", 0.8)), "simulated-judge": lambda s: simulated.SimulatedJudge(),
+        "simulated-verifier": lambda s: simulated.SimulatedVerifier(), "local": lambda s: local.LocalResponder(s["path"]),
+    }
+    if provider in ADAPTERS:
+        return lambda s: RemoteResponder(ADAPTERS[provider], s["model"], transport(s["transport"]))
+    return own.get(provider)
+
+
+def transport(name: str) -> Callable[[str, dict, dict], tuple[int, dict]]:
+    """The function ``module:name`` that sends (url, headers, body) and gives (status, reply); it is looked up where the call is made."""
+    module, _, function = name.partition(":")
+    return getattr(importlib.import_module(module), function)
+
+
 def responder_for(spec: dict) -> Responder:
     """Switching providers is a change of ``spec`` alone."""
-    if spec["provider"] == "simulated" and "simulated" not in REGISTRY:
-        from evalengine.responders.simulated import SimulatedResponder
-
-        register("simulated", lambda s: SimulatedResponder(s["model"], s.get("quality", 0.8)))
-    if spec["provider"] not in REGISTRY:
+    make = REGISTRY.get(spec["provider"]) or _builtin(spec["provider"])
+    if make is None:
         raise KeyError(f"provider {spec['provider']} is not registered")
-    return REGISTRY[spec["provider"]](spec)
+    return make(spec)
 
 
 def pooled(spec: dict) -> Responder:
@@ -159,5 +184,6 @@ def pooled(spec: dict) -> Responder:
     if key not in _POOL:
         _POOL[key] = responder_for(spec)
         _POOL[key].open()
+        atexit.register(_POOL[key].close)
         OPENED["count"] += 1
     return _POOL[key]

@@ -6,6 +6,7 @@ The same rule exists as a Column (``respond``) and as a batch responder (``Simul
 from __future__ import annotations
 
 import hashlib
+import re
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -50,3 +51,29 @@ class SimulatedResponder(Responder):
             else:
                 text = " ".join(reversed(words)) if u < q + 0.8 * (1 - q) else UNRELATED
         return Response(text, -(-len(request.prompt) // 4), -(-len(text) // 4))
+
+
+class SimulatedJudge(Responder):
+    """A stand-in grader. It reads the answer out of the prompt, compares it with the request's reference by token F1, and
+    gives a score in one of four shapes; one verdict in a hundred holds none. ``judge.simulated_verdict`` is its Column."""
+
+    def answer(self, request: Request) -> Response:
+        said = request.prompt.rpartition("\nAnswer: ")[2].removesuffix("\nGive a score and an explanation.")
+        words = lambda t: re.sub(r"[!-/:-@\[-`{-~]", "", t.lower()).split()
+        a, b = words(said), words(request.reference or "")
+        both = sum(min(a.count(w), b.count(w)) for w in set(a))
+        quality = 1.0 if not a and not b else 2.0 * both / (len(a) + len(b))
+        u, v = (int(hashlib.sha256(f"{k}:{request.key}".encode()).hexdigest()[:8], 16) / 4294967296 for k in ("judge", "shape"))
+        score = str(max(1, min(5, int(1 + 4 * quality + (u - 0.5) + 0.5))))
+        shaped = f"Score: {score}" if v < 0.25 else f"{score}/5 in all" if v < 0.5 else f"[[{score}]]" if v < 0.75 else f'{{"score": {score}}}'
+        text = "a helpful answer" if u < 0.01 else shaped
+        return Response(text, -(-len(request.prompt) // 4), -(-len(text) // 4))
+
+
+class SimulatedVerifier(Responder):
+    """A stand-in that says whether a context in the prompt holds a claim word for word."""
+
+    def answer(self, request: Request) -> Response:
+        claim, _, context = request.prompt.partition("\nContext: ")
+        text = "supported" if claim.removeprefix("Claim: ") in context else "not supported"
+        return Response(text, -(-len(request.prompt) // 4), -(-len(text) // 4))

@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from evalengine.functions.distributions import normal_quantile
 from evalengine.sources.staging import shared_folder
@@ -60,3 +62,29 @@ def to_end(result: DataFrame, mode: str = "complete", checkpoint: str | None = N
 def each_batch(stream: DataFrame, evaluate: Callable[[DataFrame, int], None], checkpoint: str):
     """Score each micro-batch; the cache makes repeated batches free of calls."""
     return stream.writeStream.foreachBatch(evaluate).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def attached(stream: DataFrame, known: DataFrame, key: str) -> DataFrame:
+    """A stream beside a table that is read again in each batch; no state."""
+    return stream.join(known, key)
+
+
+def matched(asked: DataFrame, told: DataFrame, key: str, within: str, late: str = "10 minutes") -> DataFrame:
+    """Requests and the responses of the same key that follow within a span; watermarks on both sides bound the state."""
+    a = asked.withWatermark("ts", late).withColumnsRenamed({key: "_a", "ts": "_at"})
+    b = told.withWatermark("ts", late).withColumnsRenamed({key: "_b", "ts": "_bt"})
+    return a.join(b, F.expr(f"_a = _b AND _bt >= _at AND _bt <= _at + INTERVAL {within}"))
+
+
+def lane_state(calls: DataFrame, lane: str, tokens: str) -> DataFrame:
+    """Calls and tokens of each lane so far, as state that a restart takes up again: a row for each lane and batch."""
+    kind = dict(calls.dtypes)[lane]
+
+    def kept(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        calls_, spent = state.get if state.exists else (0, 0)
+        for f in frames:
+            calls_, spent = calls_ + len(f), spent + int(f[tokens].sum())
+        state.update((calls_, spent))
+        yield pd.DataFrame({lane: [key[0]], "calls": [calls_], "spent": [spent]})
+
+    return calls.groupBy(lane).applyInPandasWithState(kept, f"{lane} {kind}, calls long, spent long", "calls long, spent long", "update", GroupStateTimeout.NoTimeout)

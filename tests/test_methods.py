@@ -11,7 +11,7 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from evalengine.functions import distributions, lexical, templating
-from evalengine.operators import cache, intervals, judge, measures, significance, throttle, validate
+from evalengine.operators import cache, inference, intervals, judge, measures, significance, throttle, validate
 from evalengine.plans.spec import EvaluationSpec, MetricSpec, SpecError, StatisticsSpec
 from evalengine.responders.base import Flaky, Request, RetryPolicy, Retrying, responder_for
 from evalengine.responders.simulated import SimulatedResponder, respond
@@ -249,7 +249,7 @@ def test_worked_run_keeps_its_method(spark, small):
     from evalengine.plans.catalogue import evaluate_end_to_end
 
     rows = {r.metric: r for r in evaluate_end_to_end(spark, small).collect()}
-    assert set(rows) == {"exact_match", "token_f1", "rouge_l", "token_match", "judge"} and {r.ci_method for r in rows.values()} == {"bca"}
+    assert set(rows) == {"exact_match", "token_f1", "rouge_l", "token_match", "embedding_cosine", "judge"} and {r.ci_method for r in rows.values()} == {"bca"}
     assert all(r.ci_lo <= r.value <= r.ci_hi for r in rows.values()) and rows["token_match"].n == rows["token_f1"].n
 
 
@@ -281,3 +281,152 @@ def test_registered_studies_are_whole(spark, small):
     assert all(d == 1000 and 0.9 < c < 0.98 for d, c in seen.values())
     rates = {r.test: (r.comparisons, r.rate) for r in type_one_study(spark, small).collect()}
     assert len(rates) == 3 and all(c == 10_000 and 0.03 < x < 0.07 for c, x in rates.values())
+
+
+# Lanes, failed calls, the cache's books.
+
+
+def _requests(spark, n):
+    rows = spark.range(n).select(F.concat(F.lit("prompt "), "id").alias("prompt"), F.lit("gold").alias("reference"))
+    return inference.keyed(rows, {"provider": "simulated", "model": "m"})
+
+
+@pytest.mark.parametrize("lanes", [1, 4, 8, 13])
+def test_every_lane_is_a_task_of_its_own(spark, lanes):
+    dealt = inference.assign_lanes(_requests(spark, 4000), lanes).select("lane", F.spark_partition_id().alias("task")).groupBy("lane", "task").count().collect()
+    assert sorted((r.lane, r.task) for r in dealt) == [(k, k) for k in range(lanes)]
+    assert max(r["count"] for r in dealt) < 1.3 * 4000 / lanes
+
+
+def test_admissions_of_all_lanes_reach_the_budget(spark):
+    calls = _requests(spark, 6000).withColumn("lane", inference.lane_of(F.col("cache_key"), 8)).select("lane", F.xxhash64("cache_key").alias("call_id"), F.lit(0.0).alias("arrival_s"), F.lit(10).alias("tokens"), F.lit(0.001).alias("latency_s"))
+    out = throttle.simulate_fold(calls, 600.0, None, 8, 4).agg(F.count("*").alias("n"), F.max("start_s").alias("end")).first()
+    assert 0.9 * 600 <= out.n / (out.end / 60 + 1) <= 600
+
+
+def test_lanes_of_unequal_weight(spark):
+    assert throttle.lane_share(100.0, 4, [1, 1, 2, 4]) == [12.5, 12.5, 25.0, 50.0] and throttle.lane_share(None, 2) == [None, None]
+    policy = inference.CallPolicy(lanes=2, rpm=1e9, weights=(1.0, 3.0))
+    out = inference.call_model(_requests(spark, 50), {"provider": "simulated", "model": "m"}, policy)
+    assert out.count() == 50
+
+
+@pytest.mark.parametrize("rpm,tpm,tokens,wait", [(60.0, None, 10**6, 0.0), (None, 60.0, 90, 30.0), (60.0, 60.0, 0, 0.0), (1.0, None, 1, 0.0)])
+def test_bucket_special_cases(rpm, tpm, tokens, wait):
+    now = [0.0]
+    bucket = throttle.LaneBucket(rpm, tpm, lambda: now[0], lambda s: now.__setitem__(0, now[0] + s))
+    assert bucket.acquire(tokens) == pytest.approx(wait)
+
+
+def test_failed_calls_are_retried_on_the_next_run(spark, tmp_path):
+    held = cache.ResponseCache(spark, f"file://{tmp_path}/cache")
+    req, t0 = _requests(spark, 6), dt.datetime(2024, 1, 1)
+    bad = F.col("prompt").isin("prompt 1", "prompt 4")
+    say = lambda fails: (lambda r: r.withColumns({"response_text": F.when(fails, F.lit(None)).otherwise("said"), "prompt_tokens": F.lit(1), "completion_tokens": F.lit(1), "latency_ms": F.lit(1.0), "error": F.when(fails, "throttled")}))
+    rows, c = held.resolve(req, "read_write", say(bad), t0)
+    assert (c["calls"], c["writes"]) == (6, 4) and sorted(r.error or "" for r in rows.collect()) == [""] * 4 + ["throttled"] * 2
+    with pytest.raises(cache.ReplayMiss):
+        held.resolve(req, "replay", None, t0)
+    rows, c = held.resolve(req, "read_write", say(F.lit(False)), t0)
+    assert (c["hits"], c["calls"], c["writes"]) == (4, 2, 2) and all(r.response_text == "said" and r.error is None for r in rows.collect())
+    assert held.resolve(req, "replay", None, t0)[1]["hits"] == 6
+
+
+def test_cache_reads_are_keyed_and_manifests_need_no_job(spark, tmp_path):
+    held = cache.ResponseCache(spark, f"file://{tmp_path}/cache")
+    req, t0 = _requests(spark, 5), dt.datetime(2024, 1, 1)
+    say = lambda r: r.withColumns({"response_text": F.lit("x"), "prompt_tokens": F.lit(1), "completion_tokens": F.lit(1), "latency_ms": F.lit(1.0)})
+    held.resolve(req, "read_write", say, t0)
+    plan = held.read(keys=req.limit(1))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Window") < plan.index("LeftSemi")
+    before = spark.sparkContext._jsc.sc().dagScheduler().nextJobId()
+    assert held.version() == 1 and len(held.segments()) == 1 and held.segments(as_of=t0 - dt.timedelta(days=1)) == []
+    assert spark.sparkContext._jsc.sc().dagScheduler().nextJobId() == before
+    held._written(f"{held.path}/versions/2.claim", "", False)
+    with pytest.raises(RuntimeError, match="another writer"):
+        held.commit([], t0)
+
+
+def test_adapters_build_payloads_and_classify_replies():
+    from evalengine.responders import base
+
+    sent = []
+    replies = iter([(429, {}), (500, {}), (200, {"choices": [{"message": {"content": "hi"}}], "usage": {"prompt_tokens": 3, "completion_tokens": 1}})])
+    remote = base.RemoteResponder(base.ADAPTERS["chat_completions"], "some-model", lambda *a: (sent.append(a), next(replies))[1], lambda name: "secret")
+    out = Retrying(remote, RetryPolicy(), lambda s: None).answer(Request("k", "hello", temperature=0.5, max_tokens=7))
+    assert (out.text, out.prompt_tokens, out.completion_tokens, out.attempts, out.error) == ("hi", 3, 1, 3, None)
+    assert sent[0][1] == {"Authorization": "Bearer secret"} and sent[0][2] == {"model": "some-model", "messages": [{"role": "user", "content": "hello"}], "temperature": 0.5, "max_tokens": 7}
+    assert base.RemoteResponder(base.ADAPTERS["messages"], "m", lambda *a: (400, {}), lambda name: "s").answer(Request("k", "p")).error == "status 400"
+    assert isinstance(responder_for({"provider": "messages", "model": "m", "transport": "json:dumps"}), base.RemoteResponder)
+    with pytest.raises(KeyError):
+        responder_for({"provider": "nobody", "model": "m"})
+
+
+def test_batches_and_pool_of_a_responder():
+    from evalengine.responders import base
+
+    class Whole(base.Responder):
+        def answer_many(self, requests):
+            if len(requests) > 2:
+                raise base.RetryableError("too many")
+            return [base.Response(r.prompt) for r in requests]
+
+        def answer(self, request):
+            return base.Response(request.prompt.upper())
+
+    r = Retrying(Whole(), RetryPolicy(), lambda s: None)
+    ask = [Request(str(i), "p") for i in range(3)]
+    assert [x.text for x in r.answer_many(ask[:2])] == ["p", "p"] and [x.text for x in r.answer_many(ask)] == ["P"] * 3
+
+
+def test_segments_of_a_run_and_one_aggregate(spark):
+    from evalengine.plans import runner
+
+    df = spark.range(600).select((F.col("id") % 3).alias("s"), (F.col("id") % 2).cast("double").alias("exact_match"), (F.col("id") % 7).cast("double").alias("token_f1"))
+    spec = EvaluationSpec("seg", (MetricSpec("exact_match", kind="binary"), MetricSpec("token_f1")), statistics=StatisticsSpec(segments=("s",)))
+    got = {(r.metric, r.s): r for r in runner.summarise_segments(df, spec).collect()}
+    assert len(got) == 6 and {r.ci_method for r in got.values()} == {"wilson", "t"} and all(r.n == 200 and r.ci_lo < r.value < r.ci_hi for r in got.values())
+    wide = intervals.moments_wide(df, ["exact_match", "token_f1"])
+    assert wide["token_f1"] == intervals.moments(df, "token_f1").first()
+
+
+def test_poisson_weights_follow_their_law():
+    w = intervals.poisson_weights(np.arange(4000, dtype=np.uint64) * np.uint64(7919), 200, 3)
+    assert w.mean() == pytest.approx(1, abs=0.005) and w.var() == pytest.approx(1, abs=0.01) and (w == 0).mean() == pytest.approx(math.exp(-1), abs=0.003)
+    assert abs(np.corrcoef(w[:, 0], w[:, 1])[0, 1]) < 0.05 and abs(np.corrcoef(w[0], w[1])[0, 1]) < 0.25
+
+
+def test_judge_by_calls_logs_unparsed_verdicts(spark, tmp_path):
+    from evalengine.plans import runner
+
+    rows = spark.range(300).select(F.col("id").cast("string").alias("example_id"), F.concat(F.lit("say "), "id").alias("instruction"), F.concat(F.lit("word "), "id").alias("reference"))
+    spec = EvaluationSpec("judged", (MetricSpec("judge", "judge", "ordinal", {"criteria": ["helpfulness", "accuracy", "coherence"]}),), statistics=StatisticsSpec(iterations=100))
+    out = runner.evaluate(rows, spec, f"file://{tmp_path}/unparsed").first()
+    lost = spark.read.parquet(f"file://{tmp_path}/unparsed")
+    assert 1 <= out.value <= 5 and out.n + out.n_missing == 300 and 0 < lost.count() < 60 and set(lost.columns) >= {"example_id", "criterion", "raw"}
+
+
+def test_relevance_pairs_equal_brute_force(spark):
+    docs = [(1, "alpha beta gamma delta epsilon zeta eta theta iota"), (2, "xalpha beta gamma delta epsilon zeta etax"), (3, "one\ntwo three four five six seven"), (4, "short one"), (5, "")]
+    items = [(10, "alpha beta gamma delta epsilon zeta eta"), (11, "two three four five six"), (12, "short"), (13, "not in any of them at all here"), (14, "beta gamma delta epsilon zeta et"), (15, "one\ntwo three four five six sev")]
+    got = judge.relevance_pairs(spark.createDataFrame(items, "item_id int, passage string"), spark.createDataFrame(docs, "doc_id int, doc_text string"))
+    assert {(r.item_id, r.doc_id) for r in got.collect()} == {(i, d) for i, p in items for d, t in docs if p in t} and got.count() == len(got.distinct().collect())
+
+
+def test_stream_restart_takes_up_its_state_and_drops_late_rows(spark, tmp_path):
+    from evalengine.streaming import evaluation as streaming
+
+    folder, schema = f"{tmp_path}/in", "ts timestamp, event_type string"
+    put = lambda name, rows: spark.createDataFrame([(dt.datetime(2024, 1, 1, h, m), "ok") for h, m in rows], schema).coalesce(1).write.parquet(f"{folder}/{name}")
+    sink, check = f"{tmp_path}/out", f"{tmp_path}/check"
+
+    def run():
+        stream = spark.readStream.schema(schema).option("recursiveFileLookup", True).parquet(folder)
+        q = streaming.per_minute(stream, "1 hour", "10 minutes").writeStream.outputMode("append").format("parquet").option("path", sink).option("checkpointLocation", check).trigger(availableNow=True).start()
+        q.awaitTermination()
+        return {r.start.hour: r.calls for r in spark.read.schema("start timestamp, calls long, failed long").parquet(sink).collect()}
+
+    put("a", [(0, 5), (0, 30), (2, 0)])
+    run()
+    put("b", [(0, 40), (2, 30), (5, 0)])
+    assert run() == {0: 2, 2: 2}

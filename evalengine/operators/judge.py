@@ -79,19 +79,20 @@ def share_of_verdicts(df: DataFrame, verdicts: DataFrame, ok: Column, id_col: st
 RARE = 4
 
 
-def relevance_pairs(items: DataFrame, docs: DataFrame) -> DataFrame:
+def relevance_pairs(items: DataFrame, docs: DataFrame, doc_id: str = "doc_id") -> DataFrame:
     """Which documents hold a passage. Runs of ``RARE`` words of a passage are an equi-join key; among its runs the one that
-    fewest documents hold is looked up, and the passage is compared with those documents only. A passage of fewer
+    fewest documents hold is looked up, and the passage is compared with those documents only; texts stay out of the runs. A passage of fewer
     words, or one whose runs a document may cut at other characters than spaces, is compared with all documents."""
     runs = lambda t: F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(F.split(t, " ")) - RARE), lambda i: F.xxhash64(F.array_join(F.slice(F.split(t, " "), i + 1, RARE), " "))))
     inner = F.regexp_replace("passage", "^[^ ]* | [^ ]*$", "")
     keyed = items.withColumn("_inner", inner).withColumn("_id", F.xxhash64("passage"))
     long = F.size(F.split("_inner", " ")) >= RARE
     wanted = keyed.where(long).select("_id", F.explode(runs(F.col("_inner"))).alias("run")).distinct()
-    held = docs.where(F.size(F.split("doc_text", " ")) >= RARE).withColumn("run", F.explode(runs(F.col("doc_text"))))
-    frequent = held.join(wanted.select("run").distinct(), "run", "left_semi").groupBy("run").agg(F.count("*").alias("n"))
+    held = docs.where(F.size(F.split("doc_text", " ")) >= RARE).select(doc_id, F.explode(runs(F.col("doc_text"))).alias("run")).join(wanted.select("run").distinct().hint("merge"), "run", "left_semi")
+    frequent = held.groupBy("run").agg(F.count("*").alias("n"))
     chosen = wanted.join(frequent, "run", "left").groupBy("_id").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "run")).alias("x")).select("_id", "x.run")
-    by_run = held.join(keyed.where(long).join(chosen, "_id"), "run").where(F.contains("doc_text", "passage")).drop("run", "_id", "_inner")
+    met = held.join(keyed.where(long).join(chosen, "_id").drop("_id", "_inner").hint("merge"), "run").drop("run")
+    by_run = docs.join(met, doc_id).where(F.contains("doc_text", "passage"))
     short = docs.join(items.withColumn("_inner", inner).where(~long).drop("_inner"), F.contains("doc_text", "passage"))
     return by_run.select(*docs.columns, *items.columns).unionByName(short.select(*docs.columns, *items.columns))
 

@@ -18,7 +18,7 @@ like a result are renamed to ``input_<name>``.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -32,7 +32,7 @@ from evalengine.llm._common import fold_of, table
 from evalengine.llm._shingles import mixed
 
 UNDETERMINED = "und"
-LONGEST = 4
+LONGEST, BLOCK = 4, 100_000
 NOT_LETTERS = r"\P{L}+"
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
@@ -83,10 +83,18 @@ class Logs:
     values: np.ndarray
 
     @staticmethod
-    def of(keys: np.ndarray, langs: np.ndarray, weights: np.ndarray, n_langs: int) -> Logs:
-        found, at = np.unique(keys, return_inverse=True)
-        m = np.bincount(at * n_langs + langs, weights, len(found) * n_langs).reshape(-1, n_langs)
-        return Logs(found, np.rint(1e6 * np.log((m + 0.5) / (m.sum(axis=0) + 0.5 * max(1, len(m))))).astype(np.int32))
+    def of(blocks: Iterable[tuple[np.ndarray, np.ndarray, np.ndarray]], n_langs: int) -> Logs:
+        """From blocks of (hashes, languages, weights); no more than a block and the distinct hashes are held at once."""
+        keys, m = np.zeros(0, np.uint64), np.zeros((0, n_langs))
+        for more, langs, weights in blocks:
+            found, at = np.unique(more, return_inverse=True)
+            part = np.bincount(at * n_langs + langs, weights, len(found) * n_langs).reshape(-1, n_langs)
+            both, at = np.unique(np.concatenate((keys, found)), return_inverse=True)
+            total = np.zeros((len(both), n_langs))
+            total[at[: len(keys)]] += m
+            total[at[len(keys) :]] += part
+            keys, m = both, total
+        return Logs(keys, np.rint(1e6 * np.log((m + 0.5) / (m.sum(axis=0) + 0.5 * max(1, len(m))))).astype(np.int32))
 
     def find(self, keys: np.ndarray) -> np.ndarray:
         """Places of the keys, -1 for those that are not there."""
@@ -168,16 +176,23 @@ def fit(labelled: DataFrame, max_docs: int = 6000, text_col: str = "text", lang_
     langs = sorted(coded.dictionary.to_pylist())
     of = np.array([langs.index(x) for x in coded.dictionary.to_pylist()])[np.asarray(coded.indices)]
     times = counts.column("n").to_numpy().astype(np.float64)
-    spelled = Spelled.of(counts.column("word").combine_chunks())
-    sizes_ = np.diff(spelled.begin)
-    weight, lang = np.repeat(1 + np.log(times), sizes_), np.repeat(of, sizes_)
-    grams = []
-    for n in range(1, LONGEST + 1):
-        keys, inside = spelled.grams(n)
-        grams.append(Logs.of(keys[inside], lang[inside], weight[inside], len(langs)))
-    mass = np.bincount(lang, weight, len(langs))
+    words = counts.column("word").combine_chunks()
+
+    def blocks(n: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Hashes of the n-grams of the words, or of the words themselves for n = 0."""
+        for k in range(0, len(words), BLOCK):
+            spelled, lang, t = Spelled.of(words.slice(k, BLOCK)), of[k : k + BLOCK], times[k : k + BLOCK]
+            if n:
+                keys, inside = spelled.grams(n)
+                size = np.diff(spelled.begin)
+                yield keys[inside], np.repeat(lang, size)[inside], np.repeat(1 + np.log(t), size)[inside]
+            else:
+                yield spelled.words(), lang, t
+
+    grams = [Logs.of(blocks(n), len(langs)) for n in range(1, LONGEST + 1)]
+    mass = np.bincount(of, (1 + np.log(times)) * (pc.utf8_length(words).to_numpy(zero_copy_only=False) + 2), len(langs))
     floor = np.rint(1e6 * np.log(0.5 / (mass + 0.5 * max(1, len(grams[0].keys))))).astype(np.int64)
-    return Model(langs, Logs.of(spelled.words(), of, times, len(langs)), grams, floor)
+    return Model(langs, Logs.of(blocks(0), len(langs)), grams, floor)
 
 
 def predict(df: DataFrame, model: Model, text_col: str = "text") -> DataFrame:

@@ -83,7 +83,10 @@ def relevance_pairs(items: DataFrame, docs: DataFrame, doc_id: str = "doc_id") -
     """Which documents hold a passage. Runs of ``RARE`` words of a passage are an equi-join key; among its runs the one that
     fewest documents hold is looked up, and the passage is compared with those documents only; texts stay out of the runs. A passage of fewer
     words, or one whose runs a document may cut at other characters than spaces, is compared with all documents."""
-    runs = lambda t: F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(F.split(t, " ")) - RARE), lambda i: F.xxhash64(F.array_join(F.slice(F.split(t, " "), i + 1, RARE), " "))))
+    def runs(text: Column) -> Column:
+        run = lambda w: F.transform(F.sequence(F.lit(1), F.size(w) - RARE + 1), lambda i: F.xxhash64(*(F.get(w, i + (k - 1)) for k in range(RARE))))
+        return F.array_distinct(F.get(F.transform(F.array(F.split(text, " ")), run), F.lit(0)))
+
     inner = F.regexp_replace("passage", "^[^ ]* | [^ ]*$", "")
     keyed = items.withColumn("_inner", inner).withColumn("_id", F.xxhash64("passage"))
     long = F.size(F.split("_inner", " ")) >= RARE

@@ -22,6 +22,7 @@ precision, and vectors are scaled by their largest component first, so that none
 
 from __future__ import annotations
 
+import functools
 import math
 from collections.abc import Iterator
 
@@ -69,6 +70,7 @@ def unit(vectors: np.ndarray) -> np.ndarray:
     return v / np.linalg.norm(v, axis=1, keepdims=True)
 
 
+@functools.cache
 def _directions(width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     rng = np.random.default_rng(7_000_003 + width)
     a, shift = rng.standard_normal((width, DIRECTIONS)), rng.uniform(0, CELL, DIRECTIONS)

@@ -82,23 +82,31 @@ def sentence_cosine(mine: Column, theirs: Column, vectors: str) -> Column:
     return scored(mine, theirs)
 
 
-def token_match(mine: Column, theirs: Column, vectors: str) -> Column:
-    """F of ``greedy_match`` in Arrow batches, with the encoder's whole table (``vectors`` is its path) on each worker.
+def token_match_parts(mine: Column, theirs: Column, vectors: str) -> Column:
+    """``greedy_match`` in Arrow batches, a matrix product an example, with the encoder's whole table (``vectors`` is its
+    path) on each worker: precision, recall and f1, null where a side is null.
 
     An empty side matches an empty one only; the vector of a token is the row of its digest in order of ``vec_id``.
     """
     shared = SparkSession.active().sparkContext.broadcast(_unit_table(vectors))
 
-    def f1(a: list[str], b: list[str]) -> float:
+    def one(a: list[str] | None, b: list[str] | None) -> tuple[float | None, float | None, float | None]:
+        if a is None or b is None:
+            return None, None, None
         if not len(a) or not len(b):
-            return float(len(a) == len(b))
+            return (float(len(a) == len(b)),) * 3
         (x, i), (y, j) = (np.unique([_digest(t) % len(shared.value) for t in s], return_counts=True) for s in (a, b))
         c = shared.value[x] @ shared.value[y].T
-        p, r = c.max(axis=1) @ i / len(a), c.max(axis=0) @ j / len(b)
-        return float(2 * p * r / (p + r)) if p + r else 0.0
+        p, r = float(c.max(axis=1) @ i / len(a)), float(c.max(axis=0) @ j / len(b))
+        return p, r, 2 * p * r / (p + r) if p + r else 0.0
 
-    @F.pandas_udf("double")
-    def scored(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([None if s is None or t is None else f1(s, t) for s, t in zip(a, b, strict=True)], dtype="float64")
+    @F.pandas_udf("precision double, recall double, f1 double")
+    def scored(a: pd.Series, b: pd.Series) -> pd.DataFrame:
+        return pd.DataFrame([one(s, t) for s, t in zip(a, b, strict=True)], columns=["precision", "recall", "f1"], dtype="float64")
 
     return scored(mine, theirs)
+
+
+def token_match(mine: Column, theirs: Column, vectors: str) -> Column:
+    """The F of ``token_match_parts``."""
+    return token_match_parts(mine, theirs, vectors)["f1"]

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -12,51 +13,65 @@ from pyspark.sql import functions as F
 from evalengine.functions.distributions import normal_cdf, phi, t_tail, t_two_sided, uniform
 
 
-def paired_t(df: DataFrame) -> DataFrame:
-    """Paired t test of the mean difference; all differences zero gives p = 1."""
+def paired_t(df: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """Paired t test of the mean difference, by groups if asked; all differences zero gives p = 1."""
     d = F.col("a").cast("double") - F.col("b").cast("double")
-    m = df.agg(F.count(d).alias("n"), F.avg(d).alias("mean_diff"), F.stddev_samp(d).alias("sd"))
+    m = df.groupBy(*(by or [])).agg(F.count(d).alias("n"), F.avg(d).alias("mean_diff"), F.stddev_samp(d).alias("sd"))
     t = F.when(F.col("sd") > 0, F.col("mean_diff") / (F.col("sd") / F.sqrt("n")))
     same = (F.col("sd") == 0) & (F.col("mean_diff") == 0)
-    return m.select("n", "mean_diff", F.when(same, 0.0).otherwise(t).alias("statistic"), F.when(same, 1.0).otherwise(t_two_sided(t, (F.col("n") - 1).cast("double"))).alias("p_value"))
+    return m.select(*(by or []), "n", "mean_diff",F.when(same, 0.0).otherwise(t).alias("statistic"), F.when(same, 1.0).otherwise(t_two_sided(t, (F.col("n") - 1).cast("double"))).alias("p_value"))
 
 
-def table2(df: DataFrame) -> DataFrame:
+def table2(df: DataFrame, by: list[str] | None = None) -> DataFrame:
     a, b = F.col("a") > 0, F.col("b") > 0
-    return df.agg(F.count_if(a & b).alias("both"), F.count_if(a & ~b).alias("only_a"), F.count_if(~a & b).alias("only_b"), F.count_if(~a & ~b).alias("neither"))
+    return df.groupBy(*(by or [])).agg(F.count_if(a & b).alias("both"), F.count_if(a & ~b).alias("only_a"), F.count_if(~a & b).alias("only_b"), F.count_if(~a & ~b).alias("neither"))
 
 
-def exact_binomial(b: Column, c: Column) -> Column:
-    """Two-sided P under fair splits of b + c (at most 20) discordant pairs."""
-    n, low = b + c, F.least(b, c)
-    tail = F.aggregate(F.sequence(F.lit(0), F.greatest(low, F.lit(0)).cast("int")), F.lit(0.0), lambda s, k: s + F.factorial(n.cast("int")) / (F.factorial(k) * F.factorial(n.cast("int") - k)))
-    return F.when(n == 0, 1.0).otherwise(F.least(F.lit(1.0), 2 * tail / F.pow(F.lit(2.0), n)))
+def exact_binomial(b: Column, c: Column, mid_p: bool = False) -> Column:
+    """Two-sided P under fair splits of b + c discordant pairs: a fold of min(b, c) steps on logarithms of the terms.
 
+    ``mid_p`` counts the observed split half.
+    """
+    n, low = (b + c).cast("double"), F.least(b, c)
+    zero = F.struct((n * -math.log(2)).alias("term"), F.lit(0.0).alias("tail"))
 
-def discordant(df: DataFrame, correction: bool = False, exact_below: int = 10, mid_p: bool = False) -> DataFrame:
-    """Discordant pairs: chi-squared with one degree of freedom, the exact binomial below ``exact_below`` pairs."""
-    t = table2(df)
+    def step(s: Column, k: Column) -> Column:
+        term = s["term"] + F.when(k == 0, 0.0).otherwise(F.log((n - k + 1) / F.greatest(k, F.lit(1))))
+        return F.struct(term.alias("term"), (s["tail"] + F.exp(term)).alias("tail"))
+
+    def p(s: Column) -> Column:
+        return F.least(F.lit(1.0), 2 * s["tail"] - (F.exp(s["term"]) if mid_p else F.lit(0.0)))
+
+    return F.aggregate(F.sequence(F.lit(0).cast("long"), low.cast("long")), zero, step, p)
+
+
+def discordant(df: DataFrame, correction: bool = False, exact_below: int | None = 10, mid_p: bool = False, by: list[str] | None = None) -> DataFrame:
+    """Discordant pairs: chi-squared with one degree of freedom, the exact binomial below ``exact_below`` pairs (None: always)."""
+    t = table2(df, by)
     b, c = F.col("only_a"), F.col("only_b")
     gap = F.abs(b - c) - (1 if correction else 0)
     chi = F.try_divide((F.greatest(gap, F.lit(0)) * F.greatest(gap, F.lit(0))).cast("double"), b + c)
-    few = b + c < exact_below
-    exact = exact_binomial(F.when(few, b).otherwise(0), F.when(few, c).otherwise(0))
-    if mid_p:
-        n = F.when(few, b + c).otherwise(0).cast("int")
-        exact = exact - F.factorial(n) / (F.factorial(F.when(few, b).otherwise(0).cast("int")) * F.factorial(F.when(few, c).otherwise(0).cast("int"))) / F.pow(F.lit(2.0), n)
-    return t.select("only_a", "only_b", F.when(few, F.lit("exact")).otherwise("chi2").alias("branch"), chi.alias("statistic"), F.when(few, exact).otherwise(2 * (1 - phi(F.sqrt(chi)))).alias("p_value"))
+    few = F.lit(True) if exact_below is None else b + c < exact_below
+    exact = exact_binomial(F.when(few, b).otherwise(0), F.when(few, c).otherwise(0), mid_p)
+    return t.select(*(by or []), "only_a", "only_b", F.when(few, F.lit("exact")).otherwise("chi2").alias("branch"), chi.alias("statistic"), F.when(few, exact).otherwise(2 * (1 - phi(F.sqrt(chi)))).alias("p_value"))
 
 
-def signed_rank(df: DataFrame, correction: bool = True) -> DataFrame:
+def signed_rank(df: DataFrame, correction: bool = True, by: list[str] | None = None) -> DataFrame:
     """Wilcoxon signed rank with average ranks and tie correction, normal tail.
 
-    Works on the counts of distinct absolute differences, so rows are only aggregated, never ranked.
+    Works on the counts of distinct absolute differences, so rows are only aggregated, never ranked. ``by`` is for
+    many groups of bounded size: each group's distinct differences are ranked in one window. A group without a
+    difference other than zero has no row.
     """
-    d = F.round(F.col("a").cast("double") - F.col("b").cast("double"), 9)
-    counts = df.select(d.alias("d")).where("d IS NOT NULL AND d <> 0").groupBy(F.abs("d").alias("m")).agg(F.count_if(F.col("d") > 0).alias("up"), F.count("*").alias("t"))
-    ranked = ranks(counts, "m", "t")
+    d, by = F.round(F.col("a").cast("double") - F.col("b").cast("double"), 9), by or []
+    counts = df.select(*by, d.alias("d")).where("d IS NOT NULL AND d <> 0").groupBy(*by, F.abs("d").alias("m")).agg(F.count_if(F.col("d") > 0).alias("up"), F.count("*").alias("t"))
+    if by:
+        below = F.sum("t").over(Window.partitionBy(*by).orderBy("m").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+        ranked = counts.withColumn("rank", below - (F.col("t") - 1) / 2.0)
+    else:
+        ranked = ranks(counts, "m", "t")
     n = F.sum("t").cast("double")
-    s = ranked.agg(
+    s = ranked.groupBy(*by).agg(
         F.coalesce(F.sum(F.col("up") * F.col("rank")), F.lit(0.0)).alias("w_plus"), F.coalesce(F.sum((F.col("t") - F.col("up")) * F.col("rank")), F.lit(0.0)).alias("w_minus"),
         F.coalesce(n, F.lit(0.0)).alias("n"), F.coalesce(F.sum(F.col("t").cast("double") * F.col("t") * F.col("t") - F.col("t")), F.lit(0.0)).alias("ties"),
     )
@@ -64,7 +79,7 @@ def signed_rank(df: DataFrame, correction: bool = True) -> DataFrame:
     var = k * (k + 1) * (2 * k + 1) / 24 - F.col("ties") / 48
     gap = F.greatest(F.abs(F.col("w_plus") - k * (k + 1) / 4) - (0.5 if correction else 0.0), F.lit(0.0))
     z = F.when(var > 0, gap / F.sqrt(var)).otherwise(0.0)
-    return s.select(k.cast("long").alias("n"), "w_plus", "w_minus", z.alias("statistic"), F.when(k == 0, 1.0).otherwise(2 * (1 - phi(z))).alias("p_value"))
+    return s.select(*by, k.cast("long").alias("n"), "w_plus","w_minus", z.alias("statistic"), F.when(k == 0, 1.0).otherwise(2 * (1 - phi(z))).alias("p_value"))
 
 
 def ranks(counts: DataFrame, value: str, weight: str, parts: int = 64) -> DataFrame:
@@ -204,9 +219,22 @@ def shapiro_wilk(x: np.ndarray) -> tuple[float, float]:
 
 
 def normality(df: DataFrame, value: str, cap: int = 5000) -> DataFrame:
-    """Shapiro-Wilk of at most ``cap`` values, chosen by digest."""
-    v = df.select(F.col(value).cast("double").alias("v")).where("v IS NOT NULL")
-    kept = v.orderBy(F.xxhash64("v", F.monotonically_increasing_id())).limit(cap)
+    """Shapiro-Wilk of at most ``cap`` values (the test's own limit is 5,000).
+
+    The sample depends on the values alone, not on how rows are dealt: a value that occurs c times draws the lowest of
+    c uniform numbers in order, from a generator of its own, and the lowest numbers of all values win.
+    """
+    counts = df.select(F.col(value).cast("double").alias("v")).where("v IS NOT NULL").groupBy("v").agg(F.count("*").alias("c")).withColumn("s", F.xxhash64("v"))
+
+    def draw(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for v, c, s in zip(b["v"], b["c"], b["s"], strict=True):
+                k = min(int(c), cap)
+                # Successive minima of c exponentials, which order as the minima of c uniforms do.
+                u = np.cumsum(np.random.default_rng(int(s) & (2**63 - 1)).exponential(size=k) / (c - np.arange(k)))
+                yield pd.DataFrame({"v": np.full(k, v), "u": u})
+
+    kept = counts.mapInPandas(draw, "v double, u double").orderBy("u", "v").limit(cap)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         w, p = shapiro_wilk(pdf["v"].to_numpy())

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import heapq
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -51,35 +52,53 @@ class LaneBucket:
         return wait
 
 
+class LaneClock:
+    """A lane in virtual time: its bucket, and the ends of the calls in flight. It takes calls in order, a batch at a time."""
+
+    def __init__(self, begin: float, rpm: float | None, tpm: float | None, slots: int, initial_fill: float = 1.0) -> None:
+        self.now, self.slots, self.busy = begin, slots, []
+        self.bucket = LaneBucket(rpm, tpm, lambda: self.now, self._wait, initial_fill)
+
+    def _wait(self, seconds: float) -> None:
+        self.now += seconds
+
+    def take(self, arrival: np.ndarray, tokens: np.ndarray, latency: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        start, end = np.zeros(len(arrival)), np.zeros(len(arrival))
+        for i in range(len(arrival)):
+            self.now = max(self.now, float(arrival[i]))
+            if len(self.busy) == self.slots:
+                self.now = max(self.now, heapq.heappop(self.busy))
+            self.bucket.acquire(float(tokens[i]))
+            start[i], end[i] = self.now, self.now + latency[i]
+            heapq.heappush(self.busy, end[i])
+        return start, end
+
+
 def admissions(arrival: np.ndarray, tokens: np.ndarray, latency: np.ndarray, rpm: float | None, tpm: float | None, slots: int, initial_fill: float = 1.0) -> tuple[np.ndarray, np.ndarray]:
     """Virtual-time start and end of a lane's calls, in order, with at most ``slots`` in flight."""
-    import heapq
-
-    now = [float(arrival[0]) if len(arrival) else 0.0]
-    bucket = LaneBucket(rpm, tpm, lambda: now[0], lambda s: now.__setitem__(0, now[0] + s), initial_fill)
-    busy: list[float] = []
-    start, end = np.zeros(len(arrival)), np.zeros(len(arrival))
-    for i in range(len(arrival)):
-        now[0] = max(now[0], float(arrival[i]))
-        if len(busy) == slots:
-            now[0] = max(now[0], heapq.heappop(busy))
-        bucket.acquire(float(tokens[i]))
-        start[i], end[i] = now[0], now[0] + latency[i]
-        heapq.heappush(busy, end[i])
-    return start, end
+    return LaneClock(float(arrival[0]) if len(arrival) else 0.0, rpm, tpm, slots, initial_fill).take(arrival, tokens, latency)
 
 
 def simulate_fold(calls: DataFrame, rpm: float | None, tpm: float | None, lanes: int, slots: int, lane: str = "lane", order: str = "call_id") -> DataFrame:
-    """Both budgets and a concurrency limit, one fold a lane. ``calls``: lane, order, arrival_s, tokens, latency_s."""
+    """Both budgets and a concurrency limit, one fold a lane. ``calls``: lane, order, arrival_s, tokens, latency_s.
+
+    A lane's calls arrive sorted, batch after batch; what is held between batches is one bucket and the calls in flight.
+    """
     shares = (None if rpm is None else rpm / lanes, None if tpm is None else tpm / lanes)
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(order)
-        pdf["start_s"], pdf["end_s"] = admissions(pdf["arrival_s"].to_numpy(), pdf["tokens"].to_numpy(), pdf["latency_s"].to_numpy(), *shares, slots)
-        return pdf[[lane, order, "start_s", "end_s"]]
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        at, clock = None, None
+        for b in batches:
+            for name, calls_of in b.groupby(lane, sort=False):
+                x = [calls_of[c].to_numpy(np.float64) for c in ("arrival_s", "tokens", "latency_s")]
+                if clock is None or name != at:
+                    at, clock = name, LaneClock(float(x[0][0]), *shares, slots)
+                start, end = clock.take(*x)
+                yield calls_of[[lane, order]].assign(start_s=start, end_s=end)
 
     kind = dict(calls.dtypes)
-    return calls.groupBy(lane).applyInPandas(run, f"{lane} {kind[lane]}, {order} {kind[order]}, start_s double, end_s double")
+    sorted_calls = calls.select(lane, order, "arrival_s", "tokens", "latency_s").repartition(lanes, lane).sortWithinPartitions(lane, order)
+    return sorted_calls.mapInPandas(run, f"{lane} {kind[lane]}, {order} {kind[order]}, start_s double, end_s double")
 
 
 def simulate_windows(calls: DataFrame, cost: Column, cap: float, lane: str = "lane", order: str = "call_id", arrival: str = "arrival_s") -> DataFrame:

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import functools
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -10,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evalengine.functions.distributions import normal_cdf, normal_quantile, t_tail
-from evalengine.operators.significance import exact_signed_rank
+from evalengine.operators import significance
 
 
 def _t_critical(n: int, level: float) -> float:
@@ -49,22 +50,26 @@ def coverage(spark: SparkSession, datasets: int = 1000, sizes: tuple[int, ...] =
 
 
 def type_one(spark: SparkSession, comparisons: int = 10_000, n: int = 100, alpha: float = 0.05, seed: int = 7) -> DataFrame:
-    """Share of rejections where both sides come from one distribution, by test; a row a comparison."""
+    """Share of rejections where both sides come from one distribution, by test.
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            out = []
-            for i in b["id"]:
-                rng = np.random.default_rng([seed, int(i)])
-                d = rng.standard_normal(n) - rng.standard_normal(n)
-                p_t = t_tail(d.mean() / (d.std(ddof=1) / np.sqrt(n)), n - 1)
-                r = np.argsort(np.argsort(np.abs(d))) + 1
-                w = r[d > 0].sum()
-                z = max(0.0, abs(w - n * (n + 1) / 4) - 0.5) / np.sqrt(n * (n + 1) * (2 * n + 1) / 24)
-                p_w = exact_signed_rank(d.tolist()) if n <= 20 else 2 * (1 - normal_cdf(z))
-                only_a, only_b = rng.multinomial(5 * n, [0.2, 0.2, 0.6])[:2]
-                p_d = 2 * (1 - normal_cdf(abs(only_a - only_b) / np.sqrt(max(1, only_a + only_b))))
-                out += [("paired_t", p_t < alpha), ("signed_rank", p_w < alpha), ("discordant", p_d < alpha)]
-            yield pd.DataFrame({"test": [t for t, _ in out], "rejected": [float(x) for _, x in out]})
-
-    return spark.range(0, comparisons, 1, 2 * spark.sparkContext.defaultParallelism).mapInPandas(run, "test string, rejected double").groupBy("test").agg(F.avg("rejected").alias("rate"), F.count("*").alias("comparisons"))
+    The comparisons are groups of pairs, and the tests are those of ``significance``, by group.
+    """
+    grid = spark.range(0, comparisons, 1, 2 * spark.sparkContext.defaultParallelism)
+
+    def pairs(draw: Callable[[np.random.Generator], tuple[np.ndarray, np.ndarray]], stream: int) -> DataFrame:
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                for i in b["id"]:
+                    x, y = draw(np.random.default_rng([seed, stream, int(i)]))
+                    yield pd.DataFrame({"comparison": np.full(len(x), i), "a": x, "b": y})
+
+        return grid.mapInPandas(run, "comparison long, a double, b double")
+
+    def answers(rng: np.random.Generator) -> tuple[np.ndarray, np.ndarray]:
+        u = rng.random(5 * n)
+        return (u < 0.2).astype(float), ((u >= 0.2) & (u < 0.4)).astype(float)
+
+    values, by = pairs(lambda rng: (rng.standard_normal(n), rng.standard_normal(n)), 0), ["comparison"]
+    found = {"paired_t": significance.paired_t(values, by), "signed_rank": significance.signed_rank(values, by=by), "discordant": significance.discordant(pairs(answers, 1), by=by)}
+    seen = functools.reduce(DataFrame.unionByName, (r.select(F.lit(test).alias("test"), (F.col("p_value") < alpha).cast("double").alias("rejected")) for test, r in found.items()))
+    return seen.groupBy("test").agg(F.avg("rejected").alias("rate"), F.count("*").alias("comparisons"))

@@ -263,7 +263,7 @@ def sequential_speedup(spark, d):
     return measures.speedup(measures.throughput(_scaled(spark, d, 8, rows)), measures.throughput(_scaled(spark, d, 1, rows, slots=1)))
 
 
-SIZES = "(VALUES (1000), (10000), (50000)) AS s(size)"
+SIZES = "(VALUES (1000), (10000), (50000), (100000)) AS s(size)"
 
 
 @query(f"""WITH u AS (SELECT row_number() OVER (ORDER BY o_orderkey) AS i, 250 + 110 * -ln(1 - {U("'latency model-a:' || o_orderkey")} * 0.999::DOUBLE) AS latency_ms FROM orders)
@@ -271,7 +271,7 @@ SELECT CAST(size AS INTEGER) AS size, count(*) AS calls, round(quantile_cont(lat
 def latency_by_size(spark, d):
     keys = tables.table(spark, d, "orders").select("o_orderkey")
     index = significance.ranks(keys.withColumn("t", F.lit(1)), "o_orderkey", "t").select("o_orderkey", F.col("rank").cast("long").alias("i"))
-    sizes = spark.createDataFrame([(1000,), (10_000,), (50_000,)], "size int")
+    sizes = spark.createDataFrame([(1000,), (10_000,), (50_000,), (100_000,)], "size int")
     log = index.withColumn("latency_ms", simulated.latency_ms("model-a", F.col("o_orderkey"))).join(F.broadcast(sizes), F.col("i") <= F.col("size"))
     return rounded(measures.latency(log, by=["size"]).select("size", "calls", "p50", "p99"), 3)
 
@@ -347,7 +347,7 @@ def embedding_cosine(spark, d):
 
 
 QA = f"""qa AS (SELECT CAST(item_id AS VARCHAR) AS example_id, item_id, array_to_string(string_split(text, ' ')[1:8], ' ') AS question, array_to_string(string_split(text, ' ')[9:], ' ') AS reference FROM benchmark)"""
-ROW = lambda t: f"CAST(CAST(('0x' || substr(sha256({t}), 1, 8)) AS UBIGINT) % 500 AS BIGINT)"
+ROW = lambda t: f"CAST(CAST(('0x' || substr(sha256({t}), 1, 8)) AS UBIGINT) % (SELECT count(*) FROM embeddings) AS BIGINT)"
 
 
 @query(f"""WITH {QA}, s AS (SELECT *, {said(*MODELS[0])} AS response FROM qa),
@@ -358,8 +358,10 @@ pr AS (SELECT example_id, sum(ka * c) / sum(ka) AS precision FROM (SELECT exampl
 re AS (SELECT example_id, sum(kb * c) / sum(kb) AS recall FROM (SELECT example_id, b, kb, max(c) AS c FROM p GROUP BY 1, 2, 3) GROUP BY 1)
 SELECT example_id, round(precision, 5) AS precision, round(recall, 5) AS recall, round(2 * precision * recall / (precision + recall), 5) AS f1 FROM pr JOIN re USING (example_id)""")
 def greedy_token_match(spark, d):
+    """Examples with a token on either side, over the whole vector table."""
     qa = tables.factqa(spark, d).withColumn("response", simulated.respond(*MODELS[0], F.col("example_id"), F.col("reference")))
-    return rounded(semantic.greedy_match(qa, "example_id", lexical.tokens(F.col("response")), lexical.tokens(F.col("reference")), tables.table(spark, d, "embeddings"), 500), 5)
+    said = qa.select("example_id", lexical.tokens(F.col("response")).alias("a"), lexical.tokens(F.col("reference")).alias("b")).where("size(a) > 0 AND size(b) > 0")
+    return rounded(said.select("example_id", semantic.token_match_parts(F.col("a"), F.col("b"), f"{d}/embeddings.parquet").alias("m")).select("example_id", "m.*"), 5)
 
 
 @query(f"""WITH {QA}, q AS (SELECT example_id, {ROW('t')} AS v, count(*) AS k FROM (SELECT example_id, unnest({TOK('question')}) AS t FROM qa) GROUP BY 1, 2), r AS (SELECT example_id, {ROW('t')} AS v, count(*) AS k FROM (SELECT example_id, unnest({TOK('reference')}) AS t FROM qa) GROUP BY 1, 2),
@@ -367,8 +369,9 @@ i AS (SELECT unnest(range(1, 65)) AS i), qv AS (SELECT example_id, i, sum(k * em
 SELECT example_id, round(sum(x * y) / (sqrt(sum(x * x)) * sqrt(sum(y * y))), 6) AS relevance FROM qv JOIN rv USING (example_id, i) GROUP BY 1""")
 def answer_relevance(spark, d):
     qa, vectors = tables.factqa(spark, d), tables.table(spark, d, "embeddings")
-    q = semantic.hashed_sentences(qa, "example_id", lexical.tokens(F.col("question")), vectors, 500)
-    r = semantic.hashed_sentences(qa, "example_id", lexical.tokens(F.col("reference")), vectors, 500).withColumnRenamed("vector", "other")
+    rows = vectors.count()
+    q = semantic.hashed_sentences(qa, "example_id", lexical.tokens(F.col("question")), vectors, rows)
+    r = semantic.hashed_sentences(qa, "example_id", lexical.tokens(F.col("reference")), vectors, rows).withColumnRenamed("vector", "other")
     return rounded(q.join(r, "example_id").select("example_id", semantic.cosine(F.col("vector"), F.col("other")).alias("relevance")))
 
 
@@ -496,7 +499,7 @@ def wald_interval(spark, d):
     return rounded(intervals.proportion(tables.labelpair(spark, d), "a", intervals.wald))
 
 
-B = 200
+B = 1000
 DRAWS = f"""v AS MATERIALIZED (SELECT row_number() OVER (ORDER BY doc_id) - 1 AS i, a::DOUBLE AS v FROM labelpair), n AS (SELECT count(*) AS n FROM v), r AS MATERIALIZED (SELECT b AS replicate, CAST(floor({U("'42:' || b || ':' || j")} * n) AS BIGINT) AS i FROM range(0, {B}) AS x(b), n, LATERAL (SELECT unnest(range(0, n)) AS j)),
 est AS MATERIALIZED (SELECT replicate, avg(v) AS estimate FROM r JOIN v USING (i) GROUP BY 1)"""
 
@@ -541,7 +544,7 @@ def bootstrap_engines(spark, d):
     """The three engines that scale, on one column."""
     rows, out = tables.bulkpair(spark, d), None
     for engine in ("histogram", "split", "poisson"):
-        r = intervals.percentile(rows, "a", 200, engine=engine).withColumn("engine", F.lit(engine))
+        r = intervals.percentile(rows, "a", B, engine=engine).withColumn("engine", F.lit(engine))
         out = r if out is None else out.unionByName(r)
     return out
 
@@ -583,11 +586,10 @@ def discordant_chi2(spark, d):
     return rounded(significance.discordant(tables.labelpair(spark, d), exact_below=0).select("only_a", "only_b", "statistic", "p_value"))
 
 
-@query(f"WITH {LABELPAIR}, few AS (SELECT * FROM labelpair WHERE doc_id % 10 = 0 OR a = b), t AS (SELECT count(*) FILTER (a = 1 AND b = 0) AS only_a, count(*) FILTER (a = 0 AND b = 1) AS only_b FROM few) SELECT only_a, only_b, round(CASE WHEN only_a + only_b = 0 THEN 1 ELSE least(1, 2 * list_sum(list_transform(range(0, least(only_a, only_b) + 1), lambda k: factorial((only_a + only_b)::INT)::DOUBLE / (factorial(k::INT)::DOUBLE * factorial((only_a + only_b - k)::INT)::DOUBLE))) / pow(2, only_a + only_b)) END, 6) AS p_value FROM t")
+@query(f"WITH {LABELPAIR}, {TWO} SELECT only_a, only_b, round(least(1, 2 * list_sum(list_transform(range(0, least(only_a, only_b) + 1), lambda k: exp(lgamma(only_a + only_b + 1) - lgamma(k + 1) - lgamma(only_a + only_b - k + 1) - (only_a + only_b) * ln(2))))), 6) AS p_value FROM two")
 def discordant_exact(spark, d):
-    """Pairs thinned until the exact branch applies."""
-    few = tables.labelpair(spark, d).where("doc_id % 10 = 0 OR a = b")
-    return rounded(significance.discordant(few, exact_below=20).select("only_a", "only_b", "p_value"))
+    """The exact branch at every size."""
+    return rounded(significance.discordant(tables.labelpair(spark, d), exact_below=None).select("only_a", "only_b", "p_value"))
 
 
 @query(f"""WITH d AS (SELECT round(l_discount - l_tax, 9) AS d FROM lineitem), c AS (SELECT abs(d) AS m, count(*) FILTER (d > 0) AS up, count(*) AS t FROM d WHERE d <> 0 GROUP BY 1), r AS (SELECT *, sum(t) OVER (ORDER BY m) - (t - 1) / 2.0::DOUBLE AS rank FROM c),

@@ -161,6 +161,45 @@ def test_discordant_branches(spark):
         assert r.branch == ("exact" if n < 10 else "chi2") and r.p_value == pytest.approx(want, abs=1e-6)
 
 
+def test_discordant_exact_at_every_size(spark):
+    for b, c in ((0, 0), (0, 1), (4, 5), (700, 760), (3000, 1)):
+        df = spark.createDataFrame([(1, 0)] * b + [(0, 1)] * c + [(1, 1)], "a int, b int")
+        n, k = b + c, min(b, c)
+        tail, point = sum(math.comb(n, i) for i in range(k + 1)), math.comb(n, k)
+        r, m = (significance.discordant(df, exact_below=None, mid_p=mid).first() for mid in (False, True))
+        assert r.branch == "exact" and r.p_value == pytest.approx(min(1.0, 2 * tail / 2**n), abs=1e-9)
+        assert m.p_value == pytest.approx(min(1.0, (2 * tail - point) / 2**n), abs=1e-9)
+
+
+def test_tests_by_group_equal_tests_of_each_group(spark):
+    rng = np.random.default_rng(3)
+    rows = [(g, float(x), float(y)) for g in range(4) for x, y in np.round(rng.normal(0.1 * g, 1, (40, 2)), 1)]
+    df = spark.createDataFrame(rows, "g int, a double, b double")
+    for test in (significance.paired_t, significance.signed_rank, significance.discordant):
+        grouped = {r.g: r.p_value for r in test(df, by=["g"]).collect()}
+        assert grouped == pytest.approx({g: test(df.where(F.col("g") == g)).first().p_value for g in range(4)}, abs=1e-9)
+
+
+def test_normality_sample_does_not_depend_on_partitions(spark):
+    df = spark.range(9000).select(F.when(F.col("id") % 3 == 0, 0.5).otherwise(F.sin("id")).alias("v"))
+    one, many = (significance.normality(df.repartition(k, F.rand(k)), "v", 500).first() for k in (1, 13))
+    assert one == many and one.n == 500
+
+
+def test_lane_folds_do_not_depend_on_batches(spark):
+    calls = spark.range(3000).select((F.col("id") % 3).cast("int").alias("lane"), F.col("id").alias("call_id"), (F.col("id") / 50).alias("arrival_s"), (F.col("id") % 90 + 1).alias("tokens"), F.lit(0.4).alias("latency_s"))
+    got = {r.call_id: (r.start_s, r.end_s) for r in throttle.simulate_fold(calls, 900.0, 40_000.0, 3, 5).collect()}
+    pdf = calls.toPandas()
+    for _, lane in pdf.groupby("lane"):
+        start, end = throttle.admissions(lane["arrival_s"].to_numpy(), lane["tokens"].to_numpy(), lane["latency_s"].to_numpy(), 300.0, 40_000 / 3, 5)
+        assert [got[k] for k in lane["call_id"]] == list(zip(start, end, strict=True))
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 7)
+    try:
+        assert got == {r.call_id: (r.start_s, r.end_s) for r in throttle.simulate_fold(calls, 900.0, 40_000.0, 3, 5).collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
 def test_signed_rank_exact_by_enumeration():
     d = [1.5, -0.4, 2.0, 3.1, -0.9, 4.2, 0.3]
     ranks = np.argsort(np.argsort(np.abs(d))) + 1

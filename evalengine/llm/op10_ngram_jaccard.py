@@ -16,7 +16,8 @@ default of 20 bands of 4 rows gives 0.99997 at 0.8 (``recall``).
 
 Defined cases: null text is the empty text; texts of fewer words than ``width`` have one shingle of all of
 them, so that all texts without words are equal; a row with a null id links with nothing; rows that repeat
-an id share its class; an empty table gives an empty result; extra columns are ignored.
+an id share its class, and where their texts differ each text keeps its links and the id's counts are their sums
+(``_each_text``; near texts of one id count as linked there, but an id near itself only has no link); an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -162,7 +163,9 @@ def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 2
     texts linked) and ``kept`` (doc_id = class_id)."""
     near = components(candidates(docs, bands, rows, width))
     ids = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.sha2(whole_text().cast("binary"), 256).alias("digest"))
-    members = checkpointed(ids.join(near, ids["doc_id"] == near["id"]).select("doc_id", "component", "digest").groupBy("doc_id", "component").agg(F.min("digest").alias("digest")))
+    members = checkpointed(ids.join(near, ids["doc_id"] == near["id"]).select("doc_id", "component", "digest").groupBy("doc_id", "component").agg(F.min("digest").alias("digest"), (F.min("digest") != F.max("digest")).alias("mixed")))
+    if not members.where("mixed").isEmpty():
+        return _each_text(docs, threshold, width, bands, rows, block)
     texts = members.groupBy("component", "digest").agg(F.min("doc_id").alias("id"), F.count("*").alias("copies"))
     counted = texts.groupBy("component").agg(F.count("*").alias("n")).where("n > 1").withColumn("blocks", F.ceil(F.col("n") / block).cast("int"))
     placed = texts.join(counted, "component").select("id", "component", "copies", "blocks", block_of("id", F.col("blocks")).alias("block"))
@@ -190,5 +193,25 @@ def join(docs: DataFrame, threshold: float = 0.8, width: int = 5, bands: int = 2
     )
 
 
+def _each_text(docs: DataFrame, *how) -> DataFrame:
+    """``join`` where an id has near rows of different texts: its different texts are joined under row numbers, and
+    their classes become one."""
+    whole = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
+    own = whole.where("doc_id IS NOT NULL").withColumn("digest", F.sha2(F.col("text").cast("binary"), 256)).dropDuplicates(["doc_id", "digest"])
+    numbered = checkpointed(own.select("doc_id", "text", F.monotonically_increasing_id().alias("row")))
+    found = join(numbered.select(F.col("row").alias("doc_id"), "text"), *how).withColumnsRenamed({"doc_id": "row", "class_id": "class"}).drop("kept")
+    per = checkpointed(numbered.select("doc_id", "row").join(found, "row"))
+    lowest = per.groupBy("doc_id").agg(F.min("class").alias("low"))
+    merged = components(per.join(lowest, "doc_id").select(F.col("class").alias("a"), F.col("low").alias("b")))
+    top = per.join(merged, per["class"] == merged["id"], "left").withColumn("top", F.coalesce("component", "class"))
+    names = top.groupBy("top").agg(F.min("doc_id").alias("class_id"))
+    same = per.groupBy("text_id").agg(F.min("doc_id").alias("same_id"))
+    of_doc = top.join(names, "top").join(same, "text_id").groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.min("same_id").alias("text_id"), F.sum("n_links").alias("n_links"), F.sum("n_text_links").alias("n_text_links"))
+    return whole.select("doc_id").join(of_doc, "doc_id", "left").select(
+        "doc_id", "class_id", "text_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), F.coalesce("n_text_links", F.lit(0)).alias("n_text_links"),
+        F.coalesce(F.col("class_id") == F.col("doc_id"), F.lit(True)).alias("kept"),
+    )
+
+
 def op10_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return join(table(spark, sf_dir, "documents"))

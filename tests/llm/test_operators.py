@@ -606,3 +606,13 @@ def test_op10_equals_brute_force(spark, texts, docs, odd, empty):
         assert (r.n_links, r.class_id, r.kept) == (n[r.doc_id], root(r.doc_id), root(r.doc_id) == r.doc_id)
     assert op10_ngram_jaccard.join(odd).count() == len(ODD) and op10_ngram_jaccard.join(empty).count() == 0
     assert op10_ngram_jaccard.recall(0.8, 20, 4) > 0.9999
+
+
+def test_op10_repeated_ids_keep_the_links_of_each_text(spark):
+    rng = np.random.default_rng(11)
+    a, b, c, d = (" ".join("".join(rng.choice(list("abcdefgh"), 6)) for _ in range(60)) for _ in range(4))
+    rows = [(1, a), (2, a + " end"), (2, b), (2, b), (3, b + " end"), (4, c), (5, c), (6, d), (7, d + " end"), (2, None), (None, a)]
+    got = op10_ngram_jaccard.join(spark.createDataFrame(rows, "doc_id long, text string").repartition(5)).collect()
+    assert len(got) == len(rows)
+    seen = {(r.doc_id, r.class_id, r.n_links, r.kept) for r in got}
+    assert seen == {(1, 1, 1, True), (2, 1, 2, False), (3, 1, 1, False), (4, 4, 1, True), (5, 4, 1, False), (6, 6, 1, True), (7, 6, 1, False), (None, None, 0, True)}

@@ -469,3 +469,39 @@ def test_stream_restart_takes_up_its_state_and_drops_late_rows(spark, tmp_path):
     run()
     put("b", [(0, 40), (2, 30), (5, 0)])
     assert run() == {0: 2, 2: 2}
+
+
+# Nearest vectors.
+
+
+def _nearest_pair_by_pair(e, k):
+    from pyspark.sql import Window
+
+    from evalengine.functions import semantic
+
+    pairs = e.where("id % 20 = 0").select(F.col("id").alias("query_id"), F.col("vector").alias("q"), F.col("label").alias("q_label")).join(e, F.col("query_id") != F.col("id"))
+    seen = pairs.select("query_id", F.col("id").alias("cand_id"), (F.col("label") == F.col("q_label")).alias("relevant"), F.round(semantic.cosine(F.col("q"), F.col("vector")), 9).alias("cosine"))
+    return seen.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("cosine"), "cand_id"))).where(F.col("rank") <= k)
+
+
+def test_nearest_equals_all_pairs_on_odd_vectors(spark, monkeypatch):
+    from evalengine.operators import neighbours
+
+    monkeypatch.setattr(neighbours, "ROWS", 16)
+    monkeypatch.setattr(neighbours, "QUERIES", 2)
+    rng = np.random.default_rng(3)
+    rows = [(i, [float(x) for x in rng.standard_normal(8).astype(np.float32)], i % 3) for i in range(120)]
+    rows[40:70] = [(i, rows[40][1], 1) for i in range(40, 70)]
+    rows += [(120, None, 1), (121, [0.0] * 8, 2), (122, [1.0, None, *[0.5] * 6], 0), (123, [math.nan] * 8, 1), (124, [1.0, 2.0], 0), (140, [3.0, 1.0], None), (160, [0.0] * 8, 0), (180, [], 1), (200, [math.inf] + [1.0] * 7, 1), (None, [1.0] * 8, 1)]
+    e = spark.createDataFrame(rows, "id long, vector array<float>, label int")
+    read = lambda df: sorted(map(repr, ((r.query_id, r["rank"], r.cand_id, r.relevant, r.cosine) for r in df.collect())))
+    assert read(neighbours.nearest(e.where("id % 20 = 0"), e)) == read(_nearest_pair_by_pair(e, 10))
+
+
+@pytest.mark.parametrize("name", ["context_precision"])
+def test_contexts_are_found_by_blocks(spark, small, name):
+    """The plan makes no row for a pair of vectors."""
+    from evalengine.plans.catalogue import QUERIES
+
+    plan = QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
+    assert "zip_with" not in plan and "MapInArrow" in plan

@@ -498,7 +498,7 @@ def test_nearest_equals_all_pairs_on_odd_vectors(spark, monkeypatch):
     assert read(neighbours.nearest(e.where("id % 20 = 0"), e)) == read(_nearest_pair_by_pair(e, 10))
 
 
-@pytest.mark.parametrize("name", ["context_precision", "context_recall"])
+@pytest.mark.parametrize("name", ["context_precision", "context_recall", "context_relevance_mean"])
 def test_contexts_are_found_by_blocks(spark, small, name):
     """The plan makes no row for a pair of vectors."""
     from evalengine.plans.catalogue import QUERIES

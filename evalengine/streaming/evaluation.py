@@ -52,11 +52,18 @@ def running_interval(stream: DataFrame, value: str, by: list[str] | None = None,
 
 
 def to_end(result: DataFrame, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
-    """Run a query over all input there is, and give what it wrote to a memory table."""
+    """Run a query over all input there is, and give what it wrote: rows that are appended go from the tasks to a table in the
+    shared folder, whatever their number; what a later batch may change goes to a memory table."""
+    spark = result.sparkSession
+    q = result.writeStream.outputMode(mode).option("checkpointLocation", checkpoint or shared_folder(spark, "stream")).trigger(availableNow=True)
+    if mode == "append":
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(shared_folder(spark, "streamed"))
+        store = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        q.format("parquet").option("path", path.toString()).start().awaitTermination()
+        return spark.read.schema(result.schema).parquet(path.toString()) if store.exists(path) else spark.createDataFrame([], result.schema)
     name = f"stream_{uuid.uuid4().hex}"
-    q = result.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint or shared_folder(result.sparkSession, "stream")).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return result.sparkSession.table(name)
+    q.format("memory").queryName(name).start().awaitTermination()
+    return spark.table(name)
 
 
 def each_batch(stream: DataFrame, evaluate: Callable[[DataFrame, int], None], checkpoint: str):

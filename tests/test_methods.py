@@ -505,3 +505,18 @@ def test_contexts_are_found_by_blocks(spark, small, name):
 
     plan = QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "zip_with" not in plan and "MapInArrow" in plan
+
+
+# Streams that append.
+
+
+def test_appended_rows_stay_off_the_driver(spark, small, tmp_path):
+    from evalengine.plans.workloads import stream_static_join
+    from evalengine.streaming import evaluation as streaming
+
+    out = stream_static_join(spark, small)
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert "FileScan parquet" in plan and "LocalTableScan" not in plan and out.count() > 0
+    (tmp_path / "in").mkdir()
+    none = streaming.to_end(spark.readStream.schema("a int, b string").parquet(f"file://{tmp_path}/in"), "append")
+    assert none.columns == ["a", "b"] and none.count() == 0

@@ -52,7 +52,10 @@ END = byte_hashes(pa.array(["\0end of text"]))[0]
 FLOOR, GRAIN = -20.0, 20.0 / 65535
 HELD_BYTES, HELD_FILES = 256_000_000, 1024
 SLICES = "docs binary, lost binary, held binary, starts binary, codes binary, words binary, seen binary, tokens long, learned long"
-ONES = np.uint64(0xFFFFFFFFFFFFFFFF)
+ONES, BYTES, HIGH = np.uint64(0xFFFFFFFFFFFFFFFF), np.uint64(0x0101010101010101), np.uint64(0x8080808080808080)
+U = [np.uint64(i) for i in range(33)]
+#: Of a byte b and r: where its r-th one stands, at 8 b + r.
+IN_BYTE = np.array([([i for i in range(8) if b >> i & 1] + [0] * 8)[:8] for b in range(256)], np.int64).ravel()
 
 
 # Files.
@@ -102,7 +105,7 @@ def load(folder: str, name: str) -> dict[str, np.ndarray]:
         return _OPEN[key][0]
     local, fetched = _local(folder), 0
     if local is not None:
-        raw = np.memmap(f"{local}/{name}", np.uint8, "r")
+        raw = np.asarray(np.memmap(f"{local}/{name}", np.uint8, "r"))
     else:
         from pyarrow import fs
 
@@ -156,7 +159,7 @@ class EliasFano:
         return self.n
 
     def _select(self, r: np.ndarray, one: bool) -> np.ndarray:
-        """Where the r-th one (or zero) of the upper bits stands."""
+        """Where the r-th one (or zero) of the upper bits stands: by the counts of 512 bits, then words, bytes and a table."""
         if one:
             before = self.ones
         else:
@@ -164,33 +167,67 @@ class EliasFano:
                 self.zeros = np.arange(len(self.ones), dtype=np.int64) * 512 - self.ones.astype(np.int64)
             before = self.zeros
         block = np.searchsorted(before, r.astype(before.dtype), side="right") - 1
-        r = r - before[block].astype(np.int64)
-        words = self.unary[(block * 8)[:, None] + np.arange(8)]
+        r = r - before.take(block).astype(np.int64)
+        words = self.unary.take((block * 8)[None, :] + np.arange(8)[:, None])
         if not one:
             words = words ^ ONES
-        counts = np.cumsum(np.bitwise_count(words), axis=1, dtype=np.int64)
-        k = (counts <= r[:, None]).sum(axis=1)
-        i = np.arange(len(r))
-        r = r - np.where(k > 0, counts[i, np.maximum(k - 1, 0)], 0)
-        word, at = words[i, k], block * 512 + k * 64
-        for step in (32, 16, 8, 4, 2, 1):
-            c = np.bitwise_count(word & np.uint64((1 << step) - 1)).astype(np.int64)
-            go = r >= c
-            r = r - c * go
-            word = word >> (go * np.uint64(step)).astype(np.uint64)
-            at = at + go * step
-        return at
+        counts = np.cumsum(np.bitwise_count(words), axis=0, dtype=np.int16)
+        k = (counts <= r.astype(np.int16)).sum(axis=0, dtype=np.int64)
+        flat = k * len(r) + np.arange(len(r))
+        r = (r - np.where(k > 0, counts.ravel().take(np.maximum(flat - len(r), 0)), 0)).astype(np.uint64)
+        word = words.ravel().take(flat)
+        s = word - (word >> U[1] & np.uint64(0x5555555555555555))
+        s = (s & np.uint64(0x3333333333333333)) + (s >> U[2] & np.uint64(0x3333333333333333))
+        s = (s + (s >> U[4]) & np.uint64(0x0F0F0F0F0F0F0F0F)) * BYTES  # in byte i: the ones up to it
+        shift = np.bitwise_count((r * BYTES | HIGH) - s & HIGH).astype(np.uint64) << U[3]
+        r = r - ((s << U[8]) >> shift & np.uint64(255))
+        at = IN_BYTE.take(((word >> shift & np.uint64(255)) << U[3] | r).astype(np.int64))
+        return block * 512 + k * 64 + shift.astype(np.int64) + at
+
+    def _after(self, at: np.ndarray, r: np.ndarray) -> np.ndarray:
+        """Where the one after the one at ``at``, which is number r, stands."""
+        start = at + 1
+        i, off = start >> 6, (start & 63).astype(np.uint64)
+        w = self.unary.take(i, mode="clip") >> off | self.unary.take(i + 1, mode="clip") << U[1] << np.uint64(63) - off
+        out = start + np.bitwise_count((w & (~w + U[1])) - U[1])
+        far = np.flatnonzero((w == 0) | (i + 1 >= len(self.unary)))
+        if len(far):
+            out[far] = self._select(r[far] + 1, True)
+        return out
+
+    def _run_before(self, at: np.ndarray, zero: np.ndarray) -> np.ndarray:
+        """How many ones stand right before the zero at ``at``, which is number ``zero``."""
+        i, off = at >> 6, (at & 63).astype(np.uint64)
+        below = np.where(i > 0, self.unary.take(np.maximum(i - 1, 0)), U[0]) >> off
+        y = ~(self.unary.take(i) << U[1] << np.uint64(63) - off | below)
+        # off 0 shifts a word out by 64 in two steps.
+        far = np.flatnonzero(y == 0)
+        for step in (1, 2, 4, 8, 16, 32):
+            y |= y >> U[step]
+        out = 64 - np.bitwise_count(y).astype(np.int64)
+        if len(far):
+            out[far] = at[far] - np.where(zero[far] > 0, self._select(np.maximum(zero[far] - 1, 0), False) + 1, 0)
+        return out
 
     def _low(self, i: np.ndarray) -> np.ndarray:
         if not self.bits:
             return np.zeros(len(i), np.uint64)
-        bit = i.astype(np.int64) * self.bits
+        bit = i * self.bits
         word, off = bit >> 6, (bit & 63).astype(np.uint64)
-        return (self.packed[word] >> off | np.where(off > 0, self.packed[word + 1] << (np.uint64(64) - np.maximum(off, np.uint64(1))), np.uint64(0))) & self.mask
+        return (self.packed.take(word) >> off | self.packed.take(word + 1) << U[1] << np.uint64(63) - off) & self.mask
+
+    def _value(self, i: np.ndarray, at: np.ndarray) -> np.ndarray:
+        return (at - i).astype(np.uint64) << np.uint64(self.bits) | self._low(i)
 
     def at(self, i: np.ndarray) -> np.ndarray:
         i = i.astype(np.int64)
-        return (self._select(i, True) - i).astype(np.uint64) << np.uint64(self.bits) | self._low(i)
+        return self._value(i, self._select(i, True))
+
+    def range(self, i: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The values at i and at i + 1."""
+        i = i.astype(np.int64)
+        at = self._select(i, True)
+        return self._value(i, at), self._value(i + 1, self._after(at, i))
 
     def find(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(index of the first value >= q, or the last index where there is none; whether q is there)."""
@@ -201,13 +238,16 @@ class EliasFano:
         beyond = upper > int(self.ones.shape[0] - 1) * 512 - self.n - 1
         upper = np.where(beyond, 0, upper)
         ends = self._select(upper, False)
-        begins = np.where(upper > 0, self._select(np.maximum(upper - 1, 0), False) + 1, 0)
-        lo, hi = begins - upper, ends - upper
-        stop = hi
-        while (open_ := lo < hi).any():
-            mid = (lo + hi) >> 1
-            less = self._low(np.minimum(mid, self.n - 1)) < want
-            lo, hi = np.where(open_ & less, mid + 1, lo), np.where(open_ & ~less, mid, hi)
+        stop = ends - upper
+        lo, hi = stop - self._run_before(ends, upper), stop.copy()
+        rows = np.flatnonzero(lo < hi)
+        while len(rows):
+            a, b = lo[rows], hi[rows]
+            mid = (a + b) >> 1
+            less = self._low(mid) < want[rows]
+            a, b = np.where(less, mid + 1, a), np.where(less, b, mid)
+            lo[rows], hi[rows] = a, b
+            rows = rows[a < b]
         safe = np.minimum(lo, self.n - 1)
         hit = ~beyond & (lo < stop) & (self._low(safe) == want)
         return np.where(beyond, self.n - 1, safe), hit
@@ -222,16 +262,16 @@ def restored(q: np.ndarray) -> np.ndarray:
     return 10.0 ** (q.astype(np.float64) * GRAIN + FLOOR)
 
 
-def paired(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct pairs (a, b >= -1) in order: their parts, first places, and the pair of each place."""
+def paired(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct pairs (a, b >= -1) in order: their parts, and the pair of each place."""
     if not len(a):
         none = np.zeros(0, np.int64)
-        return none, none, none, none
+        return none, none, none
     if max(int(a.max()), int(b.max()) + 1) < 1 << 31:
-        key, at, where = np.unique((a.astype(np.int64) << 32) | (b + 1).astype(np.int64), return_index=True, return_inverse=True)
-        return key >> 32, (key & 0xFFFFFFFF) - 1, at, where
-    key, at, where = np.unique(np.column_stack((a, b)).astype(np.int64), axis=0, return_index=True, return_inverse=True)
-    return key[:, 0], key[:, 1], at, where.reshape(-1)
+        key, where = np.unique((a.astype(np.int64) << 32) | (b + 1).astype(np.int64), return_inverse=True)
+        return key >> 32, (key & 0xFFFFFFFF) - 1, where
+    key, where = np.unique(np.column_stack((a, b)).astype(np.int64), axis=0, return_inverse=True)
+    return key[:, 0], key[:, 1], where.reshape(-1)
 
 
 # Runs of numbers.
@@ -354,14 +394,18 @@ class Trie:
         for s, rows in self.parts(shard):
             held = load(self.folder, f"grams-{s}")
             contexts, begin, second_ids = (EliasFano(held, x) for x in ("contexts", "begin", "second"))
-            r, there = contexts.find(first[rows])
-            rows, r = rows[there], r[there]
-            if not len(rows):
+            # Pairs of one first word come in a row: its context is looked up once.
+            own, of = _in_a_row(first[rows])
+            r, there = contexts.find(first[rows[own]])
+            own_back = np.ones(len(own))
+            own_back[there] = restored(held["back2"][r[there]])
+            back[rows] = own_back[of]
+            at = np.flatnonzero(there[of])
+            if not len(at):
                 continue
-            back[rows] = restored(held["back2"][r])
-            i, hit = _child(begin, second_ids, r, second[rows])
-            place[rows] = np.where(hit, i, -1)
-            prob[rows] = np.where(hit, restored(held["prob2"][i]), 0)
+            i, hit = _child(begin, second_ids, r[there], (np.cumsum(there) - 1)[of[at]], second[rows[at]])
+            place[rows[at]] = np.where(hit, i, -1)
+            prob[rows[at]] = np.where(hit, restored(held["prob2"][i]), 0)
         for word, (_, count, followers) in self.hot.items():
             back[first == word] = max(DISCOUNT * followers / max(count, 1), 1e-9)
         return shard, place, prob, back
@@ -371,8 +415,9 @@ class Trie:
         prob, back = np.zeros(len(place)), np.ones(len(place))
         for s, rows in self.parts(shard):
             held = load(self.folder, f"grams-{s}")
-            i, hit = _child(EliasFano(held, "follow"), EliasFano(held, "third"), place[rows], third[rows])
-            back[rows] = restored(held["back3"][place[rows]])
+            own, of = _in_a_row(place[rows])
+            i, hit = _child(EliasFano(held, "follow"), EliasFano(held, "third"), place[rows[own]], of, third[rows])
+            back[rows] = restored(held["back3"][place[rows[own]]])[of]
             if len(held["prob3"]):
                 prob[rows] = np.where(hit, restored(held["prob3"][i]), 0)
         return prob, back
@@ -382,14 +427,20 @@ class Trie:
         return np.where(counts > 0, counts / max(self.tokens, 1) * (1 - new), new)
 
 
-def _child(begin: EliasFano, values: EliasFano, r: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(place of ``word`` among the children of range r, whether it is there)."""
+def _in_a_row(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(where each run of equal values begins, the run of each place)."""
+    fresh = np.concatenate(([True], values[1:] != values[:-1]))[: len(values)]
+    return np.flatnonzero(fresh), np.cumsum(fresh) - 1
+
+
+def _child(begin: EliasFano, values: EliasFano, r: np.ndarray, of: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(place of each ``word`` among the children of its range r[of], whether it is there)."""
     if not len(values):
-        return np.zeros(len(r), np.int64), np.zeros(len(r), bool)
-    b, e = begin.at(r).astype(np.int64), begin.at(r + 1).astype(np.int64)
+        return np.zeros(len(of), np.int64), np.zeros(len(of), bool)
+    b, e = (x.astype(np.int64) for x in begin.range(r))
     before = np.where(b > 0, values.at(np.maximum(b - 1, 0)).astype(np.int64) + 1, 0)
-    i, hit = values.find(before + np.maximum(word, 0))
-    return i, hit & (word >= 0) & (i >= b) & (i < e)
+    i, hit = values.find(before[of] + np.maximum(word, 0))
+    return i, hit & (word >= 0) & (i >= b[of]) & (i < e[of])
 
 
 def _ranges(begin: np.ndarray, words: np.ndarray) -> np.ndarray:
@@ -475,11 +526,15 @@ def _gram_runs(trie: Trie):
         use = np.flatnonzero(np.repeat(held == 0, np.diff(starts)) & ~last[:-2])
         for k in range(0, len(use), WINDOW):
             at = use[k : k + WINDOW]
-            local, where = np.unique(codes[np.concatenate((at, at + 1, np.minimum(at + 2, len(codes) - 1)))], return_inverse=True)
+            within = (codes[at], codes[at + 1], codes[np.minimum(at + 2, len(codes) - 1)])
+            here = np.zeros(len(words), bool)
+            for x in within:
+                here[x] = True
+            local = np.flatnonzero(here)
             order = np.argsort(ids[local], kind="stable")
-            rank = np.empty(len(local), np.int64)
-            rank[order] = np.arange(len(local))
-            a, b, c = (rank[x] for x in where.reshape(3, -1))
+            rank = np.empty(len(words), np.int64)
+            rank[local[order]] = np.arange(len(local))
+            a, b, c = (rank[x] for x in within)
             c = np.where(last[at + 1], 0, c + 1)
             bits = len(local).bit_length()
             key, times = np.unique(a << 2 * bits | b << bits | c, return_counts=True)
@@ -492,9 +547,9 @@ def _gram_runs(trie: Trie):
 
 def _level(first: np.ndarray, second: np.ndarray, third: np.ndarray, times: np.ndarray, trie: Trie) -> tuple[dict[str, np.ndarray], int, list[int], list[int]]:
     """Arrays of a shard from its n-grams and counts; third -1: no third word. And the followers of hot words in it."""
-    one, two, _, pair = paired(first, second)
+    one, two, pair = paired(first, second)
     count2 = np.bincount(pair, times, len(one))
-    of, three, _, gram = paired(pair, third)
+    of, three, gram = paired(pair, third)
     count3 = np.bincount(gram, times, len(of))
     of, three, count3 = of[three >= 0], three[three >= 0], count3[three >= 0]
     owners, begin = np.unique(one, return_index=True)
@@ -534,7 +589,7 @@ def _logs(trie: Trie, codes: np.ndarray, starts: np.ndarray, ids: np.ndarray, co
     first[starts[:-1]] = True
     at = np.flatnonzero(~first)
     at = at[ids[codes[at - 1]] >= 0]
-    a, b, _, pair = paired(codes[at - 1].astype(np.int64), codes[at].astype(np.int64))
+    a, b, pair = paired(codes[at - 1].astype(np.int64), codes[at].astype(np.int64))
     shard, place, prob, back = trie.pairs(ids[a], ids[b])
     p[at] = prob[pair] + back[pair] * p[at]
     of = np.full(len(codes), -1, np.int64)
@@ -542,7 +597,7 @@ def _logs(trie: Trie, codes: np.ndarray, starts: np.ndarray, ids: np.ndarray, co
     at = np.flatnonzero(~first)
     at = at[of[at - 1] >= 0]
     at = at[~first[at - 1]]
-    a, b, _, gram = paired(of[at - 1], codes[at].astype(np.int64))
+    a, b, gram = paired(of[at - 1], codes[at].astype(np.int64))
     prob, back = trie.thirds(shard[a], place[a], ids[b])
     p[at] = prob[gram] + back[gram] * p[at]
     return np.log10(p)

@@ -533,7 +533,7 @@ def test_money_is_rounded_once(spark):
     assert (str(r.cost_prompt), str(r.cost_completion)) == ("0.000000", "0.000000")
 
 
-@pytest.mark.parametrize("name", ["provider_costs"])
+@pytest.mark.parametrize("name", ["provider_costs", "cost_projection"])
 def test_query_reads_its_table(spark, small, name):
     from evalengine.plans.catalogue import QUERIES
 

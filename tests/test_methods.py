@@ -553,3 +553,22 @@ def test_paged_source_reads_parts(spark, small):
     from evalengine.plans.workloads import paged_source
 
     assert paged_source(spark, small).count() == spark.read.parquet(f"{small}/part.parquet").count()
+
+
+def test_draws_come_from_every_row(spark):
+    rows = validate.numbered(spark.range(0, 50, 1, 7).where("id % 3 < 2").select(F.col("id").cast("double").alias("value")))
+    assert rows[1] == 34 and sorted(r.place for r in rows[0].collect()) == list(range(34))
+    got = validate.drawn(spark.range(3400), rows, F.lit(1), F.col("id")).groupBy("value").count().collect()
+    assert len(got) == 34 and sum(r["count"] for r in got) == 3400 and all(60 < r["count"] < 150 for r in got)
+    with pytest.raises(ValueError):
+        validate.coverage(spark, population=spark.createDataFrame([(None,)], "value double"))
+
+
+@pytest.mark.parametrize("name", ["coverage_study"])
+def test_study_needs_its_table(spark, tmp_path, name):
+    from pyspark.errors import AnalysisException
+
+    from evalengine.plans.catalogue import QUERIES
+
+    with pytest.raises(AnalysisException):
+        QUERIES[name](spark, f"file://{tmp_path}")

@@ -564,7 +564,7 @@ def test_draws_come_from_every_row(spark):
         validate.coverage(spark, population=spark.createDataFrame([(None,)], "value double"))
 
 
-@pytest.mark.parametrize("name", ["coverage_study"])
+@pytest.mark.parametrize("name", ["coverage_study", "type_one_study"])
 def test_study_needs_its_table(spark, tmp_path, name):
     from pyspark.errors import AnalysisException
 

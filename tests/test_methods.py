@@ -508,6 +508,22 @@ def test_contexts_are_found_by_blocks(spark, small, name):
     assert "zip_with" not in plan and "MapInArrow" in plan
 
 
+@pytest.mark.parametrize("name", ["context_recall"])
+def test_blocks_of_one_file_are_dealt_over_tasks(spark, small, monkeypatch, name):
+    """One task reads the file of one row group; it is not left with all pairs of its blocks."""
+    from evalengine.operators import neighbours
+    from evalengine.plans.catalogue import QUERIES
+
+    read = lambda: sorted(map(tuple, QUERIES[name](spark, small).collect()))
+    whole = read()
+    monkeypatch.setattr(neighbours, "ROWS", 64)
+    assert "RoundRobinPartitioning(8)" in QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString() and read() == whole
+    e = spark.read.parquet(f"{small}/embeddings.parquet").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vector"), "label")
+    held = neighbours.blocks(e.coalesce(1), 64)
+    assert held.rdd.getNumPartitions() == 1 and neighbours.dealt(held).select(F.spark_partition_id()).distinct().count() == 8
+    assert neighbours.dealt(held.where("width < 0")).count() == 0
+
+
 # Streams that append.
 
 

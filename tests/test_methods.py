@@ -508,7 +508,40 @@ def test_contexts_are_found_by_blocks(spark, small, name):
     assert "zip_with" not in plan and "MapInArrow" in plan
 
 
-@pytest.mark.parametrize("name", ["context_recall"])
+def test_nearest_of_a_pair_of_blocks(monkeypatch):
+    """More candidates than groups, slices of queries, copies, zeros and what is no number."""
+    from evalengine.operators import neighbours
+
+    monkeypatch.setattr(neighbours, "SLICE", 7)
+    rng = np.random.default_rng(5)
+    c = rng.standard_normal((700, 6))
+    c[100:400:3], c[5], c[6, 0], c[450:460] = c[100], np.nan, np.inf, 0
+    c_ids = rng.permutation(900)[:700].astype(np.int64)
+    q, q_ids = c[::35].copy(), c_ids[::35]
+    q[3] = 0
+    for few in (slice(0, 700), slice(440, 461), slice(448, 700)):
+        i, j, cosine = neighbours._near(q_ids, c_ids[few], q, c[few], 10)
+        for n in range(len(q)):
+            with np.errstate(all="ignore"):
+                size = np.sqrt((q[n] ** 2).sum() * (c[few] ** 2).sum(axis=1))
+                x = np.where(size == 0, -np.inf, (c[few] @ q[n]) / size)
+            x[np.isnan(x)] = np.inf
+            first = sorted((-round(v, 9), k) for v, k in zip(x.tolist(), c_ids[few].tolist(), strict=True) if k != q_ids[n])[:10]
+            assert sorted((-round(v, 9), k) for v, k in zip(cosine[i == n].tolist(), c_ids[few][j[i == n]].tolist(), strict=True))[:10] == first
+
+
+def test_a_pair_of_blocks_does_not_sort_rows(monkeypatch):
+    """Of 4,096 products a query, 64 are put in order; a product covers ``SLICE`` queries."""
+    from evalengine.operators import neighbours
+
+    seen, sort = [], np.partition
+    monkeypatch.setattr(np, "partition", lambda x, *a, **b: seen.append(x.shape) or sort(x, *a, **b))
+    rng = np.random.default_rng(6)
+    neighbours._near(np.arange(600), np.arange(600, 4696), rng.standard_normal((600, 8)), rng.standard_normal((4096, 8)), 10)
+    assert sum(map(math.prod, seen)) == 600 * 64 and max(n for n, _ in seen) <= 256
+
+
+@pytest.mark.parametrize("name", ["context_recall", "context_relevance_mean"])
 def test_blocks_of_one_file_are_dealt_over_tasks(spark, small, monkeypatch, name):
     """One task reads the file of one row group; it is not left with all pairs of its blocks."""
     from evalengine.operators import neighbours

@@ -557,6 +557,15 @@ def test_blocks_of_one_file_are_dealt_over_tasks(spark, small, monkeypatch, name
     assert neighbours.dealt(held.where("width < 0")).count() == 0
 
 
+def test_small_blocks_of_queries_share_a_task(spark, small):
+    """A table of many files leaves a block of few queries in each; they do not multiply the tasks."""
+    from evalengine.operators import neighbours
+
+    e = spark.read.parquet(f"{small}/embeddings.parquet").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vector"), "label")
+    found = neighbours.nearest(e.where("id % 20 = 0").repartition(6), e)
+    assert "Coalesce 1" in found._jdf.queryExecution().executedPlan().toString() and found.count() == 250
+
+
 # Streams that append.
 
 
